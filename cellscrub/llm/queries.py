@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-from cellscrub.llm import merge_dropout, quality_hosts, relative_dedup, sharding
+from cellscrub.llm import jaccard_join, merge_dropout, quality_hosts, relative_dedup, sharding, winnowing
 
 QUERIES = {
     "op1_merge_dropout": merge_dropout.merge_dropout_query,
     "op3_quality_hosts": quality_hosts.quality_query,
     "op5_sharding": sharding.sharding_query,
     "op6_relative_dedup": relative_dedup.dedup_query,
+    "op8_winnowing": winnowing.decontamination_query,
+    "op10_jaccard_join": jaccard_join.jaccard_query,
 }
 SQL = {
     "op6_relative_dedup": relative_dedup.DEDUP_SQL,
+    "op8_winnowing": winnowing.DECONTAMINATION_SQL,
+    "op10_jaccard_join": jaccard_join.JACCARD_SQL,
 }

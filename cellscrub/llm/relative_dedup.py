@@ -26,11 +26,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table
+from cellscrub.llm.sketches import BITMAP_BITS, repetition_bitmaps, test_bits
 
 WINDOW = 35
 ANCHOR = 20
-BITMAP_BITS = 28
-BUCKET_BITS = 8
 
 _ANCHOR_SALT, _WINDOW_SALT = 0x51A7, 0xC0FFEE
 
@@ -64,66 +63,16 @@ def _tools() -> _Reader:
     return _reader[0]
 
 
-def _fingerprint_batches(window: int, anchor: int, bucket_bits: int):
-    """Anchors of a task, packed by bucket: the 32 bits after the bucket's, for each anchor that occurs."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tools = _tools()
-        held: list[np.ndarray] = []
-        size = 0
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            every = np.sort(np.concatenate(held))
-            buckets = (every >> np.uint64(64 - bucket_bits)).astype(np.int64)
-            codes = ((every >> np.uint64(32 - bucket_bits)) & np.uint64(0xFFFFFFFF)).astype("<u4")
-            cuts = np.flatnonzero(np.diff(buckets)) + 1
-            firsts = buckets[np.concatenate(([0], cuts))]
-            blobs = [c.tobytes() for c in np.split(codes, cuts)]
-            yield pa.RecordBatch.from_arrays([pa.array(firsts.astype(np.int32)), pa.array(blobs, pa.binary())], names=["bucket", "codes"])
-
-        for batch in batches:
-            for text in byte_texts(batch.column("text")):
-                words = text.split() if text else ()
-                if len(words) >= window:
-                    _, hashes, _ = _anchors(tools.hashes.of(words), tools.rolling, window, anchor)
-                    held.append(hashes)
-                    size += len(hashes)
-            if size > 2_000_000:
-                yield from flush()
-                held, size = [], 0
-        if size:
-            yield from flush()
-
-    return run
-
-
-def _bitmap_slices(bitmap_bits: int, bucket_bits: int):
-    """A bucket's part of the bitmap: which leading bits belong to anchors that were met twice or more."""
-
-    def run(key: tuple[pa.Scalar, ...], group: pa.Table) -> pa.Table:
-        codes = np.sort(np.concatenate([np.frombuffer(b, "<u4") for b in group.column("codes").to_pylist()]))
-        again = np.unique(codes[1:][codes[1:] == codes[:-1]])
-        bits = np.zeros(1 << (bitmap_bits - bucket_bits), bool)
-        bits[again >> np.uint32(32 - (bitmap_bits - bucket_bits))] = True
-        return pa.table({"bucket": pa.array([key[0].as_py()], pa.int32()), "bits": pa.array([np.packbits(bits).tobytes()], pa.binary())})
-
-    return run
-
-
-def repeated_anchor_bitmap(slim: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, bitmap_bits: int = BITMAP_BITS, bucket_bits: int = BUCKET_BITS) -> np.ndarray:
-    """Packed bits, one for each value of an anchor's leading bits; 2**bitmap_bits / 8 bytes whatever the input."""
-    packed = slim.mapInArrow(_fingerprint_batches(window, anchor, bucket_bits), "bucket int, codes binary")
-    slices = packed.groupBy("bucket").applyInArrow(_bitmap_slices(bitmap_bits, bucket_bits), "bucket int, bits binary").collect()
-    step = (1 << (bitmap_bits - bucket_bits)) // 8
-    out = np.zeros((1 << bitmap_bits) // 8, np.uint8)
-    for row in slices:
-        out[row.bucket * step : (row.bucket + 1) * step] = np.frombuffer(row.bits, np.uint8)
-    return out
+def _anchor_hasher(window: int, anchor: int):
+    tools = _tools()
 
+    def of(text: bytes | None) -> np.ndarray:
+        words = text.split() if text else ()
+        if len(words) < window:
+            return np.empty(0, np.uint64)
+        return _anchors(tools.hashes.of(words), tools.rolling, window, anchor)[1]
 
-def _test_bits(bitmap: np.ndarray, hashes: np.ndarray, bitmap_bits: int) -> np.ndarray:
-    at = (hashes >> np.uint64(64 - bitmap_bits)).astype(np.int64)
-    return (bitmap[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
+    return of
 
 
 _PARSED = "rid long, doc_id long, n_words long, digest string, text binary, contexts array<struct<anchor: long, first: int, windows: binary>>"
@@ -145,7 +94,7 @@ def _parse_batches(bitmap, window: int, anchor: int, bitmap_bits: int):
                 if len(words) >= window:
                     codes = tools.hashes.of(words)
                     places, hashes, owner = _anchors(codes, tools.rolling, window, anchor)
-                    hit = np.flatnonzero(_test_bits(bits, hashes, bitmap_bits))
+                    hit = np.flatnonzero(test_bits(bits, hashes, bitmap_bits))
                     if len(hit):
                         windows = tools.rolling.grams(codes, window, _WINDOW_SALT)
                         ends = np.searchsorted(owner, hit, "right")
@@ -236,12 +185,12 @@ def _factor_batches(window: int):
 def duplicate_factors(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, bitmap_bits: int = BITMAP_BITS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and the removed word spans (`factors`), one row per document.
 
-    Shuffled are: four bytes per anchor for the bitmap; for documents with a repeated anchor their contexts, alike ones
+    Shuffled are: two to four bytes per anchor for the bitmap; for documents with a repeated anchor their contexts, alike ones
     pre-aggregated; and their texts, once, to meet the masks. Only the bitmap, of fixed size, passes the driver.
     """
     spark = docs.sparkSession
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    bitmap = spark.sparkContext.broadcast(repeated_anchor_bitmap(slim, window, anchor, bitmap_bits).tobytes())
+    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(slim, lambda: _anchor_hasher(window, anchor), bitmap_bits=bitmap_bits)[0])
     parsed = slim.withColumn("rid", F.monotonically_increasing_id()).select("rid", "doc_id", "text").mapInArrow(_parse_batches(bitmap, window, anchor, bitmap_bits), _PARSED)
     parsed = materialize(parsed, "dedup-parsed")
     places = parsed.filter(F.col("contexts").isNotNull()).select("rid", F.explode("contexts").alias("c")).select("rid", "c.anchor", "c.first", "c.windows", F.xxhash64("c.windows").alias("context"))
