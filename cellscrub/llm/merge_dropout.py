@@ -31,8 +31,10 @@ DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 17
 VARIANTS = 4
-CACHE_BOUND = 150_000
+CACHE_BOUND = 120_000
+SLICE = 1000
 
+_MASK = (1 << 64) - 1
 _SPACE = "▁"
 _UNIT = re.compile(r" +[^ \n]*|[^ \n]+|\n")
 
@@ -61,52 +63,59 @@ class Codec:
                 self.score[piece] = sp.get_score(i)
                 self.id_of[piece] = i
                 self.piece_bytes.append(piece.replace(_SPACE, " ").encode())
+        # young and old generation by variant: what is used again moves over before the old one is dropped
         self.caches: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
+        self.older: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
         self.cache_bound = cache_bound
+        self.code = np.dtype("<u2" if sp.get_piece_size() <= 65536 else "<u4")
 
-    def _skipped(self, variant: int, unit: bytes, start: int, end: int) -> bool:
-        return xxhash.xxh3_64_intdigest(unit + struct.pack("<IIII", variant, start, end, self.seed & 0xFFFFFFFF)) < self.limit
+    def _skipped(self, key: int, start: int, end: int) -> bool:
+        """Whether the candidate over unit[start:end] is left out; key stands for seed, variant and unit."""
+        mixed = ((key ^ (start * 0x9E3779B97F4A7C15 + end * 0xC2B2AE3D27D4EB4F)) * 0xBF58476D1CE4E5B9) & _MASK
+        return ((mixed ^ mixed >> 31) * 0x94D049BB133111EB) & _MASK < self.limit
 
     def segment(self, unit: str, variant: int) -> list[int]:
         """Ids of one unit; unit's spaces are plain spaces."""
-        chars = [_SPACE if c == " " else "" if c == _SPACE else c for c in unit]
-        n = len(chars)
-        piece = chars[:]
+        piece = [_SPACE if c == " " else "" if c == _SPACE else c for c in unit]
+        n = len(piece)
         after = list(range(1, n + 1))
         before = list(range(-1, n - 1))
-        agenda: list[tuple[float, int, int, str]] = []
-        score = self.score
-
-        def offer(left: int, right: int) -> None:
-            if left >= 0 and right < n and piece[left] and piece[right]:
-                joined = piece[left] + piece[right]
-                if joined in score:
-                    heapq.heappush(agenda, (-score[joined], left, after[right], joined))
-
+        score, limit = self.score.get, self.limit
+        push, pop = heapq.heappush, heapq.heappop
+        agenda = []
         for i in range(n - 1):
-            offer(i, i + 1)
-        key = unit.encode() if self.limit else b""
-        live = [True] * n
+            rank = score(piece[i] + piece[i + 1])
+            if rank is not None and piece[i] and piece[i + 1]:
+                agenda.append((-rank, i, i + 2))
+        heapq.heapify(agenda)
+        key = xxhash.xxh3_64_intdigest(unit.encode(), (self.seed << 16 ^ variant) & _MASK) if limit else 0
         while agenda:
-            _, left, end, joined = heapq.heappop(agenda)
-            if not live[left]:
-                continue
-            right = after[left]
-            if right >= n or after[right] != end or len(piece[left]) + len(piece[right]) != len(joined):
+            _, left, end = pop(agenda)
+            right = after[left] if piece[left] else n
+            # stale if either side has grown or gone since
+            if right >= n or after[right] != end:
                 continue
-            if self.limit and self._skipped(variant, key, left, end):
+            if limit and self._skipped(key, left, end):
                 continue
-            piece[left] = joined
-            live[right] = False
+            piece[left] += piece[right]
+            piece[right] = None
             after[left] = end
+            at = before[left]
+            if at >= 0 and piece[at]:
+                rank = score(piece[at] + piece[left])
+                if rank is not None:
+                    push(agenda, (-rank, at, end))
             if end < n:
                 before[end] = left
-            offer(before[left], left)
-            offer(left, end)
+                if piece[end]:
+                    rank = score(piece[left] + piece[end])
+                    if rank is not None:
+                        push(agenda, (-rank, left, after[end]))
         ids: list[int] = []
+        id_of = self.id_of
         at = 0
         while at < n:
-            found = self.id_of.get(piece[at])
+            found = id_of.get(piece[at])
             if found is not None:
                 ids.append(found)
             else:
@@ -115,7 +124,7 @@ class Codec:
         return ids
 
     def encode(self, text: str, doc_id: int = 0) -> bytes:
-        """Packed little-endian uint32 ids of a whole text."""
+        """Ids of a whole text, packed as little-endian uint16 (uint32 for vocabularies over 65,536 pieces)."""
         if not text:
             return b""
         units = _UNIT.findall(" " + text)
@@ -129,17 +138,19 @@ class Codec:
 
     def _fill(self, unit: str, variant: int) -> bytes:
         cache = self.caches[variant]
-        if len(cache) >= self.cache_bound:
-            for old in list(cache)[: self.cache_bound // 2]:
-                del cache[old]
-        packed = np.array(self.segment(unit, variant), np.uint32).tobytes()
+        packed = self.older[variant].get(unit)
+        if packed is None:
+            packed = np.array(self.segment(unit, variant), self.code).tobytes()
         if len(unit) <= 64:
+            if len(cache) >= self.cache_bound:
+                self.older[variant] = dict(cache)
+                cache.clear()
             cache[unit] = packed
         return packed
 
     def decode(self, packed: bytes) -> str:
         table = self.piece_bytes
-        data = b"".join([table[i] for i in np.frombuffer(packed, np.uint32).tolist()])
+        data = b"".join([table[i] for i in np.frombuffer(packed, self.code).tolist()])
         return data[1:].decode() if data else ""
 
 
@@ -168,13 +179,19 @@ def _replaced(batch: pa.RecordBatch, name: str, values: pa.Array) -> pa.RecordBa
     return pa.RecordBatch.from_arrays([batch.column(i) for i in kept] + [values], names=[batch.schema.names[i] for i in kept] + [name])
 
 
+def _sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, batch.num_rows, SLICE):
+            yield batch.slice(at, SLICE)
+
+
 def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, text_col: str = "text", id_col: str = "doc_id", out_col: str = "piece_ids") -> DataFrame:
-    """docs with out_col: ids as packed little-endian uint32 (`unpack_ids` gives an array column); no shuffle."""
+    """docs with out_col: packed ids as in Codec.encode (`unpack_ids` gives an array column); no shuffle."""
     model = _model_bytes(model_path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, dropout, seed, variants)
-        for batch in batches:
+        for batch in _sliced(batches):
             ids = batch.column(id_col).cast(pa.int64()).to_pylist()
             out = [None if t is None else codec.encode(t, d or 0) for t, d in zip(batch.column(text_col).to_pylist(), ids)]
             yield _replaced(batch, out_col, pa.array(out, pa.binary()))
@@ -188,17 +205,17 @@ def decode_documents(encoded: DataFrame, model_path: str = DEFAULT_MODEL, ids_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, 0.0, 0, 1)
-        for batch in batches:
+        for batch in _sliced(batches):
             out = [None if b is None else codec.decode(b) for b in batch.column(ids_col).to_pylist()]
             yield _replaced(batch, out_col, pa.array(out, pa.string()))
 
     return encoded.mapInArrow(run, _appended(encoded, out_col, T.StringType()))
 
 
-def unpack_ids(packed):
-    """Array column of ids from a packed column, with built-in functions only."""
-    word = lambda i: F.conv(F.hex(F.reverse(F.substring(packed, i * 4 + 1, 4))), 16, 10).cast("int")
-    return F.when(F.octet_length(packed) > 0, F.transform(F.sequence(F.lit(0), (F.octet_length(packed) / 4 - 1).cast("int")), word)).when(packed.isNotNull(), F.array().cast("array<int>"))
+def unpack_ids(packed, width: int = 2):
+    """Array column of ids from a packed column of that many bytes an id, with built-in functions only."""
+    word = lambda i: F.conv(F.hex(F.reverse(F.substring(packed, i * width + 1, width))), 16, 10).cast("int")
+    return F.when(F.octet_length(packed) > 0, F.transform(F.sequence(F.lit(0), (F.octet_length(packed) / width - 1).cast("int")), word)).when(packed.isNotNull(), F.array().cast("array<int>"))
 
 
 def merge_dropout_query(spark: SparkSession, sf_dir: str, model_path: str = DEFAULT_MODEL) -> DataFrame:
@@ -206,5 +223,6 @@ def merge_dropout_query(spark: SparkSession, sf_dir: str, model_path: str = DEFA
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     coded = encode_documents(docs, model_path).withColumn("text_sha256", F.sha2(F.encode("text", "utf-8"), 256)).drop("text")
     both = decode_documents(coded, model_path)
+    width = Codec(_model_bytes(model_path)).code.itemsize
     decoded = F.sha2(F.encode("decoded", "utf-8"), 256)
-    return both.select("doc_id", F.floor(F.octet_length("piece_ids") / 4).alias("n_tokens"), F.sha2("piece_ids", 256).alias("ids_sha256"), decoded.alias("decoded_sha256"), decoded.eqNullSafe(F.col("text_sha256")).alias("lossless"))
+    return both.select("doc_id", F.floor(F.octet_length("piece_ids") / width).alias("n_tokens"), F.sha2("piece_ids", 256).alias("ids_sha256"), decoded.alias("decoded_sha256"), decoded.eqNullSafe(F.col("text_sha256")).alias("lossless"))
