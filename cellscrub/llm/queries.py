@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from cellscrub.llm import chat_events, hidden_markov, jaccard_join, merge_dropout, pii_votes, quality_hosts, relative_dedup, sharding, winnowing
+from cellscrub.llm import chat_events, deobfuscation, hidden_markov, jaccard_join, merge_dropout, pii_votes, quality_hosts, relative_dedup, sharding, winnowing
 
 QUERIES = {
     "op1_merge_dropout": merge_dropout.merge_dropout_query,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_relative_dedup": relative_dedup.dedup_query,
     "op7_hidden_markov": hidden_markov.language_model_query,
     "op8_winnowing": winnowing.decontamination_query,
+    "op9_deobfuscation": deobfuscation.toxicity_query,
     "op10_jaccard_join": jaccard_join.jaccard_query,
 }
 SQL = {
