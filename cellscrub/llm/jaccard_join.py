@@ -2,7 +2,8 @@
 
 Two documents link when 100 * |intersection| >= 80 * |union| of their shingle sets. Equal sets are one node from the
 start. Shingles have one global order (rarer class first, then hash), and linked sets must share a shingle in their
-first n - ceil(0.8 n) + 1 ones; shingles that occur once are dropped from these prefixes. Nodes that share a prefix
+first n - ceil(0.8 n) + 1 ones; shingles that occur once are dropped from these prefixes, and texts of whose shingles
+not 80 % occur elsewhere are left out. Nodes that share a prefix
 shingle, directly or through others, form a candidate group; each goes to one task once, with its whole sets, where the
 inverted lists of the sets seen so far are searched: short lists are merged by a heap, the long ones are only probed for
 the candidates that come out. A set is compared with one representative of each component first and with the other
@@ -81,9 +82,11 @@ def _node_batches(bitmaps, k: int, percent: int):
                 for bits in maps:
                     level += test_bits(bits, found)
                 order = np.lexsort((found, level))
-                head = order[: n - _least_overlap(n, percent) + 1]
+                least = _least_overlap(n, percent)
+                head = order[: n - least + 1]
                 shared = found[head][level[head] > 0]
-                if len(shared):
+                # a partner shares `least` shingles, and whatever is shared was met twice
+                if len(shared) and np.count_nonzero(level) >= least:
                     prefixes.append(shared.view(np.int64).tolist())
                     sets.append(found[order].tobytes())
                 else:
