@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cellscrub.schema import ATTRS, CATEGORIES
+from cellscrub.session import materialize
 
 
 def _long(df: DataFrame, cols: tuple[str, ...]) -> DataFrame:
@@ -70,6 +71,7 @@ def attribute_cube(classified: DataFrame) -> DataFrame:
 
 def slice_spread(counted: DataFrame, by: str) -> DataFrame:
     """category, least, median and greatest share over the slices of `by`."""
+    counted = materialize(counted.groupBy(by, "category").agg(F.sum("n").alias("n")), "spread")
     total = counted.groupBy(by).agg(F.sum("n").alias("total"))
     every = counted.select(by).distinct().crossJoin(F.broadcast(counted.sparkSession.createDataFrame([(c,) for c in CATEGORIES], "category string")))
     per = counted.groupBy(by, "category").agg(F.sum("n").alias("n"))

@@ -26,8 +26,8 @@ def stratified(df: DataFrame, strata: tuple[str, ...], k: int, seed: int = 1, ke
     """k rows that keep the strata's shares, remainders by size of the fraction (then by stratum)."""
     counts = df.groupBy(*strata).agg(F.count("*").alias("_n"))
     total = counts.agg(F.sum("_n").alias("_total"))
-    exact = F.col("_n") * F.lit(k) / F.col("_total")
-    quota = counts.crossJoin(F.broadcast(total)).withColumn("_base", F.floor(exact)).withColumn("_part", exact - F.floor(exact))
+    # in whole numbers, so that equal remainders are equal
+    quota = counts.crossJoin(F.broadcast(total)).withColumn("_part", F.col("_n") * k % F.col("_total")).withColumn("_base", ((F.col("_n") * k - F.col("_part")) / F.col("_total")).cast("long"))
     # strata are few: one window over them deals out what is left
     rest = F.lit(k) - F.sum("_base").over(Window.partitionBy(F.lit(0)))
     rank = F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(F.desc("_part"), *strata))

@@ -1 +1 @@
-
+"""Continuous monitoring over the events stream."""
