@@ -31,7 +31,7 @@ DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 17
 VARIANTS = 4
-CACHE_BOUND = 120_000
+CACHE_BOUND = 60_000
 SLICE = 1000
 
 _MASK = (1 << 64) - 1
@@ -47,7 +47,7 @@ class Codec:
 
         sp = sentencepiece.SentencePieceProcessor(model_proto=model)
         self.dropout, self.seed, self.variants = dropout, seed, max(1, variants if dropout > 0 else 1)
-        self.limit = int(dropout * 2**64)
+        self.limit = min(int(dropout * 2**64), _MASK)
         self.score: dict[str, float] = {}
         self.id_of: dict[str, int] = {}
         self.byte_ids = [0] * 256
@@ -67,6 +67,11 @@ class Codec:
         self.caches: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
         self.older: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
         self.cache_bound = cache_bound
+        self.pairs: tuple | None = None
+        self.char_table = np.full(0x110000, -1, np.int32)
+        for p, i in self.id_of.items():
+            if len(p) == 1:
+                self.char_table[ord(" " if p == _SPACE else p)] = i
         self.code = np.dtype("<u2" if sp.get_piece_size() <= 65536 else "<u4")
 
     def _skipped(self, key: int, start: int, end: int) -> bool:
@@ -123,30 +128,146 @@ class Codec:
             at = after[at]
         return ids
 
+    def _pair_table(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Sorted keys left * 2**32 + right of all joinable pieces, with the joined id and its rank (low is early)."""
+        if self.pairs is None:
+            rows = []
+            for piece, i in self.id_of.items():
+                for cut in range(1, len(piece)):
+                    left, right = self.id_of.get(piece[:cut]), self.id_of.get(piece[cut:])
+                    if left is not None and right is not None:
+                        rows.append((left << 32 | right, i, -self.score[piece]))
+            rows.sort()
+            self.pairs = np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.int32), np.array([r[2] for r in rows], np.float64)
+        return self.pairs
+
+    def _joined(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Joined ids and ranks; rank is infinite where the two are no piece."""
+        keys, ids, ranks = self._pair_table()
+        want = left.astype(np.int64) << 32 | right.astype(np.int64)
+        at = np.minimum(np.searchsorted(keys, want), len(keys) - 1)
+        good = (keys[at] == want) & (left >= 0) & (right >= 0)
+        return ids[at], np.where(good, ranks[at], np.inf)
+
+    def segment_many(self, units: list[tuple[str, int]]) -> list[bytes]:
+        """`segment` of many (unit, variant), packed: each step takes the first agenda entry of every unit at once.
+
+        Units whose characters are not all pieces of their own, and very long ones, take the plain way.
+        """
+        out: list[bytes] = [b""] * len(units)
+        if not units:
+            return out
+        sizes = np.fromiter((len(u) for u, _ in units), np.int64, len(units))
+        codes = np.frombuffer("".join([u for u, _ in units]).encode("utf-32-le"), np.uint32)
+        ids = self.char_table[codes]
+        starts = np.cumsum(sizes) - sizes
+        plain = (np.minimum.reduceat(ids, starts) < 0) | (sizes > 40)
+        for k in np.flatnonzero(plain).tolist():
+            out[k] = np.array(self.segment(*units[k]), self.code).tobytes()
+        short = np.flatnonzero(~plain)
+        short = short[np.argsort(sizes[short], kind="stable")]
+        for at in range(0, len(short), 8192):
+            part = short[at : at + 8192]
+            self._segment_block([units[k] for k in part.tolist()], sizes[part], ids, starts[part], part.tolist(), out)
+        return out
+
+    def _segment_block(self, units: list[tuple[str, int]], sizes: np.ndarray, ids: np.ndarray, starts: np.ndarray, places: list[int], out: list[bytes]) -> None:
+        n, width = len(units), int(sizes[-1]) + 1
+        step = np.arange(width)[None, :]
+        piece = np.where(step < sizes[:, None], ids[np.minimum(starts[:, None] + step, len(ids) - 1)], -1).astype(np.int32)
+        after = np.tile(np.arange(1, width + 1, dtype=np.int32), (n, 1))
+        before = np.tile(np.arange(-1, width - 1, dtype=np.int32), (n, 1))
+        joined = np.full((n, width), -1, np.int32)
+        rank = np.full((n, width), np.inf)
+        joined[:, :-1], rank[:, :-1] = self._joined(piece[:, :-1], piece[:, 1:])
+        keys = np.fromiter((xxhash.xxh3_64_intdigest(u.encode(), (self.seed << 16 ^ v) & _MASK) for u, v in units), np.uint64, n) if self.limit else None
+        live = np.flatnonzero(np.isfinite(rank).any(1))
+        while len(live):
+            best = rank[live].argmin(1)
+            more = np.isfinite(rank[live, best])
+            live, best = live[more], best[more]
+            if not len(live):
+                break
+            right = after[live, best]
+            end = after[live, right]
+            if self.limit:
+                skip = self._skipped_many(keys[live], best, end)
+                rank[live[skip], best[skip]] = np.inf
+                rows, left, right, end = live[~skip], best[~skip], right[~skip], end[~skip]
+            else:
+                rows, left = live, best
+            piece[rows, left] = joined[rows, left]
+            piece[rows, right] = -1
+            rank[rows, right] = np.inf
+            after[rows, left] = end
+            inside = end < sizes[rows]
+            before[rows[inside], end[inside]] = left[inside]
+            following = np.where(inside, piece[rows, np.minimum(end, width - 1)], -1)
+            joined[rows, left], rank[rows, left] = self._joined(piece[rows, left], following)
+            ahead = before[rows, left]
+            some = ahead >= 0
+            r, p = rows[some], ahead[some]
+            joined[r, p], rank[r, p] = self._joined(piece[r, p], piece[r, left[some]])
+        kept = piece >= 0
+        flat, ends = piece[kept].astype(self.code), np.cumsum(kept.sum(1))
+        data, step, last = flat.tobytes(), self.code.itemsize, 0
+        for k, e in zip(places, ends.tolist()):
+            out[k] = data[last * step : e * step]
+            last = e
+
+    def _skipped_many(self, key: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            span = start.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + end.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+            mixed = (key ^ span) * np.uint64(0xBF58476D1CE4E5B9)
+            return (mixed ^ mixed >> np.uint64(31)) * np.uint64(0x94D049BB133111EB) < np.uint64(self.limit)
+
     def encode(self, text: str, doc_id: int = 0) -> bytes:
         """Ids of a whole text, packed as little-endian uint16 (uint32 for vocabularies over 65,536 pieces)."""
-        if not text:
-            return b""
-        units = _UNIT.findall(" " + text)
-        if self.variants == 1:
-            cache = self.caches[0]
-            get = cache.get
-            return b"".join([get(u) or self._fill(u, 0) for u in units])
-        at = xxhash.xxh3_64_intdigest(struct.pack("<qI", doc_id, self.seed & 0xFFFFFFFF)) % self.variants
-        gets, k = [c.get for c in self.caches], self.variants
-        return b"".join([gets[(at + i) % k](u) or self._fill(u, (at + i) % k) for i, u in enumerate(units)])
-
-    def _fill(self, unit: str, variant: int) -> bytes:
-        cache = self.caches[variant]
-        packed = self.older[variant].get(unit)
-        if packed is None:
-            packed = np.array(self.segment(unit, variant), self.code).tobytes()
-        if len(unit) <= 64:
-            if len(cache) >= self.cache_bound:
-                self.older[variant] = dict(cache)
-                cache.clear()
-            cache[unit] = packed
-        return packed
+        return self.encode_many([text], [doc_id])[0]
+
+    def encode_many(self, texts: list[str | None], doc_ids: list[int | None]) -> list[bytes | None]:
+        """`encode` of several texts; units that are not in the cache are segmented together."""
+        k = self.variants
+        cut = [_UNIT.findall(" " + t) if t else [] for t in texts]
+        first = [xxhash.xxh3_64_intdigest(struct.pack("<qI", d or 0, self.seed & 0xFFFFFFFF)) % k for d in doc_ids]
+        wanted: list[set[str]] = [set() for _ in range(k)]
+        for units, at in zip(cut, first):
+            for v in range(k):
+                wanted[(at + v) % k].update(units[v::k])
+        missing: list[tuple[str, int]] = []
+        tables: list[dict[str, bytes]] = []
+        for v, units in enumerate(wanted):
+            young, old = self.caches[v], self.older[v]
+            table = {}
+            for u in units:
+                found = young.get(u)
+                if found is None:
+                    found = old.get(u)
+                    if found is None:
+                        missing.append((u, v))
+                        continue
+                    young[u] = found
+                table[u] = found
+            tables.append(table)
+        for (u, v), packed in zip(missing, self.segment_many(missing)):
+            tables[v][u] = packed
+            if len(u) <= 64:
+                self.caches[v][u] = packed
+        out: list[bytes | None] = []
+        for text, units, at in zip(texts, cut, first):
+            if k == 1:
+                get = tables[0].__getitem__
+                packed = b"".join(map(get, units))
+            else:
+                parts: list[bytes] = [b""] * len(units)
+                for v in range(k):
+                    parts[v::k] = map(tables[(at + v) % k].__getitem__, units[v::k])
+                packed = b"".join(parts)
+            out.append(None if text is None else packed)
+        for v in range(k):
+            if len(self.caches[v]) >= self.cache_bound:
+                self.older[v], self.caches[v] = self.caches[v], {}
+        return out
 
     def decode(self, packed: bytes) -> str:
         table = self.piece_bytes
@@ -192,8 +313,7 @@ def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, dropout, seed, variants)
         for batch in _sliced(batches):
-            ids = batch.column(id_col).cast(pa.int64()).to_pylist()
-            out = [None if t is None else codec.encode(t, d or 0) for t, d in zip(batch.column(text_col).to_pylist(), ids)]
+            out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
             yield _replaced(batch, out_col, pa.array(out, pa.binary()))
 
     return docs.mapInArrow(run, _appended(docs, out_col, T.BinaryType()))
