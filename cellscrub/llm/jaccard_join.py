@@ -24,6 +24,7 @@ from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -284,15 +285,37 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     return rows.select("doc_id", "n_shingles", "key").join(found, "key", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.col("key").alias("set_key"))
 
 
+def _id_hasher():
+    return lambda text: mix64(np.array([xxhash.xxh3_64_intdigest(text)], np.uint64)) if text is not None else np.empty(0, np.uint64)
+
+
+def _by_bitmap(bitmap, id_col: str, marked: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = np.frombuffer(bitmap.value, np.uint8)
+        for batch in batches:
+            ids = batch.column(id_col).cast(pa.int64()).to_pylist()
+            hashes = mix64(np.array([0 if i is None else xxhash.xxh3_64_intdigest(str(i).encode()) for i in ids], np.uint64))
+            known = np.array([i is not None for i in ids], bool)
+            yield batch.filter(pa.array((test_bits(bits, hashes) & known) == marked))
+
+    return run
+
+
 def keep_representatives(docs: DataFrame, percent: int = PERCENT, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """One row of each component, that with the smallest id; all rows without words, and all columns of docs.
 
-    Of rows that repeat a component's smallest id one is kept; rows with a null id all stay.
+    Of rows that repeat a component's smallest id one is kept; rows with a null id all stay. A bitmap of fixed size over
+    the ids to drop tells most rows apart in place; only rows that it marks take part in the exact join.
     """
+    spark = docs.sparkSession
     marked = components(docs, percent, id_col=id_col, text_col=text_col)
     marked = materialize(marked, "join-marked")
     losers = marked.filter(F.col("n_shingles") > 0).filter(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias("__loser")).distinct()
-    kept = docs.join(losers, docs[id_col].cast("long") == F.col("__loser"), "left_anti")
+    losers = materialize(losers, "join-losers")
+    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(losers.select(F.col("__loser").cast("string").alias("text")), _id_hasher, levels=(1,))[0])
+    maybe = docs.mapInArrow(_by_bitmap(bitmap, id_col, True), docs.schema)
+    exact = maybe.join(losers, maybe[id_col].cast("long") == F.col("__loser"), "left_anti")
+    kept = docs.mapInArrow(_by_bitmap(bitmap, id_col, False), docs.schema).unionByName(exact)
     repeated = materialize(marked.filter("n_shingles > 0 and component_id = doc_id").groupBy(F.col("doc_id").alias("__id")).count().filter("count > 1").select("__id"), "join-repeats")
     if repeated.isEmpty():
         return kept

@@ -209,14 +209,19 @@ def _with_spans(docs: DataFrame, id_col: str, text_col: str, keep: list) -> Data
 
 
 def mask_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs, all columns and rows, with every span of the text replaced by its kind in brackets."""
-    both = _with_spans(docs, id_col, text_col, [docs[c] for c in docs.columns])
+    """docs, all columns and rows, with every span of the text replaced by its kind in brackets.
+
+    Rows in which no pattern matches pass unchanged; only the others meet their spans in a join.
+    """
+    some = F.coalesce(reduce(lambda a, b: a | b, (F.col(text_col).rlike(PATTERNS[k]) for k in KINDS)), F.lit(False))
+    both = _with_spans(docs.filter(some), id_col, text_col, docs.columns)
     order = F.array_sort(F.transform("__spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
     text = F.col(text_col)
     start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<string>").alias("parts"))
     step = lambda a, s: F.when(s["start"] >= a["at"], F.struct(s["end"].alias("at"), F.concat(a["parts"], F.array(F.substring(text, (a["at"] + 1).cast("int"), (s["start"] - a["at"]).cast("int")), F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))).alias("parts"))).otherwise(F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["parts"].alias("parts")))
     masked = F.aggregate(order, start, step, lambda a: F.concat(F.array_join(a["parts"], ""), F.substring(text, (a["at"] + 1).cast("int"), F.length(text))))
-    return both.select(*[F.when(F.col("__spans").isNull(), text).otherwise(masked).alias(c) if c == text_col else F.col(c) for c in docs.columns])
+    done = both.select(*[F.when(F.col("__spans").isNull(), text).otherwise(masked).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
+    return docs.filter(~some).unionByName(done)
 
 
 def pii_query(spark: SparkSession, sf_dir: str) -> DataFrame:
