@@ -29,7 +29,7 @@ def reference(clean: DataFrame, nations: int | None = None) -> DataFrame:
     """Distinct clean addresses with an id, restricted to the first nations (by number) for a sparse source."""
     rows = clean.select("name", *CORE_ATTRS).distinct()
     if nations is not None:
-        rows = rows.filter(F.regexp_extract("country", r"(\d+)$", 1).cast("int") < nations)
+        rows = rows.filter(F.regexp_extract("country", r"(\d+)$", 1).try_cast("int") < nations)
     return rows.withColumn("ref_id", F.md5(F.concat_ws("|", *[F.coalesce(F.col(c), F.lit("")) for c in ("name", *CORE_ATTRS)])))
 
 

@@ -15,7 +15,7 @@ from cellscrub.sources.tables import addr_clean
 def statements(spark: SparkSession, sf_dir: str, carrier: str = "orders", profile: str = "named", seed: int = 7) -> DataFrame:
     """_id, graph_iri, micro, name and the five address fields, as found on pages: a tenth in the microformat."""
     pairs = inject.corrupt(addr_clean(spark, sf_dir, carrier), profile, seed)
-    odd = F.coalesce(F.regexp_extract("c_country", r"(\d+)$", 1).cast("int") % 2, F.lit(0)) == 1
+    odd = F.coalesce(F.regexp_extract("c_country", r"(\d+)$", 1).try_cast("int") % 2, F.lit(0)) == 1
     number, road = F.nullif(F.col("d_house_number"), F.lit("")), F.nullif(F.col("d_road"), F.lit(""))
     street = F.when(odd, F.concat_ws(" ", road, number)).otherwise(F.concat_ws(" ", number, road))
     h = inject.draw(seed, "statement", F.col("_id"))

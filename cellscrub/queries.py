@@ -188,7 +188,7 @@ _WIDE = f", w AS MATERIALIZED (SELECT _id, {', '.join(f'''max(nullif(trim(dirty)
 _REPAIRED = _WIDE
 for _i, (_l, _r) in enumerate((("postcode", "locality"), ("locality", "country"), ("country", "country_code"))):
     _from = "w" if _i == 0 else f"s{_i - 1}"
-    _REPAIRED += f", b{_i} AS (SELECT {_l}, {_r} AS v FROM (SELECT {_l}, {_r}, row_number() OVER (PARTITION BY {_l} ORDER BY count(*) DESC, {_r}) AS p FROM {_from} WHERE {_l} IS NOT NULL AND {_r} IS NOT NULL GROUP BY ALL) WHERE p = 1), s{_i} AS MATERIALIZED (SELECT t.* REPLACE (coalesce(b{_i}.v, t.{_r}) AS {_r}) FROM {_from} t LEFT JOIN b{_i} ON t.{_l} = b{_i}.{_l})"
+    _REPAIRED += f", b{_i} AS (SELECT {_l}, {_r} AS v FROM (SELECT {_l}, {_r}, row_number() OVER (PARTITION BY {_l} ORDER BY count(*) DESC, {_r}) AS p FROM {_from} WHERE {_l} IS NOT NULL AND {_r} IS NOT NULL GROUP BY {_l}, {_r}) WHERE p = 1), s{_i} AS MATERIALIZED (SELECT t.* REPLACE (coalesce(b{_i}.v, t.{_r}) AS {_r}) FROM {_from} t LEFT JOIN b{_i} ON t.{_l} = b{_i}.{_l})"
 _CHANGED = " UNION ALL ".join(f"SELECT w._id, '{a}' AS attr, s2.{a} AS repair FROM w JOIN s2 USING (_id) WHERE w.{a} IS DISTINCT FROM s2.{a}" for a in ("locality", "country", "country_code"))
 query("repair_r1", f"{CELL}{_REPAIRED} {_CHANGED}")(lambda s, d: fd_majority.correct(materialize(_dirty(s, d), "d"), RULES).select("_id", "attr", "repair"))
 query("detect_r1", f"{CELL}{_REPAIRED} SELECT _id, attr FROM ({_CHANGED})")(lambda s, d: fd_majority.detect(materialize(_dirty(s, d), "d"), RULES))
@@ -240,7 +240,7 @@ def _advisor(s: SparkSession, d: str) -> DataFrame:
 _SCORES = "round(coalesce(tp / nullif(n_out, 0), 0), 6) AS precision, round(coalesce(tp / nullif(n_true, 0), 0), 6) AS recall, round(coalesce(2 * (tp / nullif(n_out, 0)) * (tp / nullif(n_true, 0)) / nullif(tp / nullif(n_out, 0) + tp / nullif(n_true, 0), 0), 0), 6) AS f1, n_out = 0 OR n_true = 0 AS undefined"
 _FLAG = "nullif(trim(dirty), '') IS NULL"
 query("score_detection", f"{FULL} SELECT *, {_SCORES} FROM (SELECT count(*) FILTER ({_FLAG}) AS n_out, count(*) FILTER (category <> 'clean') AS n_true, count(*) FILTER (category <> 'clean' AND {_FLAG}) AS tp FROM classified)")(lambda s, d: measure.detection(c := materialize(_classified(s, d), "c"), effectiveness.flag_missing(c)))
-_MODE = ", m AS (SELECT attr, dirty AS repair FROM (SELECT attr, dirty, row_number() OVER (PARTITION BY attr ORDER BY count(*) DESC, dirty) AS p FROM classified WHERE nullif(trim(dirty), '') IS NOT NULL GROUP BY ALL) WHERE p = 1)"
+_MODE = ", m AS (SELECT attr, dirty AS repair FROM (SELECT attr, dirty, row_number() OVER (PARTITION BY attr ORDER BY count(*) DESC, dirty) AS p FROM classified WHERE nullif(trim(dirty), '') IS NOT NULL GROUP BY attr, dirty) WHERE p = 1)"
 _PROPOSED = "repair IS DISTINCT FROM dirty"
 query("score_correction", f"{FULL}{_MODE} SELECT *, {_SCORES} FROM (SELECT count(*) FILTER ({_PROPOSED}) AS n_out, count(*) AS n_true, count(*) FILTER ({_PROPOSED} AND repair = clean) AS tp FROM classified JOIN m USING (attr) WHERE category <> 'clean')")(lambda s, d: measure.correction(c := materialize(_classified(s, d), "c"), repair_by_mode(c)))
 query("recall_by_category", f"{FULL} SELECT category, count(*) AS n_true, count(*) FILTER ({_FLAG}) AS tp, round(count(*) FILTER ({_FLAG}) / count(*), 6) AS recall FROM classified WHERE category <> 'clean' GROUP BY category")(lambda s, d: measure.recall_by_category(c := materialize(_classified(s, d), "c"), effectiveness.flag_missing(c)))
@@ -295,24 +295,24 @@ query("join_theta_edit", f"{ROWS}, v AS (SELECT DISTINCT country, road FROM addr
 query("join_interval_ship", "SELECT o_orderpriority, count(*) AS n FROM orders JOIN lineitem ON l_orderkey = o_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 30 DAYS GROUP BY o_orderpriority")(lambda s, d: table(s, d, "orders").join(table(s, d, "lineitem"), (F.col("l_orderkey") == F.col("o_orderkey")) & F.col("l_shipdate").between(F.col("o_orderdate"), F.col("o_orderdate") + F.expr("INTERVAL 30 DAYS"))).groupBy("o_orderpriority").agg(F.count("*").alias("n")))
 
 
-@query("join_asof_events", "SELECT p.event_id, max_by(e.event_id, (e.ts, e.event_id)) AS last_id FROM (SELECT * FROM events WHERE event_type = 'purchase') p LEFT JOIN (SELECT * FROM events WHERE event_type <> 'purchase') e ON e.user_id = p.user_id AND e.ts <= p.ts GROUP BY p.event_id")
+@query("join_asof_events", "SELECT p.event_id, coalesce(max_by(e.event_id, (e.ts, e.event_id)), -1) AS last_id FROM (SELECT * FROM events WHERE event_type = 'purchase') p LEFT JOIN (SELECT * FROM events WHERE event_type <> 'purchase') e ON e.user_id = p.user_id AND e.ts <= p.ts GROUP BY p.event_id")
 def _asof(s: SparkSession, d: str) -> DataFrame:
     """The latest other event of the same user: one sort by user and time, no range join."""
     e = table(s, d, "events")
     other = F.when(F.col("event_type") != "purchase", F.col("event_id"))
     w = Window.partitionBy("user_id").orderBy("ts", F.col("event_type") == "purchase", "event_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return e.withColumn("last_id", F.last(other, ignorenulls=True).over(w)).filter("event_type = 'purchase'").select("event_id", "last_id")
+    return e.withColumn("last_id", F.last(other, ignorenulls=True).over(w)).filter("event_type = 'purchase'").select("event_id", F.coalesce("last_id", F.lit(-1)).alias("last_id"))
 
 
 query("rollup_region_country", f"{ROWS} SELECT coalesce(region, 'all') AS region, coalesce(country, 'all') AS country, count(*) AS n FROM addr GROUP BY ROLLUP (region, country)")(lambda s, d: addr_clean(s, d).rollup("region", "country").agg(F.count("*").alias("n")).select(F.coalesce("region", F.lit("all")).alias("region"), F.coalesce("country", F.lit("all")).alias("country"), "n"))
 query("window_rank", f"{ROWS} SELECT country, n, rank() OVER (ORDER BY n DESC) AS r, dense_rank() OVER (ORDER BY n DESC) AS dr, CAST(ntile(4) OVER (ORDER BY n DESC, country) AS INTEGER) AS q FROM (SELECT country, count(*) AS n FROM addr GROUP BY country)")(lambda s, d: profile.distribution(addr_clean(s, d), "country").select("country", "n", F.rank().over(Window.orderBy(F.desc("n"))).cast("long").alias("r"), F.dense_rank().over(Window.orderBy(F.desc("n"))).cast("long").alias("dr"), F.ntile(4).over(Window.orderBy(F.desc("n"), "country")).alias("q")))
-query("window_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_ms(ts) RANGE BETWEEN 3600000 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_millis("ts")).rangeBetween(-3600000, 0)).alias("n")))
+query("window_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_ms(ts) RANGE BETWEEN 3600000 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_millis(F.col("ts").cast("timestamp"))).rangeBetween(-3600000, 0)).alias("n")))
 query("topk_candidates", f"{ROWS} SELECT country, road, n FROM (SELECT country, road, n, row_number() OVER (PARTITION BY country ORDER BY n DESC, road) AS p FROM (SELECT country, road, count(*) AS n FROM addr GROUP BY ALL)) WHERE p <= 3")(lambda s, d: addr_clean(s, d).groupBy("country", "road").agg(F.count("*").alias("n")).withColumn("p", F.row_number().over(Window.partitionBy("country").orderBy(F.desc("n"), "road"))).filter("p <= 3").drop("p"))
 query("setops_flags", f"{CELL}, x AS (SELECT _id, attr FROM cell WHERE dirty IS NULL OR dirty = ''), y AS (SELECT _id, attr FROM cell WHERE injected IN ('missing', 'case')) SELECT 'both' AS part, count(*) AS n FROM (SELECT * FROM x INTERSECT SELECT * FROM y) UNION ALL SELECT 'only', count(*) FROM (SELECT * FROM y EXCEPT SELECT * FROM x)")(lambda s, d: (x := (c := _cells(s, d)).filter("dirty IS NULL OR dirty = ''").select("_id", "attr")).intersect(y := c.filter("injected IN ('missing', 'case')").select("_id", "attr")).agg(F.lit("both").alias("part"), F.count("*").alias("n")).union(y.subtract(x).agg(F.lit("only"), F.count("*"))))
 query("json_props", "SELECT event_type, CAST(sum(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY event_type")(lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("total")))
 query("variant_props", "SELECT event_type, max(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS top FROM events GROUP BY event_type")(lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.max(F.variant_get(F.parse_json("props"), "$.k", "long")).alias("top")))
 query("array_ops", f"{ROWS} SELECT DISTINCT name, len(string_split(lower(name), ' ')) AS n_tokens, array_to_string(list_sort(string_split(lower(name), ' ')), ' ') AS sorted FROM addr")(lambda s, d: addr_clean(s, d).select("name").distinct().select("name", F.size(X.tokens(F.col("name"))).cast("long").alias("n_tokens"), F.array_join(F.array_sort(X.tokens(F.col("name"))), " ").alias("sorted")))
-query("date_error_rate", f"{FULL} SELECT CAST(date_trunc('month', o_orderdate) AS DATE) AS month, count(*) AS n_cells, count(*) FILTER (category <> 'clean') AS n_errors FROM classified JOIN (SELECT md5(CAST(o_orderkey AS VARCHAR)) AS _id, o_orderdate FROM orders) USING (_id) GROUP BY month")(lambda s, d: _classified(s, d).join(table(s, d, "orders").select(F.md5(F.col("o_orderkey").cast("string")).alias("_id"), F.trunc("o_orderdate", "month").alias("month")), "_id").groupBy("month").agg(F.count("*").alias("n_cells"), F.count_if(F.col("category") != "clean").alias("n_errors")))
+query("date_error_rate", f"{FULL} SELECT strftime(o_orderdate, '%Y-%m') AS month, count(*) AS n_cells, count(*) FILTER (category <> 'clean') AS n_errors FROM classified JOIN (SELECT md5(CAST(o_orderkey AS VARCHAR)) AS _id, o_orderdate FROM orders) USING (_id) GROUP BY month")(lambda s, d: _classified(s, d).join(table(s, d, "orders").select(F.md5(F.col("o_orderkey").cast("string")).alias("_id"), F.date_format("o_orderdate", "yyyy-MM").alias("month")), "_id").groupBy("month").agg(F.count("*").alias("n_cells"), F.count_if(F.col("category") != "clean").alias("n_errors")))
 
 
 @query("vector_nearest", "SELECT e.vec_id, arg_min(l.vec_id, (round(sqrt(list_sum(list_transform(list_zip(e.embedding, l.embedding), lambda p: (CAST(p[1] AS DOUBLE) - p[2]) * (CAST(p[1] AS DOUBLE) - p[2])))), 6), l.vec_id)) AS nearest FROM embeddings e, (SELECT * FROM embeddings WHERE vec_id < 20) l WHERE e.vec_id >= 20 GROUP BY e.vec_id")
