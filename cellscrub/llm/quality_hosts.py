@@ -90,12 +90,12 @@ def host_verdicts(stats: DataFrame, host_limit: float = HOST_LIMIT) -> DataFrame
     With mean m and variance v of the host rates, the beta prior has weight m(1-m)/v - 1, and 1 where v leaves none.
     """
     hosts = stats.filter(F.col("host").isNotNull()).groupBy("host").agg(F.count("*").alias("host_docs"), F.sum(F.col("base_failed").cast("long")).alias("host_failures"))
-    prior = hosts.agg(F.avg(F.col("host_failures") / F.col("host_docs")).alias("m"), F.var_pop(F.col("host_failures") / F.col("host_docs")).alias("v"))
-    weight = F.when((F.col("v") > 0) & (F.col("m") * (1 - F.col("m")) > F.col("v")), F.col("m") * (1 - F.col("m")) / F.col("v") - 1).otherwise(F.lit(1.0))
-    prior = prior.select("m", weight.alias("prior_weight"))
-    joined = hosts.crossJoin(F.broadcast(prior))  # one row
-    rate = (F.col("host_failures") + F.col("m") * F.col("prior_weight")) / (F.col("host_docs") + F.col("prior_weight"))
-    return joined.select("host", "host_docs", "host_failures", F.round(rate, 6).alias("host_rate"), (rate > host_limit).alias("host_rejected"))
+    hosts = materialize(hosts, "quality-host-sums")
+    prior = hosts.agg(F.avg(F.col("host_failures") / F.col("host_docs")).alias("m"), F.var_pop(F.col("host_failures") / F.col("host_docs")).alias("v")).first()
+    m, v = prior.m or 0.0, prior.v or 0.0
+    weight = m * (1 - m) / v - 1 if 0 < v < m * (1 - m) else 1.0
+    rate = (F.col("host_failures") + m * weight) / (F.col("host_docs") + weight)
+    return hosts.select("host", "host_docs", "host_failures", F.round(rate, 6).alias("host_rate"), (rate > host_limit).alias("host_rejected"))
 
 
 def judge(docs: DataFrame, host_limit: float = HOST_LIMIT, **columns: str) -> DataFrame:
@@ -127,3 +127,32 @@ def filter_documents(docs: DataFrame, host_limit: float = HOST_LIMIT, text_col:
 def quality_query(spark, sf_dir: str) -> DataFrame:
     out = judge(read_table(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "host_rate")
+
+
+QUALITY_SQL = r"""
+WITH t AS (
+  SELECT doc_id, source, coalesce(text, '') AS text, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents
+), lines AS (
+  SELECT doc_id, sum(n - 1) AS dup FROM (SELECT doc_id, line, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM t) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY ALL) GROUP BY doc_id
+), grams AS (
+  SELECT doc_id, p, array_to_string(ws[p : p + 4], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 3)) AS p FROM t)
+), again AS (
+  SELECT doc_id, count(DISTINCT q) AS rep FROM (
+    SELECT doc_id, unnest(range(p, p + 5)) AS q FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, g) AS n FROM grams) WHERE n > 1
+  ) GROUP BY doc_id
+), stats AS (
+  SELECT t.doc_id, source, CAST(len(ws) AS BIGINT) AS n_words, CAST(length(array_to_string(ws, '')) AS BIGINT) AS word_chars,
+    CAST(length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(coalesce(dup, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(rep, 0) AS BIGINT) AS n_repeat_words
+  FROM t LEFT JOIN lines USING (doc_id) LEFT JOIN again USING (doc_id)
+), judged AS (
+  SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM stats
+), hosts AS (
+  SELECT source, count(*) AS n, count(*) FILTER (base_failed) AS f FROM judged WHERE source IS NOT NULL GROUP BY source
+), prior AS (
+  SELECT m, CASE WHEN v > 0 AND m * (1 - m) > v THEN m * (1 - m) / v - 1 ELSE 1.0 END AS w FROM (SELECT avg(f / n) AS m, var_pop(f / n) AS v FROM hosts)
+), rates AS (
+  SELECT source, (f + m * w) / (n + w) AS r FROM hosts, prior
+)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT coalesce(r > 0.5, false) AS kept, round(r, 6) AS host_rate
+FROM judged LEFT JOIN rates USING (source)
+"""
