@@ -83,12 +83,12 @@ def scores(sample: Sample, by: tuple[str, ...] = (), detectors: tuple[str, ...]
     return reduce(DataFrame.unionByName, parts)
 
 
-def rate_curve(cells: DataFrame, rates: tuple[float | None, ...] = (0.05, 0.1, 0.2, None), rows: int = SAMPLE, seeds: tuple[int, ...] = (1,), **systems) -> DataFrame:
+def rate_curve(cells: DataFrame, rates: tuple[float | None, ...] = (0.05, 0.1, 0.2, None), rows: int = SAMPLE, seeds: tuple[int, ...] = (1,), fds: list[D.Dependency] | None = None, **systems) -> DataFrame:
     """Scores by error rate (0 stands for the original one), averaged over the seeds."""
     parts = []
     for seed in seeds:
         for rate in rates:
-            got = scores(make_sample(cells, rows, rate, seed), **systems)
+            got = scores(make_sample(cells, rows, rate, seed, fds=fds), **systems)
             parts.append(got.withColumn("rate", F.lit(rate or 0.0)).withColumn("seed", F.lit(seed)))
     return measure.mean_of_runs(materialize(reduce(DataFrame.unionByName, parts), "curve"), ("system", "task", "rate"))
 

@@ -204,7 +204,7 @@ query("prompt_cost", f"""{CELL}{_WIDE} SELECT (SELECT count(*) FROM w) AS n_rows
 query("prompt_swap")(lambda s, d: record_prompt.detect(_dirty(s, d)).withColumn("profile", F.lit("plain")).union(record_prompt.detect(_dirty(s, d), record_prompt.RulebookCompleter("strict")).withColumn("profile", F.lit("strict"))).groupBy("profile").agg(F.count("*").alias("n_flags")))
 
 
-def _sample(s: SparkSession, d: str, rows: int = 600, rate: float | None = 0.2) -> effectiveness.Sample:
+def _sample(s: SparkSession, d: str, rows: int = effectiveness.SAMPLE, rate: float | None = 0.2) -> effectiveness.Sample:
     return effectiveness.make_sample(materialize(_classified(s, d), "c"), rows, rate, fds=RULES)
 
 
@@ -254,9 +254,9 @@ def _means(s: SparkSession, d: str) -> DataFrame:
     return measure.mean_of_runs(parts[0].unionByName(parts[1]).unionByName(parts[2]), ("system",))
 
 
-query("rate_curve")(lambda s, d: effectiveness.rate_curve(materialize(_classified(s, d), "c"), (0.05, 0.2, None), 400, detectors=("factor", "fd_majority", "record_prompt"), correctors=("record_prompt", "column_mode")))
-query("end_to_end")(lambda s, d: effectiveness.end_to_end(_sample(s, d, 400), "record_prompt", "record_prompt"))
-query("size_ladder")(lambda s, d: scalability.size_ladder(s, d, (300, 1200), detectors=("factor", "record_prompt"), correctors=("record_prompt",)).select("system", "task", "n_rows", "status"))
+query("rate_curve")(lambda s, d: effectiveness.rate_curve(materialize(_classified(s, d), "c"), (0.05, 0.2, None), detectors=("factor", "record_prompt"), correctors=("record_prompt", "column_mode"), fds=RULES))
+query("end_to_end")(lambda s, d: effectiveness.end_to_end(_sample(s, d), "record_prompt", "record_prompt"))
+query("size_ladder")(lambda s, d: scalability.size_ladder(s, d, (1500, 15000), fds=RULES, detectors=("factor", "record_prompt"), correctors=("record_prompt",)).select("system", "task", "n_rows", "status"))
 
 
 @query("poi_overall")
