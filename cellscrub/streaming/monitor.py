@@ -36,22 +36,27 @@ def is_error() -> Column:
     return (F.col("event_type") != F.lower("event_type")) | F.get_json_object("props", "$.k").isNull()
 
 
+def _marked(events: DataFrame) -> DataFrame:
+    """A stream with its watermark, which needs times with a zone; a batch as it is."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", WATERMARK) if events.isStreaming else events
+
+
 def error_rate(events: DataFrame, every: str = "1 hour", slide: str | None = None) -> DataFrame:
     """window start, n, n_errors, over tumbling or sliding windows."""
-    source = events.withWatermark("ts", WATERMARK) if events.isStreaming else events
+    source = _marked(events)
     w = F.window("ts", every, slide) if slide else F.window("ts", every)
     return source.groupBy(w.alias("w")).agg(F.count("*").alias("n"), F.count_if(is_error()).alias("n_errors")).select(F.col("w.start").alias("window_start"), "n", "n_errors")
 
 
 def sessions(events: DataFrame, gap: str = "4 hours") -> DataFrame:
     """user_id, session start, n."""
-    source = events.withWatermark("ts", WATERMARK) if events.isStreaming else events
+    source = _marked(events)
     return source.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("session_start"), "n")
 
 
 def deduplicated(events: DataFrame) -> DataFrame:
     if events.isStreaming:
-        return events.withWatermark("ts", WATERMARK).dropDuplicatesWithinWatermark(["event_id"])
+        return _marked(events).dropDuplicatesWithinWatermark(["event_id"])
     return events.dropDuplicates(["event_id"])
 
 
