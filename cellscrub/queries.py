@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -11,8 +12,8 @@ from cellscrub.functions import text as X
 from cellscrub.operators import align, curate, fd, georef, inject, measure, profile, sampling, taxonomy
 from cellscrub.plans import effectiveness, pairs, scalability
 from cellscrub.schema import ATTRS
-from cellscrub.session import materialize
-from cellscrub.sources import quads
+from cellscrub.session import materialize, scratch_dir
+from cellscrub.sources import formats, quads
 from cellscrub.sources.tables import ADDR_SQL, addr_clean, entities, table
 from cellscrub.streaming import monitor
 from cellscrub.systems import factor, fd_majority, record_prompt, rule_workflow, signature_detector, staged
@@ -335,3 +336,16 @@ query("stream_sliding_batch", f"WITH {_EVENTS} SELECT time_bucket(INTERVAL 30 MI
 query("stream_session_batch", f"WITH {_EVENTS}, g AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 4 HOURS THEN 0 ELSE 1 END AS new FROM x WINDOW w AS (PARTITION BY user_id ORDER BY ts)), k AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS grp FROM g) SELECT user_id, min(ts) AS session_start, count(*) AS n FROM k GROUP BY user_id, grp")(lambda s, d: monitor.sessions(monitor.dirtied(table(s, d, "events"))))
 query("stream_dedup", "SELECT event_id, event_type FROM events")(lambda s, d: monitor.deduplicated((e := table(s, d, "events")).union(e)).select("event_id", "event_type"))
 query("stream_static_join", "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment")(lambda s, d: monitor.enriched(table(s, d, "events"), table(s, d, "customer")).groupBy("c_mktsegment").agg(F.count("*").alias("n")))
+
+# --- files and SQL surface
+
+for _kind in ("json", "csv", "orc", "parquet"):
+    query(f"source_{_kind}", f"{ROWS} SELECT * FROM addr")(lambda s, d, k=_kind: formats.round_trip(addr_clean(s, d), k))
+query("sink_partitioned", f"{ROWS} SELECT _id, country FROM addr WHERE country_code = 'AD'")(lambda s, d: formats.write_partitioned(addr_clean(s, d).select("_id", "country", "country_code"), f"{scratch_dir(s)}/partitioned-{uuid.uuid4().hex}", "country_code").filter("country_code = 'AD'").select("_id", "country"))
+query("sql_report", f"{FULL} SELECT attr, category, count(*) AS n FROM classified WHERE attr = 'road' GROUP BY ALL")(lambda s, d: formats.category_report(_classified(s, d), "road"))
+
+
+@query("sql_decodings", f"{CELL} SELECT _id, clean AS decoded FROM cell WHERE injected = 'encoding' AND dirty <> clean")
+def _decodings(s: SparkSession, d: str) -> DataFrame:
+    formats.register(s, {"encoded_cells": _cells(s, d).filter("injected = 'encoding' AND dirty <> clean")})
+    return s.sql("SELECT _id, decoded FROM encoded_cells, LATERAL decodings(dirty) WHERE decoded = clean")

@@ -64,3 +64,20 @@ def test_funnel_and_profile(spark):
     df = addr_clean(spark, SF)
     assert [r.n_rows for r in curate.funnel([("a", df), ("b", df.limit(5))]).orderBy("step").collect()] == [1500, 5]
     assert profile.distribution(df, "country").agg(F.sum("n")).first()[0] == 1500
+
+
+def test_quads_through_the_python_source(spark, tmp_path):
+    from cellscrub.sources import formats, quads
+
+    spark.dataSource.register(formats.QuadSource)
+    rows = [("_:a1", "schema#name", 'Say "hi" \\ there', "http://x/1"), ("_:p1", "schema#address", "_:a1", "http://x/1")]
+    df = spark.createDataFrame(rows, "subject string, predicate string, object string, graph_iri string")
+    quads.format_quads(df).write.text(str(tmp_path / "q"))
+    assert sorted(map(tuple, spark.read.format("quads").load(str(tmp_path / "q")).collect())) == sorted(rows)
+    bad = quads.read_quads(spark, str(tmp_path / "q")).filter("bad IS NOT NULL")
+    assert bad.count() == 0 and quads.parse_quads(spark.createDataFrame([("nonsense",)], "value string")).first().bad == "nonsense"
+
+
+@pytest.mark.parametrize("name", ["source_json", "source_csv", "sink_partitioned", "sql_report", "sql_decodings"])
+def test_files_and_sql(spark, name):
+    same(QUERIES[name](spark, SF), SQL[name])
