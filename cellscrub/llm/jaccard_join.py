@@ -28,12 +28,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table
+from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table, sliced
 from cellscrub.llm.sketches import BITMAP_BITS, repetition_bitmaps, test_bits
 
 SHINGLE = 5
 PERCENT = 80
 LEVELS = (2, 16)
+ID_BITS = 24
 
 _tools: list = []
 
@@ -66,7 +67,7 @@ def _node_batches(bitmaps, k: int, percent: int):
         of = _shingle_hasher(k)
         maps = [np.frombuffer(b, np.uint8) for b in bitmaps.value]
         salt = np.uint64(0xA5A5A5A5DEADBEEF)
-        for batch in batches:
+        for batch in sliced(batches):
             sizes, keys, prefixes, sets = [], [], [], []
             for text in byte_texts(batch.column("text")):
                 found = of(text)
@@ -270,6 +271,7 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     bitmaps = spark.sparkContext.broadcast(repetition_bitmaps(slim, lambda: _shingle_hasher(shingle), levels=LEVELS))
     rows = materialize(slim.mapInArrow(_node_batches(bitmaps, shingle, percent), _NODE), "join-nodes")
+    bitmaps.unpersist()
     open_rows = rows.filter(F.col("prefix").isNotNull())
     least = open_rows.groupBy("key").agg(F.min("doc_id").alias("least_id"))
     prefixes = open_rows.select("key", "prefix").dropDuplicates(["key"]).select("key", F.explode("prefix").alias("s"))
@@ -296,7 +298,7 @@ def _by_bitmap(bitmap, id_col: str, marked: bool):
             ids = batch.column(id_col).cast(pa.int64()).to_pylist()
             hashes = mix64(np.array([0 if i is None else xxhash.xxh3_64_intdigest(str(i).encode()) for i in ids], np.uint64))
             known = np.array([i is not None for i in ids], bool)
-            yield batch.filter(pa.array((test_bits(bits, hashes) & known) == marked))
+            yield batch.filter(pa.array((test_bits(bits, hashes, ID_BITS) & known) == marked))
 
     return run
 
@@ -312,7 +314,7 @@ def keep_representatives(docs: DataFrame, percent: int = PERCENT, text_col: str
     marked = materialize(marked, "join-marked")
     losers = marked.filter(F.col("n_shingles") > 0).filter(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias("__loser")).distinct()
     losers = materialize(losers, "join-losers")
-    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(losers.select(F.col("__loser").cast("string").alias("text")), _id_hasher, levels=(1,))[0])
+    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(losers.select(F.col("__loser").cast("string").alias("text")), _id_hasher, levels=(1,), bitmap_bits=ID_BITS)[0])
     maybe = docs.mapInArrow(_by_bitmap(bitmap, id_col, True), docs.schema)
     exact = maybe.join(losers, maybe[id_col].cast("long") == F.col("__loser"), "left_anti")
     kept = docs.mapInArrow(_by_bitmap(bitmap, id_col, False), docs.schema).unionByName(exact)

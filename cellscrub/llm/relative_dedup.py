@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table
+from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table, sliced
 from cellscrub.llm.sketches import BITMAP_BITS, repetition_bitmaps, test_bits
 
 WINDOW = 35
@@ -85,7 +85,7 @@ def _parse_batches(bitmap, window: int, anchor: int, bitmap_bits: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tools = _tools()
         bits = np.frombuffer(bitmap.value, np.uint8)
-        for batch in batches:
+        for batch in sliced(batches):
             counts, digests, texts, contexts = [], [], [], []
             for text in byte_texts(batch.column("text")):
                 words = text.split() if text else []
@@ -155,7 +155,7 @@ _FACTOR = pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32())]))
 
 def _factor_batches(window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             removed, digests, factors = [], [], []
             for text, digest, parts, n in zip(batch.column("text").to_pylist(), batch.column("digest").to_pylist(), batch.column("parts").to_pylist(), batch.column("n_words").to_pylist()):
                 if not parts:

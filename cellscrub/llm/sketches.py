@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 
 BITMAP_BITS = 28
 BUCKET_BITS = 8
-FLUSH_AT = 2_000_000
+FLUSH_AT = 1_000_000
 
 
 def pack_sorted(codes: np.ndarray) -> bytes:
@@ -30,7 +30,7 @@ def unpack_sorted(blob: bytes) -> np.ndarray:
 
 def _packing(hashes_of: Callable[[], Callable[[bytes | None], np.ndarray]], bucket_bits: int, text_col: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from cellscrub.llm.common import byte_texts
+        from cellscrub.llm.common import byte_texts, sliced
 
         of = hashes_of()
         held: list[np.ndarray] = []
@@ -44,7 +44,7 @@ def _packing(hashes_of: Callable[[], Callable[[bytes | None], np.ndarray]], buck
             firsts = buckets[np.concatenate(([0], cuts)).astype(np.int64)]
             return pa.RecordBatch.from_arrays([pa.array(firsts.astype(np.int32)), pa.array([pack_sorted(c) for c in np.split(codes, cuts)], pa.binary())], names=["bucket", "codes"])
 
-        for batch in batches:
+        for batch in sliced(batches):
             for text in byte_texts(batch.column(text_col)):
                 found = of(text)
                 if len(found):
