@@ -22,7 +22,7 @@ SPACE_CLASS = r"[\x20\x09-\x0D]+"
 class WordHashes(dict):
     """Memo from a word's bytes to its 64-bit hash; cleared when it outgrows its bound."""
 
-    def __init__(self, bound: int = 200_000):
+    def __init__(self, bound: int = 100_000):
         self.bound = bound
 
     def __missing__(self, word: bytes) -> int:

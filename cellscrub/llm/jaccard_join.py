@@ -95,6 +95,7 @@ def _node_batches(bitmaps, k: int, percent: int):
                     prefixes.append(None)
                     sets.append(None)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), pa.array(prefixes, pa.list_(pa.int64())), pa.array(sets, pa.binary())], names=["doc_id", "n_shingles", "key", "prefix", "shingles"])
+        pa.default_memory_pool().release_unused()
 
     return run
 

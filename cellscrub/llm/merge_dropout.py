@@ -269,6 +269,11 @@ class Codec:
                 self.older[v], self.caches[v] = self.caches[v], {}
         return out
 
+    def forget(self) -> None:
+        """Drop the caches; workers outlive their tasks and share the executor's memory with others."""
+        for v in range(self.variants):
+            self.caches[v], self.older[v] = {}, {}
+
     def decode(self, packed: bytes) -> str:
         table = self.piece_bytes
         data = b"".join([table[i] for i in np.frombuffer(packed, self.code).tolist()])
@@ -315,6 +320,8 @@ def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout:
         for batch in _sliced(batches):
             out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
             yield _replaced(batch, out_col, pa.array(out, pa.binary()))
+        codec.forget()
+        pa.default_memory_pool().release_unused()
 
     return docs.mapInArrow(run, _appended(docs, out_col, T.BinaryType()))
 

@@ -55,6 +55,7 @@ def _packing(hashes_of: Callable[[], Callable[[bytes | None], np.ndarray]], buck
                     held, size = [], 0
         if size:
             yield flush()
+        pa.default_memory_pool().release_unused()
 
     return run
 
