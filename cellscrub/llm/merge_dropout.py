@@ -2,8 +2,10 @@
 
 A text is cut into units that no merge can cross (a run of spaces with the word after it, or a newline). Within a unit
 an agenda holds the candidate merges by vocabulary score, leftmost first on ties; a candidate that comes up is skipped
-for good when a keyed hash of (seed, variant, unit, span) falls below the dropout rate. The variant is derived from the
-document id and the unit's place, so one word gets several segmentations while any rerun of a task repeats them exactly.
+for good with the dropout rate's chance. Every occurrence of a unit draws for itself: a keyed hash of (seed, document id,
+place of the unit) gives the numbers of candidates taken between two skips (geometric, which is the same as one draw a
+candidate), so any rerun of a task repeats the draws exactly. What is remembered is a tree of segmentations by unit and
+numbers drawn so far; an occurrence walks down it and only what nobody has drawn before is segmented anew.
 Characters outside the vocabulary, and literal U+2581, become byte tokens, which keeps decoding lossless.
 
 Defined results: a null text stays null in ids and in the decoded text; an empty text has no ids; a null id counts as
@@ -17,6 +19,7 @@ import heapq
 import re
 import struct
 from collections.abc import Iterator
+from itertools import accumulate, chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -30,24 +33,36 @@ from cellscrub.llm.common import read_table
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 17
-VARIANTS = 4
-CACHE_BOUND = 60_000
+CACHE_BOUND = 400_000
 SLICE = 1000
 
 _MASK = (1 << 64) - 1
+_STEP = 0x9E3779B97F4A7C15
+_GAPS = 1024
+_CACHED = 64
 _SPACE = "▁"
 _UNIT = re.compile(r" +[^ \n]*|[^ \n]+|\n")
 
 
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """Well spread 64-bit values of 64-bit values."""
+    with np.errstate(over="ignore"):
+        x = (x ^ x >> np.uint64(30)) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ x >> np.uint64(27)) * np.uint64(0x94D049BB133111EB)
+        return x ^ x >> np.uint64(31)
+
+
 class Codec:
     """A BPE vocabulary with byte fallback, read from the bytes of a SentencePiece model file."""
 
-    def __init__(self, model: bytes, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, cache_bound: int = CACHE_BOUND):
+    def __init__(self, model: bytes, dropout: float = DROPOUT, seed: int = SEED, cache_bound: int = CACHE_BOUND):
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_proto=model)
-        self.dropout, self.seed, self.variants = dropout, seed, max(1, variants if dropout > 0 else 1)
-        self.limit = min(int(dropout * 2**64), _MASK)
+        self.dropout, self.seed = dropout, seed
+        # a draw below ladder[-k] takes k candidates at least before the next skip
+        chances = [(1 - dropout) ** k for k in range(1, _GAPS + 1)] if dropout > 0 else []
+        self.ladder = np.array([min(int(c * 2**64), _MASK) for c in reversed(chances)], np.uint64)
         self.score: dict[str, float] = {}
         self.id_of: dict[str, int] = {}
         self.byte_ids = [0] * 256
@@ -63,10 +78,8 @@ class Codec:
                 self.score[piece] = sp.get_score(i)
                 self.id_of[piece] = i
                 self.piece_bytes.append(piece.replace(_SPACE, " ").encode())
-        # young and old generation by variant: what is used again moves over before the old one is dropped
-        self.caches: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
-        self.older: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
         self.cache_bound = cache_bound
+        self.forget()
         self.pairs: tuple | None = None
         self.char_table = np.full(0x110000, -1, np.int32)
         for p, i in self.id_of.items():
@@ -74,18 +87,24 @@ class Codec:
                 self.char_table[ord(" " if p == _SPACE else p)] = i
         self.code = np.dtype("<u2" if sp.get_piece_size() <= 65536 else "<u4")
 
-    def _skipped(self, key: int, start: int, end: int) -> bool:
-        """Whether the candidate over unit[start:end] is left out; key stands for seed, variant and unit."""
-        mixed = ((key ^ (start * 0x9E3779B97F4A7C15 + end * 0xC2B2AE3D27D4EB4F)) * 0xBF58476D1CE4E5B9) & _MASK
-        return ((mixed ^ mixed >> 31) * 0x94D049BB133111EB) & _MASK < self.limit
+    def _gaps(self, keys: np.ndarray, draw: int) -> np.ndarray:
+        """Candidates taken before the skip of that number, by occurrence; _GAPS means so many and no skip yet."""
+        with np.errstate(over="ignore"):
+            drawn = _mixed(keys + np.uint64((draw + 1) * 0xC2B2AE3D27D4EB4F & _MASK))
+        return len(self.ladder) - np.searchsorted(self.ladder, drawn, "right")
+
+    def segment(self, unit: str, key: int) -> list[int]:
+        """Ids of one unit under an occurrence's key; unit's spaces are plain spaces."""
+        draws = np.array([key], np.uint64)
+        return self._segment(unit, (int(self._gaps(draws, i)[0]) for i in range(1 << 60)) if len(self.ladder) else iter(()))[0]
 
-    def segment(self, unit: str, variant: int) -> list[int]:
-        """Ids of one unit; unit's spaces are plain spaces."""
+    def _segment(self, unit: str, gaps: Iterator[int]) -> tuple[list[int], int]:
+        """Ids of one unit, and how many candidates came up after the last skip."""
         piece = [_SPACE if c == " " else "" if c == _SPACE else c for c in unit]
         n = len(piece)
         after = list(range(1, n + 1))
         before = list(range(-1, n - 1))
-        score, limit = self.score.get, self.limit
+        score = self.score.get
         push, pop = heapq.heappush, heapq.heappop
         agenda = []
         for i in range(n - 1):
@@ -93,15 +112,22 @@ class Codec:
             if rank is not None and piece[i] and piece[i + 1]:
                 agenda.append((-rank, i, i + 2))
         heapq.heapify(agenda)
-        key = xxhash.xxh3_64_intdigest(unit.encode(), (self.seed << 16 ^ variant) & _MASK) if limit else 0
+        gap = togo = next(gaps, _GAPS)
+        taken = 0
         while agenda:
             _, left, end = pop(agenda)
             right = after[left] if piece[left] else n
             # stale if either side has grown or gone since
             if right >= n or after[right] != end:
                 continue
-            if limit and self._skipped(key, left, end):
+            while togo == 0 and gap == _GAPS:
+                gap = togo = next(gaps, _GAPS)
+            if togo == 0:
+                gap = togo = next(gaps, _GAPS)
+                taken = 0
                 continue
+            togo -= 1
+            taken += 1
             piece[left] += piece[right]
             piece[right] = None
             after[left] = end
@@ -126,7 +152,7 @@ class Codec:
             else:
                 ids += [self.byte_ids[b] for b in (piece[at] or _SPACE).encode()]
             at = after[at]
-        return ids
+        return ids, taken
 
     def _pair_table(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Sorted keys left * 2**32 + right of all joinable pieces, with the joined id and its rank (low is early)."""
@@ -150,29 +176,94 @@ class Codec:
         return ids[at], np.where(good, ranks[at], np.inf)
 
     def segment_many(self, units: list[tuple[str, int]]) -> list[bytes]:
-        """`segment` of many (unit, variant), packed: each step takes the first agenda entry of every unit at once.
+        """`segment` of many (unit, key), packed."""
+        return self._walk([u for u, _ in units], np.fromiter((k for _, k in units), np.uint64, len(units)))
+
+    def _walk(self, units: list[str], keys: np.ndarray) -> list[bytes]:
+        """Packed ids of every occurrence: from its unit down the tree, one level a skip."""
+        at = np.fromiter(map(self.units.get, units, repeat(-1)), np.int64, len(units))
+        new = [units[k] for k in np.flatnonzero(at < 0).tolist()]
+        fresh = [u for u in dict.fromkeys(new) if len(u) <= _CACHED]
+        if fresh:
+            first = self._grow(fresh, np.zeros((len(fresh), 0), np.int64))
+            self.units.update(zip(fresh, range(first, first + len(fresh))))
+        if new:
+            at[at < 0] = np.fromiter(map(self.units.get, new, repeat(-1)), np.int64, len(new))
+        visits = [at[at >= 0]]
+        live = np.flatnonzero(at >= 0) if len(self.ladder) else np.zeros(0, np.int64)
+        draw = 0
+        while len(live):
+            gap = self._gaps(keys[live], draw)
+            hit = gap < self.traces[at[live]]
+            live, gap = live[hit], gap[hit]
+            child = at[live] * _GAPS + gap
+            found = np.fromiter(map(self.children.get, child.tolist(), repeat(-1)), np.int64, len(child))
+            gone = np.flatnonzero(found < 0)
+            if len(gone):
+                fresh_keys, sample, back = np.unique(child[gone], return_index=True, return_inverse=True)
+                who = live[gone[sample]]
+                path = np.stack([self._gaps(keys[who], i) for i in range(draw + 1)], 1)
+                first = self._grow([units[k] for k in who.tolist()], path)
+                self.children.update(zip(fresh_keys.tolist(), range(first, first + len(who))))
+                found[gone] = first + back
+            at[live] = found
+            visits.append(found)
+            draw += 1
+        out = list(map(self.packed.__getitem__, at.tolist())) if len(self.packed) else [b""] * len(units)
+        for k in np.flatnonzero(at < 0).tolist():
+            out[k] = np.array(self.segment(units[k], int(keys[k])), self.code).tobytes()
+        self.used = np.concatenate((self.used, np.zeros(len(self.packed) - len(self.used), np.int64)))
+        self.used += np.bincount(np.concatenate(visits), minlength=len(self.used))
+        if len(self.packed) > self.cache_bound:
+            self._prune()
+        return out
+
+    def _grow(self, units: list[str], path: np.ndarray) -> int:
+        """Adds nodes for units after the skips of path (gaps by column); the first one's number."""
+        first = len(self.packed)
+        packed, traces = self._segment_paths(units, path)
+        self.packed += packed
+        self.traces = np.concatenate((self.traces, traces))
+        return first
+
+    def _prune(self) -> None:
+        """Keep what was used twice since the last time (with a node goes all below it), or nothing if that is too much."""
+        kept = self.used >= 2
+        if np.count_nonzero(kept) > self.cache_bound // 2:
+            self.forget()
+            return
+        number = (np.cumsum(kept) - 1).tolist()
+        stays = kept.tolist()
+        self.units = {u: number[i] for u, i in self.units.items() if stays[i]}
+        self.children = {number[k // _GAPS] * _GAPS + k % _GAPS: number[i] for k, i in self.children.items() if stays[i]}
+        self.packed = [p for p, s in zip(self.packed, stays) if s]
+        self.traces = self.traces[kept]
+        self.used = np.zeros(len(self.packed), np.int64)
+
+    def _segment_paths(self, units: list[str], path: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+        """Packed ids and candidates after the last skip: each step takes the first agenda entry of every unit at once.
 
         Units whose characters are not all pieces of their own, and very long ones, take the plain way.
         """
         out: list[bytes] = [b""] * len(units)
-        if not units:
-            return out
-        sizes = np.fromiter((len(u) for u, _ in units), np.int64, len(units))
-        codes = np.frombuffer("".join([u for u, _ in units]).encode("utf-32-le"), np.uint32)
+        traces = np.zeros(len(units), np.int16)
+        sizes = np.fromiter(map(len, units), np.int64, len(units))
+        codes = np.frombuffer("".join(units).encode("utf-32-le"), np.uint32)
         ids = self.char_table[codes]
         starts = np.cumsum(sizes) - sizes
         plain = (np.minimum.reduceat(ids, starts) < 0) | (sizes > 40)
         for k in np.flatnonzero(plain).tolist():
-            out[k] = np.array(self.segment(*units[k]), self.code).tobytes()
+            found, traces[k] = self._segment(units[k], iter(path[k].tolist()))
+            out[k] = np.array(found, self.code).tobytes()
         short = np.flatnonzero(~plain)
         short = short[np.argsort(sizes[short], kind="stable")]
         for at in range(0, len(short), 8192):
             part = short[at : at + 8192]
-            self._segment_block([units[k] for k in part.tolist()], sizes[part], ids, starts[part], part.tolist(), out)
-        return out
+            traces[part] = self._segment_block(path[part], sizes[part], ids, starts[part], part.tolist(), out)
+        return out, traces
 
-    def _segment_block(self, units: list[tuple[str, int]], sizes: np.ndarray, ids: np.ndarray, starts: np.ndarray, places: list[int], out: list[bytes]) -> None:
-        n, width = len(units), int(sizes[-1]) + 1
+    def _segment_block(self, path: np.ndarray, sizes: np.ndarray, ids: np.ndarray, starts: np.ndarray, places: list[int], out: list[bytes]) -> np.ndarray:
+        n, width = len(sizes), int(sizes[-1]) + 1
         step = np.arange(width)[None, :]
         piece = np.where(step < sizes[:, None], ids[np.minimum(starts[:, None] + step, len(ids) - 1)], -1).astype(np.int32)
         after = np.tile(np.arange(1, width + 1, dtype=np.int32), (n, 1))
@@ -180,7 +271,8 @@ class Codec:
         joined = np.full((n, width), -1, np.int32)
         rank = np.full((n, width), np.inf)
         joined[:, :-1], rank[:, :-1] = self._joined(piece[:, :-1], piece[:, 1:])
-        keys = np.fromiter((xxhash.xxh3_64_intdigest(u.encode(), (self.seed << 16 ^ v) & _MASK) for u, v in units), np.uint64, n) if self.limit else None
+        path = np.concatenate((path, np.full((n, 1), _GAPS)), 1)
+        skips, togo, taken = np.zeros(n, np.int64), path[:, 0].copy(), np.zeros(n, np.int16)
         live = np.flatnonzero(np.isfinite(rank).any(1))
         while len(live):
             best = rank[live].argmin(1)
@@ -190,12 +282,15 @@ class Codec:
                 break
             right = after[live, best]
             end = after[live, right]
-            if self.limit:
-                skip = self._skipped_many(keys[live], best, end)
-                rank[live[skip], best[skip]] = np.inf
-                rows, left, right, end = live[~skip], best[~skip], right[~skip], end[~skip]
-            else:
-                rows, left = live, best
+            skip = togo[live] == 0
+            dropped = live[skip]
+            rank[dropped, best[skip]] = np.inf
+            skips[dropped] += 1
+            togo[dropped] = path[dropped, skips[dropped]]
+            taken[dropped] = 0
+            rows, left, right, end = live[~skip], best[~skip], right[~skip], end[~skip]
+            togo[rows] -= 1
+            taken[rows] += 1
             piece[rows, left] = joined[rows, left]
             piece[rows, right] = -1
             rank[rows, right] = np.inf
@@ -214,65 +309,31 @@ class Codec:
         for k, e in zip(places, ends.tolist()):
             out[k] = data[last * step : e * step]
             last = e
-
-    def _skipped_many(self, key: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            span = start.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + end.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
-            mixed = (key ^ span) * np.uint64(0xBF58476D1CE4E5B9)
-            return (mixed ^ mixed >> np.uint64(31)) * np.uint64(0x94D049BB133111EB) < np.uint64(self.limit)
+        return taken
 
     def encode(self, text: str, doc_id: int = 0) -> bytes:
         """Ids of a whole text, packed as little-endian uint16 (uint32 for vocabularies over 65,536 pieces)."""
         return self.encode_many([text], [doc_id])[0]
 
     def encode_many(self, texts: list[str | None], doc_ids: list[int | None]) -> list[bytes | None]:
-        """`encode` of several texts; units that are not in the cache are segmented together."""
-        k = self.variants
+        """`encode` of several texts."""
         cut = [_UNIT.findall(" " + t) if t else [] for t in texts]
-        first = [xxhash.xxh3_64_intdigest(struct.pack("<qI", d or 0, self.seed & 0xFFFFFFFF)) % k for d in doc_ids]
-        wanted: list[set[str]] = [set() for _ in range(k)]
-        for units, at in zip(cut, first):
-            for v in range(k):
-                wanted[(at + v) % k].update(units[v::k])
-        missing: list[tuple[str, int]] = []
-        tables: list[dict[str, bytes]] = []
-        for v, units in enumerate(wanted):
-            young, old = self.caches[v], self.older[v]
-            table = {}
-            for u in units:
-                found = young.get(u)
-                if found is None:
-                    found = old.get(u)
-                    if found is None:
-                        missing.append((u, v))
-                        continue
-                    young[u] = found
-                table[u] = found
-            tables.append(table)
-        for (u, v), packed in zip(missing, self.segment_many(missing)):
-            tables[v][u] = packed
-            if len(u) <= 64:
-                self.caches[v][u] = packed
-        out: list[bytes | None] = []
-        for text, units, at in zip(texts, cut, first):
-            if k == 1:
-                get = tables[0].__getitem__
-                packed = b"".join(map(get, units))
-            else:
-                parts: list[bytes] = [b""] * len(units)
-                for v in range(k):
-                    parts[v::k] = map(tables[(at + v) % k].__getitem__, units[v::k])
-                packed = b"".join(parts)
-            out.append(None if text is None else packed)
-        for v in range(k):
-            if len(self.caches[v]) >= self.cache_bound:
-                self.older[v], self.caches[v] = self.caches[v], {}
-        return out
+        sizes = np.fromiter(map(len, cut), np.int64, len(cut))
+        ends = list(accumulate(sizes.tolist()))
+        drawn = np.fromiter((xxhash.xxh3_64_intdigest(struct.pack("<qI", d or 0, self.seed & 0xFFFFFFFF)) for d in doc_ids), np.uint64, len(cut))
+        place = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        with np.errstate(over="ignore"):
+            keys = _mixed(np.repeat(drawn, sizes) + place.astype(np.uint64) * np.uint64(_STEP))
+        packed = self._walk(list(chain.from_iterable(cut)), keys)
+        return [None if t is None else b"".join(packed[e - len(c) : e]) for t, c, e in zip(texts, cut, ends)]
 
     def forget(self) -> None:
-        """Drop the caches; workers outlive their tasks and share the executor's memory with others."""
-        for v in range(self.variants):
-            self.caches[v], self.older[v] = {}, {}
+        """Drop the tree; workers outlive their tasks and share the executor's memory with others."""
+        # nodes by number: segmentation, candidates after the last skip, visits; roots by unit, others by parent and gap
+        self.packed: list[bytes] = []
+        self.traces, self.used = np.zeros(0, np.int16), np.zeros(0, np.int64)
+        self.units: dict[str, int] = {}
+        self.children: dict[int, int] = {}
 
     def decode(self, packed: bytes) -> str:
         table = self.piece_bytes
@@ -283,10 +344,10 @@ class Codec:
 _codecs: dict[tuple, Codec] = {}
 
 
-def _codec(model: bytes, dropout: float, seed: int, variants: int) -> Codec:
-    key = (xxhash.xxh3_64_intdigest(model), dropout, seed, variants)
+def _codec(model: bytes, dropout: float, seed: int) -> Codec:
+    key = (xxhash.xxh3_64_intdigest(model), dropout, seed)
     if key not in _codecs:
-        _codecs[key] = Codec(model, dropout, seed, variants)
+        _codecs[key] = Codec(model, dropout, seed)
     return _codecs[key]
 
 
@@ -311,12 +372,12 @@ def _sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield batch.slice(at, SLICE)
 
 
-def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, text_col: str = "text", id_col: str = "doc_id", out_col: str = "piece_ids") -> DataFrame:
+def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout: float = DROPOUT, seed: int = SEED, text_col: str = "text", id_col: str = "doc_id", out_col: str = "piece_ids") -> DataFrame:
     """docs with out_col: packed ids as in Codec.encode (`unpack_ids` gives an array column); no shuffle."""
     model = _model_bytes(model_path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(model, dropout, seed, variants)
+        codec = _codec(model, dropout, seed)
         for batch in _sliced(batches):
             out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
             yield _replaced(batch, out_col, pa.array(out, pa.binary()))
@@ -331,7 +392,7 @@ def decode_documents(encoded: DataFrame, model_path: str = DEFAULT_MODEL, ids_co
     model = _model_bytes(model_path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(model, 0.0, 0, 1)
+        codec = _codec(model, 0.0, 0)
         for batch in _sliced(batches):
             out = [None if b is None else codec.decode(b) for b in batch.column(ids_col).to_pylist()]
             yield _replaced(batch, out_col, pa.array(out, pa.string()))

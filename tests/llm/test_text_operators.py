@@ -69,6 +69,29 @@ def test_pieces_match_the_library_without_dropout_and_decode_with_it():
     assert [again.encode(t, 3) for t in texts[:50]] == [loose.encode(t, 3) for t in texts[:50]]
 
 
+def test_every_occurrence_draws_its_own_skips():
+    model = open(merge_dropout.DEFAULT_MODEL, "rb").read()
+    codec = merge_dropout.Codec(model, 0.1)
+    text = "another thing happened yesterday"
+    copies = codec.encode_many([text] * 3000, list(range(3000)))
+    assert len(set(copies)) > 100 and copies == merge_dropout.Codec(model, 0.1).encode_many([text] * 3000, list(range(3000)))
+    word = "yesterday"
+    whole = merge_dropout.Codec(model, 0.0).encode(word)
+    keys = np.random.default_rng(1).integers(0, 2**63, 4000).astype(np.uint64)
+    within = codec.segment_many([(" " + word, int(k)) for k in keys])
+    assert len(set(within)) > 20
+    # the share without any skip is that of independent draws, one a candidate of the undisturbed agenda
+    _, candidates = codec._segment(" " + word, iter(()))
+    untouched = codec._gaps(keys, 0) >= candidates
+    assert abs(untouched.mean() - 0.9**candidates) < 0.04 and all(w == whole for w, u in zip(within, untouched) if u)
+    # repeats within one text do not step through a fixed cycle
+    line = np.frombuffer(codec.encode(" ".join([word] * 400), 5), codec.code).tobytes()
+    assert line != codec.encode(" ".join([word] * 400), 6) and codec.decode(line) == " ".join([word] * 400)
+    # a tree that is pruned all the time gives the same
+    small = merge_dropout.Codec(model, 0.1, cache_bound=20)
+    assert [small.encode(text, i) for i in range(300)] == copies[:300]
+
+
 def test_pieces_table(docs, empty):
     out = merge_dropout.decode_documents(merge_dropout.encode_documents(docs))
     assert out.filter("NOT (decoded <=> text)").count() == 0 and out.count() == docs.count()
