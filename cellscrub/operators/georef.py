@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from cellscrub.functions import text as X
 from cellscrub.schema import CORE_ATTRS
+from cellscrub.session import materialize
 
 RUNGS = (("postcode", "country"), ("postcode", "country_code"), ("locality", "country"), ("locality", "country_code"), ("name", "country"))
 ACCEPT = 0.75
@@ -45,16 +46,42 @@ def lookup(dirty: DataFrame, ref: DataFrame, accept: float = ACCEPT) -> DataFram
     return out
 
 
-def lookup_freetext(dirty: DataFrame, ref: DataFrame, most_refs: int = 500, least: float = 0.5) -> DataFrame:
-    """_id, ref_id, score by shared words of the whole address; words in over most_refs references do not propose."""
-    words = lambda df: F.array_distinct(X.tokens(F.concat_ws(" ", *[F.col(c) for c in CORE_ATTRS])))
-    q = dirty.select("_id", words(dirty).alias("q"))
-    r = ref.select("ref_id", words(ref).alias("r"))
-    index = r.select("ref_id", F.explode("r").alias("w"))
-    rare = index.groupBy("w").agg(F.count("*").alias("n")).filter(F.col("n") <= most_refs).select("w")
-    pairs = q.select("_id", F.explode("q").alias("w")).join(index.join(rare, "w"), "w").select("_id", "ref_id").distinct()
-    scored = pairs.join(q, "_id").join(r, "ref_id").select("_id", "ref_id", F.round(X.jaccard(F.col("q"), F.col("r")), 6).alias("score")).filter(F.col("score") >= least)
-    return scored.groupBy("_id").agg(F.min(F.struct((-F.col("score")).alias("m"), "ref_id")).alias("b")).select("_id", F.col("b.ref_id").alias("ref_id"), (-F.col("b.m")).alias("score"))
+def lookup_freetext(dirty: DataFrame, ref: DataFrame, least: float = 0.5) -> DataFrame:
+    """_id, ref_id, score: the best reference by shared words of the whole address, least (above 0) or better.
+
+    Equal word sets are compared once. Words are ordered from the rarest on; for sizes n and m, sets that are alike
+    enough share at least least / (1 + least) * (n + m) words and thus meet in the words before those, so no match is lost.
+    """
+    words = lambda df: F.array_sort(F.array_distinct(X.tokens(F.concat_ws(" ", *[F.col(c) for c in CORE_ATTRS]))))
+    asked = materialize(dirty.select("_id", words(dirty).alias("s")), "freetext")
+    sets = materialize(asked.groupBy("s").agg(F.min("_id").alias("id")), "freetext")
+    refs = ref.select("ref_id", words(ref).alias("s")).groupBy("s").agg(F.min("ref_id").alias("ref_id"))
+    # numbers in the order of ref_id, so that score and reference fit in one long that is aggregated without a sort
+    refs = refs.repartitionByRange(64, "ref_id").sortWithinPartitions("ref_id").withColumn("id", F.monotonically_increasing_id())
+    refs = materialize(refs, "freetext")
+    counts = refs.select(F.explode("s").alias("w")).groupBy("w").agg(F.count("*").alias("n"))
+    bound = least - 1e-6  # scores are rounded before they are compared
+
+    def ordered(sets: DataFrame) -> DataFrame:
+        known = sets.select("id", F.size("s").alias("size"), F.explode("s").alias("w")).join(counts, "w").groupBy("id", "size").agg(F.array_sort(F.collect_list(F.struct("n", "w"))).alias("k"))
+        return materialize(known.select("id", F.col("size").alias("n"), F.col("k.w").alias("k")), "freetext")
+
+    q, r = ordered(sets), ordered(refs)
+
+    def proposing(some: DataFrame, others: DataFrame) -> DataFrame:
+        sizes = F.broadcast(others.select(F.col("n").alias("m")).distinct())
+        fits = some.join(sizes, (F.col("m") >= F.col("n") * bound) & (F.col("n") >= F.col("m") * bound))
+        take = F.size("k") - F.ceil(F.lit(bound / (1 + bound)) * (F.col("n") + F.col("m")) - 1e-9).cast("int") + 1
+        return fits.select("id", "k", "n", "m", F.explode(F.slice("k", 1, F.greatest(take, F.lit(0)))).alias("w"))
+
+    left, right = proposing(q, r).alias("q"), proposing(r, q).alias("r")
+    pairs = left.join(right, (F.col("q.w") == F.col("r.w")) & (F.col("q.n") == F.col("r.m")) & (F.col("q.m") == F.col("r.n")))
+    common = F.size(F.array_intersect("q.k", "r.k"))
+    scored = pairs.select(F.col("q.id").alias("id"), F.col("r.id").alias("no"), F.round(common / (F.col("q.n") + F.col("r.n") - common), 6).alias("score")).filter(F.col("score") >= least)
+    top = scored.groupBy("id").agg(F.min((1000000 - F.round(F.col("score") * 1000000).cast("long")) * 2**42 + F.col("no")).alias("b"))
+    best = top.select("id", (F.col("b") % 2**42).alias("no"), ((1000000 - F.shiftright("b", 42)) / 1000000).alias("score"))
+    found = best.join(refs.select(F.col("id").alias("no"), "ref_id"), "no").join(sets, "id").select("s", "ref_id", "score")
+    return asked.join(found, "s").select("_id", "ref_id", "score").distinct()
 
 
 def lookup_client(dirty: DataFrame, client: Callable[[dict], dict | None], schema: str = "_id string, ref_id string, score double") -> DataFrame:

@@ -159,7 +159,7 @@ def _aligned(s: SparkSession, d: str) -> DataFrame:
 
 
 query("lookup_ladder")(lambda s, d: georef.lookup(_aligned(s, d), georef.reference(addr_clean(s, d, "customer"))).groupBy("rung").agg(F.count("*").alias("n"), F.round(F.avg("score"), 6).alias("mean_score")))
-query("lookup_freetext")(lambda s, d: georef.lookup_freetext(sampling.fixed(_aligned(s, d), 300), georef.reference(addr_clean(s, d, "customer"))))
+query("lookup_freetext")(lambda s, d: georef.lookup_freetext(_aligned(s, d), georef.reference(addr_clean(s, d, "customer"))))
 
 
 @query("reference_coverage")

@@ -81,3 +81,32 @@ def test_quads_through_the_python_source(spark, tmp_path):
 @pytest.mark.parametrize("name", ["source_json", "source_csv", "sink_partitioned", "sql_report", "sql_decodings"])
 def test_files_and_sql(spark, name):
     same(QUERIES[name](spark, SF), SQL[name])
+
+
+def test_freetext_lookup_is_whole_and_exact(spark):
+    import random
+
+    from cellscrub.operators import georef
+    from cellscrub.schema import CORE_ATTRS
+
+    rng = random.Random(6)
+
+    def rows(n, spoil):
+        made = []
+        for i in range(n):
+            row = [str(rng.randrange(4)), f"road {rng.choice('ab')}", f"p{rng.randrange(8)}", f"l{rng.randrange(3)}", *["same"] * (len(CORE_ATTRS) - 4)]
+            made.append((str(i), *[None if rng.random() < spoil else f"x{rng.randrange(9)}" if rng.random() < spoil else v for v in row]))
+        return made
+
+    schema = lambda key: ", ".join(f"{c} string" for c in (key, *CORE_ATTRS))
+    cut = lambda r: {w for v in r[1:] if v for w in v.split()}
+    dirty, refs = rows(120, 0.2), rows(700, 0.05)
+    for least in (0.5, 0.666667):
+        want = {}
+        for d in dirty:
+            scores = [(-round(len(cut(d) & cut(r)) / len(cut(d) | cut(r)), 6), r[0]) for r in refs if cut(d) | cut(r)]
+            if -min(scores)[0] >= least:
+                want[d[0]] = min(scores)
+        got = georef.lookup_freetext(spark.createDataFrame(dirty, schema("_id")), spark.createDataFrame(refs, schema("ref_id")), least).collect()
+        assert want and {r._id: (-r.score, r.ref_id) for r in got} == want and len(got) == len(want)
+    assert QUERIES["lookup_freetext"](spark, SF).count() > 300
