@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark import Broadcast
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellscrub.session import materialize, scratch_dir  # noqa: F401
@@ -81,11 +84,47 @@ def byte_texts(column: pa.Array) -> list[bytes | None]:
     return column.cast(pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()).to_pylist()
 
 
-def sliced(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
-    """The batches in pieces of few rows, so that what a task makes of one stays small."""
+def sliced(batches: Iterator[pa.RecordBatch], text_col: str = "text", rows: int = 500, budget: int = 1_000_000) -> Iterator[pa.RecordBatch]:
+    """The batches in pieces of few rows and bytes of text (one row at least), so that what a task makes of one stays small."""
     for batch in batches:
-        for at in range(0, batch.num_rows, rows):
-            yield batch.slice(at, rows)
+        sizes = pc.fill_null(pc.binary_length(batch.column(text_col)), 0).to_numpy(zero_copy_only=False)
+        ends = np.cumsum(sizes, dtype=np.int64)
+        at = 0
+        while at < len(ends):
+            before = int(ends[at - 1]) if at else 0
+            end = max(at + 1, min(at + rows, int(np.searchsorted(ends, before + budget, "right"))))
+            yield batch.slice(at, end - at)
+            at = end
+
+
+#: Rows that go to a Python worker at once; very long texts make Spark's own 10,000 a lot of memory on both sides.
+BATCH_ROWS = 1000
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """Lower the session's Arrow batch size (a runtime setting) to BATCH_ROWS where it is larger or unlimited."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
+def tidy(*shared: Broadcast) -> None:
+    """At a task's end: drop the loaded values of broadcasts and hand freed memory back to the system. Idle workers
+    outlive their tasks and share the executor's memory with later stages; a task that needs a value loads it again."""
+    for one in shared:
+        one.__dict__.pop("_value", None)
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """name, with underscores added until no column of df is called so."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 def word_array(text: Column) -> Column:

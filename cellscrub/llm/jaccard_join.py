@@ -3,12 +3,16 @@
 Two documents link when 100 * |intersection| >= 80 * |union| of their shingle sets. Equal sets are one node from the
 start. Shingles have one global order (rarer class first, then hash), and linked sets must share a shingle in their
 first n - ceil(0.8 n) + 1 ones; shingles that occur once are dropped from these prefixes, and texts of whose shingles
-not 80 % occur elsewhere are left out. Nodes that share a prefix
-shingle, directly or through others, form a candidate group; each goes to one task once, with its whole sets, where the
-inverted lists of the sets seen so far are searched: short lists are merged by a heap, the long ones are only probed for
-the candidates that come out. A set is compared with one representative of each component first and with the other
-members of a component only if that fails, so a group of copies costs one comparison each and no link between different
-texts is lost.
+not 80 % occur elsewhere are left out. The nodes that share a prefix shingle have a hub, the least of them; a group is a
+hub with all nodes that share some prefix shingle of which it is the hub. So every pair that may link is in one group at
+least, and a group never reaches beyond its hub's neighbours, however long the chains of neighbours get.
+
+A group with at most `group_budget` shingles in its sets is one task: the inverted lists of the sets seen so far are
+searched, short lists merged by a heap, the long ones only probed for the candidates that come out; a set is compared with
+one representative of each component first and with the other members of a component only if that fails. A larger group
+is first compared with its hub, row by row; what links with the hub needs no further comparison among itself. The rest
+is dealt into chunks, and every pair of chunks, and every chunk with each chunk of the linked ones, is a task, so no
+task holds more than the budget (or two sets, where they are larger). Only verified links become edges of components.
 
 Defined results: null and blank texts have no shingles, link with nothing and are their own component; repeated rows
 and equal texts share a component; a null id never becomes a component id unless its component has no other; an empty
@@ -28,21 +32,18 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table, sliced
-from cellscrub.llm.sketches import BITMAP_BITS, repetition_bitmaps, test_bits
+from cellscrub.llm.common import RollingHash, WordHashes, bounded_batches, byte_texts, fresh, materialize, mix64, read_table, sliced, tidy
+from cellscrub.llm.sketches import repetition_bitmaps, test_bits
 
 SHINGLE = 5
 PERCENT = 80
 LEVELS = (2, 16)
 ID_BITS = 24
-
-_tools: list = []
+GROUP_BUDGET = 250_000
 
 
 def _shingle_hasher(k: int):
-    if not _tools:
-        _tools.extend((WordHashes(), RollingHash()))
-    words_of, rolling = _tools
+    words_of, rolling = WordHashes(), RollingHash()
 
     def of(text: bytes | None) -> np.ndarray:
         """Distinct shingle hashes, sorted."""
@@ -64,6 +65,12 @@ _NODE = "doc_id long, n_shingles long, key binary, prefix array<long>, shingles
 
 def _node_batches(bitmaps, k: int, percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from nodes(batches)
+        finally:
+            tidy(bitmaps)
+
+    def nodes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of = _shingle_hasher(k)
         maps = [np.frombuffer(b, np.uint8) for b in bitmaps.value]
         salt = np.uint64(0xA5A5A5A5DEADBEEF)
@@ -95,8 +102,6 @@ def _node_batches(bitmaps, k: int, percent: int):
                     prefixes.append(None)
                     sets.append(None)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), pa.array(prefixes, pa.list_(pa.int64())), pa.array(sets, pa.binary())], names=["doc_id", "n_shingles", "key", "prefix", "shingles"])
-        pa.default_memory_pool().release_unused()
-
     return run
 
 
@@ -152,7 +157,7 @@ class _Component:
 def link_sets(sets: list[list[int]], prefix_sizes: list[int], percent: int = PERCENT, joined: list[int] | None = None) -> list[int]:
     """Component root for each set; sets hold distinct shingles in the global order, sorted by size.
 
-    joined may give component numbers known before, to continue from.
+    joined may give a component number for each set, equal where sets are known to be linked, to continue from.
     """
     parent = list(range(len(sets)))
 
@@ -212,36 +217,85 @@ def link_sets(sets: list[list[int]], prefix_sizes: list[int], percent: int = PER
     return [root(i) for i in range(len(sets))]
 
 
+_TASK = "grp binary, key binary, known boolean, shingles binary"
+
+
 def _group_batches(percent: int):
-    def solve(rows: list[tuple]) -> tuple[list, list]:
+    """For rows sorted by task, (a, b) links that join each component of a task's sets; known ones are one already."""
+
+    def solve(rows: list[tuple]) -> Iterator[tuple[bytes, bytes]]:
         rows.sort(key=lambda r: (len(r[2]), r[0]))
         sets = [np.frombuffer(r[2], np.uint64).tolist() for r in rows]
-        roots = link_sets(sets, [len(s) - _least_overlap(len(s), percent) + 1 for s in sets], percent)
-        least: dict[int, int] = {}
-        for r, (_, doc_id, _) in zip(roots, rows):
-            if doc_id is not None and (r not in least or doc_id < least[r]):
-                least[r] = doc_id
-        return [r[0] for r in rows], [least.get(r) for r in roots]
+        joined = [-1 if known else i for i, (_, known, _) in enumerate(rows)]
+        roots = link_sets(sets, [len(s) - _least_overlap(len(s), percent) + 1 for s in sets], percent, joined)
+        told = False
+        for r, (key, known, _) in zip(roots, rows):
+            if key != rows[r][0] and not (known and (told or rows[r][1])):
+                yield key, rows[r][0]
+                told = told or known
+
+    def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current, rows, out = None, [], []
+
+        def drain() -> pa.RecordBatch:
+            batch = pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], pa.binary()) for i in (0, 1)], names=["a", "b"])
+            out.clear()
+            return batch
+
+        for batch in batches:
+            for task, key, known, shingles in zip(*(batch.column(c).to_pylist() for c in ("grp", "key", "known", "shingles"))):
+                if task != current:
+                    out += solve(rows)
+                    current, rows = task, []
+                rows.append((key, known, shingles))
+            if len(out) > 20_000:
+                yield drain()
+        out += solve(rows)
+        yield drain()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, rows = None, []
+        try:
+            yield from links(batches)
+        finally:
+            tidy()
+
+    return run
+
+
+def _hub_batches(percent: int):
+    """Whether each set links with its group's hub."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, hub = None, np.empty(0, np.uint64)
         for batch in batches:
-            out: tuple[list, list] = ([], [])
-            for group, key, doc_id, shingles in zip(*(batch.column(c).to_pylist() for c in ("grp", "key", "least_id", "shingles"))):
-                if group != current:
-                    if rows:
-                        for a, b in zip(out, solve(rows)):
-                            a += b
-                    current, rows = group, []
-                rows.append((key, doc_id, shingles))
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.binary()), pa.array(out[1], pa.int64())], names=["key", "component_id"])
-        if rows:
-            keys, ids = solve(rows)
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(ids, pa.int64())], names=["key", "component_id"])
+            flags = []
+            for one, of_hub in zip(batch.column("shingles").to_pylist(), batch.column("hub_shingles").to_pylist()):
+                if of_hub != last:
+                    last, hub = of_hub, np.sort(np.frombuffer(of_hub, np.uint64))
+                mine = np.frombuffer(one, np.uint64)
+                both = int(np.count_nonzero(hub[np.minimum(np.searchsorted(hub, mine), len(hub) - 1)] == mine))
+                flags.append(100 * both >= percent * (len(mine) + len(hub) - both))
+            yield pa.RecordBatch.from_arrays([batch.column("hub"), batch.column("key"), batch.column("n"), pa.array(flags, pa.bool_())], names=["hub", "key", "n", "known"])
 
     return run
 
 
+def _chunk_tasks(tested: DataFrame, budget: int) -> DataFrame:
+    """grp, key, known: members of large groups dealt into tasks, each of two chunks of half the budget at most.
+
+    Chunks of members that don't link with the hub meet each other and every chunk of those that do.
+    """
+    share = lambda c: F.ceil(F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0)) / (budget / 2)).cast("int")
+    parts = tested.groupBy("hub").agg(share(~F.col("known")).alias("open_parts"), share(F.col("known")).alias("known_parts")).filter("open_parts > 0")
+    dealt = tested.join(parts, "hub").withColumn("chunk", F.pmod(F.xxhash64("key"), F.when(F.col("known"), F.col("known_parts")).otherwise(F.col("open_parts"))).cast("int"))
+    to = lambda n: F.sequence(F.lit(0), n - 1)
+    name = lambda kind, i, j: F.concat_ws(":", F.lit(kind), i.cast("string"), j.cast("string"))
+    with_known = F.when(F.col("known"), F.transform(to(F.col("open_parts")), lambda i: name("k", i, F.col("chunk")))).otherwise(F.transform(to(F.col("known_parts")), lambda j: name("k", F.col("chunk"), j)))
+    others = F.filter(F.transform(to(F.col("open_parts")), lambda i: F.when(i != F.col("chunk"), name("o", F.least(i, F.col("chunk")), F.greatest(i, F.col("chunk"))))), lambda x: x.isNotNull())
+    tasks = F.when(F.col("known"), with_known).otherwise(F.concat(with_known, others))
+    return dealt.select("hub", "key", "known", F.explode(tasks).alias("t")).select(F.concat("hub", F.encode("t", "utf-8")).alias("grp"), "key", "known")
+
+
 def connected(edges: DataFrame, rounds: int = 40) -> DataFrame:
     """(node, head) for every node that has an edge and isn't its component's least: alternating stars.
 
@@ -266,25 +320,31 @@ def connected(edges: DataFrame, rounds: int = 40) -> DataFrame:
     return current.select(F.col("a").alias("node"), F.col("b").alias("head"))
 
 
-def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", group_budget: int = GROUP_BUDGET) -> DataFrame:
     """doc_id, n_shingles, component_id, set_key (binary, equal for equal sets); one row per input row."""
     spark = docs.sparkSession
+    bounded_batches(spark)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     bitmaps = spark.sparkContext.broadcast(repetition_bitmaps(slim, lambda: _shingle_hasher(shingle), levels=LEVELS))
     rows = materialize(slim.mapInArrow(_node_batches(bitmaps, shingle, percent), _NODE), "join-nodes")
     bitmaps.unpersist()
     open_rows = rows.filter(F.col("prefix").isNotNull())
     least = open_rows.groupBy("key").agg(F.min("doc_id").alias("least_id"))
-    prefixes = open_rows.select("key", "prefix").dropDuplicates(["key"]).select("key", F.explode("prefix").alias("s"))
-    hubs = prefixes.groupBy("s").agg(F.min("key").alias("hub"), F.count("*").alias("n")).filter("n > 1").select("s", "hub")
-    edges = prefixes.join(hubs, "s").select(F.col("key").alias("a"), F.col("hub").alias("b")).filter("a <> b")
-    stars = connected(edges)
-    grouped = stars.union(stars.select(F.col("head").alias("node"), "head").distinct()).select(F.col("node").alias("key"), F.col("head").alias("grp"))
+    prefixes = open_rows.select("key", "n_shingles", "prefix").dropDuplicates(["key"]).select("key", F.col("n_shingles").alias("n"), F.explode("prefix").alias("s"))
+    hubs = prefixes.groupBy("s").agg(F.min("key").alias("hub"), F.count("*").alias("sharing")).filter("sharing > 1").select("s", "hub")
+    homes = materialize(prefixes.join(hubs, "s").select("key", "n", "hub").distinct(), "join-homes")
+    large = materialize(homes.groupBy("hub").agg(F.sum("n").alias("weight")).filter(F.col("weight") > group_budget).select("hub"), "join-large")
     sets = open_rows.select("key", "shingles").dropDuplicates(["key"])
-    tasks = sets.join(grouped, "key").join(least, "key").repartition("grp").sortWithinPartitions("grp").select("grp", "key", "least_id", "shingles")
-    solved = tasks.mapInArrow(_group_batches(percent), "key binary, component_id long")
-    # equal sets that link with no other set
-    found = materialize(least.join(solved, "key", "left").select("key", F.coalesce("component_id", "least_id").alias("component_id")), "join-components")
+    of_hub = sets.select(F.col("key").alias("hub"), F.col("shingles").alias("hub_shingles")).join(large, "hub")
+    wide = homes.join(large, "hub").join(sets, "key").join(of_hub, "hub").select("hub", "key", "n", "shingles", "hub_shingles")
+    tested = materialize(wide.mapInArrow(_hub_batches(percent), "hub binary, key binary, n long, known boolean"), "join-tested")
+    small = homes.join(large, "hub", "left_anti").select(F.col("hub").alias("grp"), "key", F.lit(False).alias("known"))
+    tasks = small.unionByName(_chunk_tasks(tested, group_budget)).join(sets, "key").select("grp", "key", "known", "shingles")
+    solved = tasks.repartition("grp").sortWithinPartitions("grp").mapInArrow(_group_batches(percent), "a binary, b binary")
+    stars = connected(solved.unionByName(tested.filter("known").select(F.col("key").alias("a"), F.col("hub").alias("b"))))
+    headed = least.join(stars.withColumnRenamed("node", "key"), "key", "left").select("key", "least_id", F.coalesce("head", "key").alias("head"))
+    named = headed.groupBy("head").agg(F.min("least_id").alias("component_id"))
+    found = materialize(headed.join(named, "head").select("key", "component_id"), "join-components")
     return rows.select("doc_id", "n_shingles", "key").join(found, "key", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.col("key").alias("set_key"))
 
 
@@ -300,6 +360,8 @@ def _by_bitmap(bitmap, id_col: str, marked: bool):
             hashes = mix64(np.array([0 if i is None else xxhash.xxh3_64_intdigest(str(i).encode()) for i in ids], np.uint64))
             known = np.array([i is not None for i in ids], bool)
             yield batch.filter(pa.array((test_bits(bits, hashes, ID_BITS) & known) == marked))
+        del bits
+        tidy(bitmap)
 
     return run
 
@@ -307,24 +369,25 @@ def _by_bitmap(bitmap, id_col: str, marked: bool):
 def keep_representatives(docs: DataFrame, percent: int = PERCENT, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """One row of each component, that with the smallest id; all rows without words, and all columns of docs.
 
-    Of rows that repeat a component's smallest id one is kept; rows with a null id all stay. A bitmap of fixed size over
-    the ids to drop tells most rows apart in place; only rows that it marks take part in the exact join.
+    Of rows that repeat a component's smallest id the one with the longest text is kept (the greatest of equally long
+    ones); rows with a null id all stay. A bitmap of fixed size over the ids to drop tells most rows apart in place; only
+    rows that it marks take part in the exact join.
     """
     spark = docs.sparkSession
-    marked = components(docs, percent, id_col=id_col, text_col=text_col)
-    marked = materialize(marked, "join-marked")
-    losers = marked.filter(F.col("n_shingles") > 0).filter(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias("__loser")).distinct()
+    marked = materialize(components(docs, percent, id_col=id_col, text_col=text_col), "join-marked")
+    loser, repeat, place = fresh(docs, "__loser"), fresh(docs, "__repeat"), fresh(docs, "__place")
+    losers = marked.filter(F.col("n_shingles") > 0).filter(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias(loser)).distinct()
     losers = materialize(losers, "join-losers")
-    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(losers.select(F.col("__loser").cast("string").alias("text")), _id_hasher, levels=(1,), bitmap_bits=ID_BITS)[0])
+    bitmap = spark.sparkContext.broadcast(repetition_bitmaps(losers.select(F.col(loser).cast("string").alias("text")), _id_hasher, levels=(1,), bitmap_bits=ID_BITS)[0])
     maybe = docs.mapInArrow(_by_bitmap(bitmap, id_col, True), docs.schema)
-    exact = maybe.join(losers, maybe[id_col].cast("long") == F.col("__loser"), "left_anti")
+    exact = maybe.join(losers, maybe[id_col].cast("long") == F.col(loser), "left_anti")
     kept = docs.mapInArrow(_by_bitmap(bitmap, id_col, False), docs.schema).unionByName(exact)
-    repeated = materialize(marked.filter("n_shingles > 0 and component_id = doc_id").groupBy(F.col("doc_id").alias("__id")).count().filter("count > 1").select("__id"), "join-repeats")
+    repeated = materialize(marked.filter("n_shingles > 0 and component_id = doc_id").groupBy(F.col("doc_id").alias(repeat)).count().filter("count > 1").select(repeat), "join-repeats")
     if repeated.isEmpty():
         return kept
-    same = kept[id_col].cast("long") == F.col("__id")
-    first = Window.partitionBy(id_col).orderBy(F.coalesce(F.octet_length(text_col), F.lit(0)).desc())
-    once = kept.join(repeated, same, "left_semi").withColumn("__n", F.row_number().over(first)).filter("__n = 1").drop("__n")
+    same = kept[id_col].cast("long") == F.col(repeat)
+    first = Window.partitionBy(id_col).orderBy(F.coalesce(F.octet_length(text_col), F.lit(0)).desc(), F.col(text_col).desc())
+    once = kept.join(repeated, same, "left_semi").withColumn(place, F.row_number().over(first)).filter(F.col(place) == 1).drop(place)
     return kept.join(repeated, same, "left_anti").unionByName(once)
 
 

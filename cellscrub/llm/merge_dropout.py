@@ -16,6 +16,7 @@ columns pass through, but for one named like the output column, which is replace
 from __future__ import annotations
 
 import heapq
+import os
 import re
 import struct
 from collections.abc import Iterator
@@ -28,13 +29,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from cellscrub.llm.common import read_table
+from cellscrub.llm.common import bounded_batches, read_table, sliced, tidy
 
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 17
-CACHE_BOUND = 400_000
-SLICE = 1000
+CACHE_BOUND = 200_000
 
 _MASK = (1 << 64) - 1
 _STEP = 0x9E3779B97F4A7C15
@@ -353,6 +353,8 @@ def _codec(model: bytes, dropout: float, seed: int) -> Codec:
 
 def _model_bytes(path: str) -> bytes:
     """A public vocabulary file of about half a megabyte, read on the driver and shipped with the tasks."""
+    if not os.path.isfile(path):
+        raise FileNotFoundError(f"no SentencePiece model at {path}; pass model_path")
     with open(path, "rb") as f:
         return f.read()
 
@@ -366,23 +368,20 @@ def _replaced(batch: pa.RecordBatch, name: str, values: pa.Array) -> pa.RecordBa
     return pa.RecordBatch.from_arrays([batch.column(i) for i in kept] + [values], names=[batch.schema.names[i] for i in kept] + [name])
 
 
-def _sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for at in range(0, batch.num_rows, SLICE):
-            yield batch.slice(at, SLICE)
-
-
 def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout: float = DROPOUT, seed: int = SEED, text_col: str = "text", id_col: str = "doc_id", out_col: str = "piece_ids") -> DataFrame:
     """docs with out_col: packed ids as in Codec.encode (`unpack_ids` gives an array column); no shuffle."""
     model = _model_bytes(model_path)
+    bounded_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, dropout, seed)
-        for batch in _sliced(batches):
-            out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
-            yield _replaced(batch, out_col, pa.array(out, pa.binary()))
-        codec.forget()
-        pa.default_memory_pool().release_unused()
+        try:
+            for batch in sliced(batches, text_col, rows=1000):
+                out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
+                yield _replaced(batch, out_col, pa.array(out, pa.binary()))
+        finally:
+            codec.forget()
+            tidy()
 
     return docs.mapInArrow(run, _appended(docs, out_col, T.BinaryType()))
 
@@ -390,12 +389,16 @@ def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout:
 def decode_documents(encoded: DataFrame, model_path: str = DEFAULT_MODEL, ids_col: str = "piece_ids", out_col: str = "decoded") -> DataFrame:
     """encoded with out_col: the exact text that the ids stand for, whatever the dropout was."""
     model = _model_bytes(model_path)
+    bounded_batches(encoded.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, 0.0, 0)
-        for batch in _sliced(batches):
-            out = [None if b is None else codec.decode(b) for b in batch.column(ids_col).to_pylist()]
-            yield _replaced(batch, out_col, pa.array(out, pa.string()))
+        try:
+            for batch in sliced(batches, ids_col):
+                out = [None if b is None else codec.decode(b) for b in batch.column(ids_col).to_pylist()]
+                yield _replaced(batch, out_col, pa.array(out, pa.string()))
+        finally:
+            tidy()
 
     return encoded.mapInArrow(run, _appended(encoded, out_col, T.StringType()))
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import RollingHash, WordHashes, byte_texts, materialize, mix64, read_table, sliced
+from cellscrub.llm.common import RollingHash, WordHashes, bounded_batches, byte_texts, materialize, mix64, read_table, sliced, tidy
 from cellscrub.llm.sketches import BITMAP_BITS, repetition_bitmaps, test_bits
 
 WINDOW = 35

@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame
 
 BITMAP_BITS = 28
 BUCKET_BITS = 8
+#: Bytes of text for each bucket beyond which buckets are halved, so that no task's share of hashes grows with the data.
+BUCKET_BYTES = 64 << 20
 FLUSH_AT = 1_000_000
 
 
@@ -30,7 +32,7 @@ def unpack_sorted(blob: bytes) -> np.ndarray:
 
 def _packing(hashes_of: Callable[[], Callable[[bytes | None], np.ndarray]], bucket_bits: int, text_col: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from cellscrub.llm.common import byte_texts, sliced
+        from cellscrub.llm.common import byte_texts, sliced, tidy
 
         of = hashes_of()
         held: list[np.ndarray] = []
@@ -44,18 +46,21 @@ def _packing(hashes_of: Callable[[], Callable[[bytes | None], np.ndarray]], buck
             firsts = buckets[np.concatenate(([0], cuts)).astype(np.int64)]
             return pa.RecordBatch.from_arrays([pa.array(firsts.astype(np.int32)), pa.array([pack_sorted(c) for c in np.split(codes, cuts)], pa.binary())], names=["bucket", "codes"])
 
-        for batch in sliced(batches):
-            for text in byte_texts(batch.column(text_col)):
-                found = of(text)
-                if len(found):
-                    held.append(found)
-                    size += len(found)
-                if size > FLUSH_AT:
-                    yield flush()
-                    held, size = [], 0
-        if size:
-            yield flush()
-        pa.default_memory_pool().release_unused()
+        try:
+            for batch in sliced(batches, text_col):
+                for text in byte_texts(batch.column(text_col)):
+                    found = of(text)
+                    if len(found):
+                        held.append(found)
+                        size += len(found)
+                    if size > FLUSH_AT:
+                        yield flush()
+                        held, size = [], 0
+            if size:
+                yield flush()
+        finally:
+            del of, held
+            tidy()
 
     return run
 
@@ -78,11 +83,15 @@ def _slices(bitmap_bits: int, bucket_bits: int, levels: tuple[int, ...]):
     return run
 
 
-def repetition_bitmaps(texts: DataFrame, hashes_of: Callable, text_col: str = "text", levels: tuple[int, ...] = (2,), bitmap_bits: int = BITMAP_BITS, bucket_bits: int = BUCKET_BITS) -> list[bytes]:
+def repetition_bitmaps(texts: DataFrame, hashes_of: Callable, text_col: str = "text", levels: tuple[int, ...] = (2,), bitmap_bits: int = BITMAP_BITS, bucket_bits: int | None = None) -> list[bytes]:
     """For each level a packed bitmap of 2**bitmap_bits bits over the hashes' leading bits: those met that often.
 
-    hashes_of() is called once in each task and gives the function from a text's bytes to its 64-bit hashes.
+    hashes_of() is called once in each task and gives the function from a text's bytes to its 64-bit hashes. A bucket is
+    one task's work; their number follows the input's size as Spark estimates it, up to one for each 4,096 bits.
     """
+    if bucket_bits is None:
+        estimate = int(texts._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+        bucket_bits = min(max(BUCKET_BITS, (estimate // BUCKET_BYTES).bit_length()), bitmap_bits - 12)
     packed = texts.select(text_col).mapInArrow(_packing(hashes_of, bucket_bits, text_col), "bucket int, codes binary")
     slices = packed.groupBy("bucket").applyInArrow(_slices(bitmap_bits, bucket_bits, levels), "bucket int, level int, bits binary").collect()
     step = (1 << (bitmap_bits - bucket_bits)) // 8
