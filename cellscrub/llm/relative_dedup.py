@@ -1,12 +1,18 @@
-"""Substring dedup by parsing every document against a sharded reference index.
+"""Substring dedup by relative Lempel-Ziv parsing of every document against reference blocks.
 
 The reference is the corpus itself. Winnowing picks anchors (20-word hashes) so that two equal 35-word windows always
-pick the same anchor at the same place; an anchor's hash names the reference block that indexes all its contexts. A
-bounded bitmap of anchors seen more than once spares most documents the rest. For the others each anchor carries the
-hashes of the windows it stands for to its block, where the longest part of the context that the block holds at another
-place is found; the parts of all blocks are joined into maximal factors of the document. As a window that crosses the
-end of one factor can still be held by another block, windows are decided one by one at all factor boundaries, so the
-result is exactly: a word goes when some 35-word window over it also starts elsewhere.
+pick the same anchor at the same place. An anchor's hash names a reference block: all contexts of the anchor, each the
+run of windows that picked it, with equal contexts held once and counted. So a document meets every block that can hold a
+passage of it, and no other. A bounded bitmap of anchors seen more than once spares most documents the rest.
+
+In a block, contexts are sequences of window symbols (one for each distinct 35-word window). The block is indexed by the
+sorted order of all suffixes of its contexts, made by doubling; the longest stretch that a suffix shares with any other
+place is its longest common prefix with a neighbour in that order. Every context is then parsed greedily from left to
+right: where the block holds the current window at another place, the longest such stretch becomes a factor (of 35 words
+at least) and the parse goes on behind it, otherwise one window is passed as a literal. As the symbols are whole windows, the first
+window behind a factor, the one that crosses its end, is looked up anew at every factor boundary. So a window lies in
+some factor exactly if it also starts elsewhere; a document's factors of all its blocks are laid over its words, and the
+covered words go.
 
 Equality of windows means equality of the 64-bit anchor hash and of an independent 64-bit window hash.
 
@@ -54,17 +60,8 @@ class _Reader:
         self.hashes, self.rolling = WordHashes(), RollingHash()
 
 
-_reader: list[_Reader] = []
-
-
-def _tools() -> _Reader:
-    if not _reader:
-        _reader.append(_Reader())
-    return _reader[0]
-
-
 def _anchor_hasher(window: int, anchor: int):
-    tools = _tools()
+    tools = _Reader()
 
     def of(text: bytes | None) -> np.ndarray:
         words = text.split() if text else ()
@@ -83,7 +80,13 @@ def _parse_batches(bitmap, window: int, anchor: int, bitmap_bits: int):
     """Documents without a repeated anchor are finished; the others keep text and contexts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tools = _tools()
+        try:
+            yield from parsed(batches)
+        finally:
+            tidy(bitmap)
+
+    def parsed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tools = _Reader()
         bits = np.frombuffer(bitmap.value, np.uint8)
         for batch in sliced(batches):
             counts, digests, texts, contexts = [], [], [], []
@@ -108,45 +111,78 @@ def _parse_batches(bitmap, window: int, anchor: int, bitmap_bits: int):
     return run
 
 
-def _block_masks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """For rows sorted by anchor, one for each distinct context: the windows that the anchor's other contexts hold."""
-    key: list = [None]
-    rows: list[tuple[int, bytes, int]] = []
-    out: list[tuple[int, int, bytes]] = []
-
-    def close() -> None:
-        if len(rows) == 1 and rows[0][2] == 1:
-            return
-        sizes = [len(w) // 8 for _, w, _ in rows]
-        every = np.frombuffer(b"".join(w for _, w, _ in rows), np.uint64)
-        _, inverse = np.unique(every, return_inverse=True)
-        copies = np.bincount(inverse, weights=np.repeat([n for _, _, n in rows], sizes))
-        held = copies[inverse] > 1
-        at = 0
-        for (ctx, _, _), size in zip(rows, sizes):
-            if held[at : at + size].any():
-                out.append((key[0], ctx, np.packbits(held[at : at + size]).tobytes()))
-            at += size
-
-    def drain() -> pa.RecordBatch:
-        batch = pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.binary())], names=["anchor", "context", "mask"])
-        out.clear()
-        return batch
+def longest_elsewhere(symbols: np.ndarray, sizes: np.ndarray, copies: np.ndarray) -> np.ndarray:
+    """For each place of the sequences (symbols end to end, lengths in sizes) how many symbols from there on also stand
+    at some other place; a sequence that has copies holds all of itself at another place."""
+    total, left = len(symbols), np.repeat(np.cumsum(sizes), sizes) - np.arange(len(symbols))
+    ranks = [np.unique(symbols, return_inverse=True)[1]]
+    reach = 1
+    while reach < int(sizes.max(initial=0)):
+        # rank of twice the length; what ends before is a rank of its own below all others
+        ahead = np.where(left > reach, ranks[-1][np.minimum(np.arange(total) + reach, total - 1)] + 1, 0)
+        ranks.append(np.unique(ranks[-1].astype(np.int64) * (total + 1) + ahead, return_inverse=True)[1])
+        reach *= 2
+    order = np.argsort(ranks[-1], kind="stable")
+    # common prefix of neighbours in suffix order, from the longest doubled length down
+    one, two = order[:-1], order[1:]
+    shared = np.zeros(total - 1 if total else 0, np.int64)
+    for level in range(len(ranks) - 1, -1, -1):
+        step = 1 << level
+        room = np.minimum(left[one], left[two]) - shared >= step
+        a, b = np.minimum(one + shared, total - 1), np.minimum(two + shared, total - 1)
+        shared += np.where(room & (ranks[level][a] == ranks[level][b]), step, 0)
+    best = np.zeros(total, np.int64)
+    best[one] = shared
+    best[two] = np.maximum(best[two], shared)
+    return np.where(np.repeat(copies, sizes) > 1, left, best)
+
+
+def greedy_factors(longest: list[int]) -> list[tuple[int, int]]:
+    """(start, length) of the factors of one sequence, given the longest match at each place."""
+    found, at = [], 0
+    while at < len(longest):
+        if longest[at]:
+            found.append((at, longest[at]))
+        at += longest[at] or 1
+    return found
+
+
+#: Windows that a task indexes together; a block that has more is indexed alone.
+BLOCK_WINDOWS = 50_000
+
+
+def _block_factors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """For rows sorted by anchor, one for each distinct context: its factors relative to the anchor's block, as packed
+    (start, length) pairs of bytes. Several blocks are indexed at once; their symbols are kept apart by the anchor."""
+    held: list[tuple[int, int, bytes, int]] = []
+    size = 0
+
+    def parse() -> pa.RecordBatch:
+        sizes = np.array([len(w) // 8 for _, _, w, _ in held], np.int64)
+        windows = np.frombuffer(b"".join(w for _, _, w, _ in held), np.uint64)
+        anchors = np.repeat(np.array([a for a, _, _, _ in held], np.int64).view(np.uint64), sizes)
+        with np.errstate(over="ignore"):
+            symbols = windows + mix64(anchors)
+        longest = longest_elsewhere(symbols, sizes, np.array([c for _, _, _, c in held], np.int64)).tolist()
+        rows, at = [], 0
+        for (anchor, ctx, _, _), n in zip(held, sizes.tolist()):
+            found = greedy_factors(longest[at : at + n])
+            if found:
+                rows.append((anchor, ctx, np.array(found, np.uint16).tobytes()))
+            at += n
+        held.clear()
+        return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary())], names=["anchor", "context", "factors"])
 
     for batch in batches:
-        for anchor, ctx, windows, copies in zip(batch.column("anchor").to_pylist(), batch.column("context").to_pylist(), batch.column("windows").to_pylist(), batch.column("copies").to_pylist()):
-            if anchor != key[0]:
-                if rows:
-                    close()
-                key[0] = anchor
-                rows.clear()
-            rows.append((ctx, windows, copies))
-        if len(out) > 20_000:
-            yield drain()
-    if rows:
-        close()
-    if out:
-        yield drain()
+        for row in zip(*(batch.column(c).to_pylist() for c in ("anchor", "context", "windows", "copies"))):
+            if size >= BLOCK_WINDOWS and row[0] != held[-1][0]:
+                yield parse()
+                size = 0
+            held.append(row)
+            size += len(row[2]) // 8
+    if held:
+        yield parse()
+    tidy()
 
 
 _FACTORED = "doc_id long, n_words long, n_removed long, kept_sha256 string, factors array<struct<start: int, length: int>>"
@@ -164,20 +200,18 @@ def _factor_batches(window: int):
                     factors.append([])
                     continue
                 words = text.split()
-                held = np.zeros(n + 1, bool)
-                for part in parts:
-                    bits = np.unpackbits(np.frombuffer(part["mask"], np.uint8))[: part["size"]]
-                    held[part["first"] : part["first"] + part["size"]] |= bits.astype(bool)
-                starts = np.flatnonzero(held)
+                pairs = np.frombuffer(b"".join(p["factors"] for p in parts), np.uint16).reshape(-1, 2).astype(np.int64)
+                starts = pairs[:, 0] + np.repeat([p["first"] for p in parts], [len(p["factors"]) // 4 for p in parts])
                 steps = np.zeros(n + 1, np.int32)
                 np.add.at(steps, starts, 1)
-                np.add.at(steps, starts + window, -1)
+                np.add.at(steps, starts + pairs[:, 1] + window - 1, -1)
                 gone = np.cumsum(steps)[:n] > 0
                 edges = np.flatnonzero(np.diff(np.concatenate(([False], gone, [False])).astype(np.int8)))
                 factors.append([{"start": int(a), "length": int(b - a)} for a, b in zip(edges[::2], edges[1::2])])
                 removed.append(int(gone.sum()))
                 digests.append(_digest([w for w, g in zip(words, gone.tolist()) if not g]))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_words"), pa.array(removed, pa.int64()), pa.array(digests, pa.string()), pa.array(factors, _FACTOR)], names=["doc_id", "n_words", "n_removed", "kept_sha256", "factors"])
+        tidy()
 
     return run
 
@@ -186,18 +220,18 @@ def duplicate_factors(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHO
     """doc_id, n_words, n_removed, kept_sha256 and the removed word spans (`factors`), one row per document.
 
     Shuffled are: two to four bytes per anchor for the bitmap; for documents with a repeated anchor their contexts, alike ones
-    pre-aggregated; and their texts, once, to meet the masks. Only the bitmap, of fixed size, passes the driver.
+    pre-aggregated; and their texts, once, to meet the factors. Only the bitmap, of fixed size, passes the driver.
     """
     spark = docs.sparkSession
+    bounded_batches(spark)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     bitmap = spark.sparkContext.broadcast(repetition_bitmaps(slim, lambda: _anchor_hasher(window, anchor), bitmap_bits=bitmap_bits)[0])
     parsed = slim.withColumn("rid", F.monotonically_increasing_id()).select("rid", "doc_id", "text").mapInArrow(_parse_batches(bitmap, window, anchor, bitmap_bits), _PARSED)
     parsed = materialize(parsed, "dedup-parsed")
     places = parsed.filter(F.col("contexts").isNotNull()).select("rid", F.explode("contexts").alias("c")).select("rid", "c.anchor", "c.first", "c.windows", F.xxhash64("c.windows").alias("context"))
     classes = places.groupBy("anchor", "context").agg(F.min("windows").alias("windows"), F.count("*").alias("copies"))
-    masks = classes.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_block_masks, "anchor long, context long, mask binary")
-    slim_places = places.select("rid", "anchor", "context", "first", (F.octet_length("windows") / 8).cast("int").alias("size"))
-    parts = slim_places.join(masks, ["anchor", "context"]).groupBy("rid").agg(F.collect_list(F.struct("first", "size", "mask")).alias("parts"))
+    blocks = classes.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_block_factors, "anchor long, context long, factors binary")
+    parts = places.select("rid", "anchor", "context", "first").join(blocks, ["anchor", "context"]).groupBy("rid").agg(F.collect_list(F.struct("first", "factors")).alias("parts"))
     whole = parsed.select("rid", "doc_id", "n_words", "digest", "text")
     open_docs = whole.filter(F.col("text").isNotNull()).join(parts, "rid", "left")
     done = whole.filter(F.col("text").isNull()).withColumn("parts", F.lit(None).cast(parts.schema["parts"].dataType))
