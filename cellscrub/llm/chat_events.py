@@ -23,6 +23,7 @@ from cellscrub.llm.common import read_table
 
 TURN, SAYS, END = "<|turn|>", "<|says|>", "<|end|>"
 LOSS_ROLE = "assistant"
+REPLACING = ("edit", "regenerate", "delete")
 
 
 def escape(text: Column) -> Column:
@@ -36,14 +37,15 @@ def unescape(text: Column) -> Column:
 def fold_events(log: DataFrame) -> DataFrame:
     """conv_id, message, role, text: the final messages.
 
+    Events are ordered by number (null first), at equal numbers replacing ones before deltas, then by kind, role and text.
     The last replacing event of a message and the deltas after it make its text. Both are found by aggregates over
     (conv_id, message); no event waits for another message's.
     """
-    replaces = F.col("op").isin("edit", "regenerate", "delete")
-    row = F.struct("seq", "op", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    events = F.array_sort(F.collect_list(row))
-    folded = log.withColumn("seq", F.col("seq").cast("long")).groupBy("conv_id", "message").agg(F.max(F.when(replaces, F.struct("seq", "op", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")))).alias("last"), events.alias("events"))
-    after = F.filter("events", lambda e: F.col("last").isNull() | (e["seq"] > F.col("last.seq")) & ~e["op"].isin("edit", "regenerate", "delete"))
+    replaces = F.col("op").isin(*REPLACING)
+    at = F.coalesce(F.col("seq").cast("long"), F.lit(-(2**63)))
+    row = F.struct(at.alias("seq"), F.when(replaces, 0).otherwise(1).alias("rank"), "op", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
+    folded = log.select("conv_id", "message", row.alias("e")).groupBy("conv_id", "message").agg(F.max(F.when(F.col("e.rank") == 0, F.col("e"))).alias("last"), F.array_sort(F.collect_list("e")).alias("events"))
+    after = F.filter("events", lambda e: (e["rank"] == 1) & (F.col("last").isNull() | (e["seq"] >= F.col("last.seq"))))
     text = F.concat(F.coalesce("last.text", F.lit("")), F.array_join(F.transform(after, lambda e: e["text"]), ""))
     role = F.coalesce(F.nullif(F.col("last.role"), F.lit("")), F.array_max(F.transform("events", lambda e: e["role"])))
     gone = (F.col("last.op") == "delete") & (F.size(after) == 0)
@@ -72,14 +74,29 @@ def read_back(rendered: DataFrame) -> DataFrame:
 
 
 def table_events(conversations: DataFrame) -> DataFrame:
-    """A table of turns as an event log: every row is a message of its own, streamed as two deltas."""
+    """A table of turns as an event log, which folds to exactly these turns.
+
+    Every row is a message. By a hash of its conversation, turn and text it is streamed in one of four ways, its rows
+    latest first: two deltas; a wrong draft, regenerated, then two deltas; a wrong draft, edited to the first half, then
+    the rest; the whole text edited over a cut stream, beside a draft message that is deleted.
+    """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), text.alias("text"))
     tie = Window.partitionBy("conv_id", "turn").orderBy("role", "text")
-    rows = rows.withColumn("message", F.struct("turn", F.row_number().over(tie).alias("k")))
+    rows = rows.withColumn("k", F.row_number().over(tie))
     half = F.floor(F.length("text") / 2).cast("int")
-    parts = F.array(F.struct(F.lit(0).cast("long").alias("seq"), F.left("text", half).alias("text")), F.struct(F.lit(1).cast("long").alias("seq"), F.expr("substring(text, cast(floor(length(text) / 2) as int) + 1)").alias("text")))
-    return rows.select("conv_id", "message", "role", F.explode(parts).alias("e")).select("conv_id", "message", "role", "e.seq", F.lit("delta").alias("op"), "e.text")
+    first, rest = F.left("text", half), F.substring("text", half + 1, F.length("text"))
+    wrong = F.concat(F.reverse(F.left("text", F.lit(24))), F.lit(" ..."))
+    event = lambda seq, op, text, k="k": F.struct((F.col(k) if k == "k" else F.lit(k)).cast("int").alias("k"), F.lit(seq).cast("long").alias("seq"), F.lit(op).alias("op"), text.alias("text"))
+    ways = [
+        F.array(event(2, "delta", rest), event(1, "delta", first)),
+        F.array(event(4, "delta", rest), event(3, "delta", first), event(2, "regenerate", F.lit("")), event(1, "delta", wrong)),
+        F.array(event(2, "delta", rest), event(2, "edit", first), event(1, "delta", wrong)),
+        F.array(event(3, "edit", F.col("text")), event(2, "delta", wrong), event(1, "delta", first), event(2, "delete", F.lit(""), 0), event(1, "delta", wrong, 0)),
+    ]
+    way = F.pmod(F.xxhash64("conv_id", "turn", "text"), F.lit(len(ways))).cast("int")
+    chosen = F.when(way == 0, ways[0]).when(way == 1, ways[1]).when(way == 2, ways[2]).otherwise(ways[3])
+    return rows.select("conv_id", "turn", "role", F.explode(chosen).alias("e")).select("conv_id", F.struct("turn", "e.k").alias("message"), "role", "e.seq", "e.op", "e.text")
 
 
 def chat_query(spark: SparkSession, sf_dir: str) -> DataFrame:
