@@ -1,10 +1,11 @@
 """Personal data by weak supervision, with built-in functions only.
 
 Four exact kinds (email, ip, card, phone) are always reported. Further candidates (secrets, local phone numbers and
-national ids) get votes from a regex, a gazetteer, a context and a shape labeler. The votes are counted by pattern, a
-table of 81 rows at most, from which expectation-maximisation estimates every labeler's reliability and each pattern's
-probability; these soft labels train a logistic span classifier on bucketed features, which then decides each candidate
-as a column expression. Candidates that overlap an exact span are dropped.
+national ids, account numbers) that do not overlap an exact span get votes from a regex, a gazetteer, a context and a shape
+labeler, each of which may say yes, no or nothing. The votes are counted by pattern, a table of 81 rows at most, from
+which expectation-maximisation estimates every labeler's reliability and each pattern's probability; exact spans take no
+part in it. These soft labels train a logistic span classifier on bucketed features, which then decides each candidate as
+a column expression.
 
 Span positions come from the lengths of the text between matches, summed over a document's matches, so nothing depends
 on the text's length but the scan. The patterns are written so that matching is linear: a match can only start where a
@@ -23,10 +24,10 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import materialize, read_table
+from cellscrub.llm.common import fresh, materialize, read_table
 
 BASE_KINDS = ("email", "ip", "card", "phone")
-ADDED_KINDS = ("secret", "local_number")
+ADDED_KINDS = ("secret", "local_number", "account")
 KINDS = BASE_KINDS + ADDED_KINDS
 CONTEXT = 32
 MAYBE = "[0-9@]"
@@ -36,11 +37,12 @@ PATTERNS = {
     "ip": r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++",
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
-    "secret": r"(?<![A-Za-z0-9_-])(?=[A-Za-z_-]{0,60}[0-9])[A-Za-z0-9_-]{16,}+",
+    "secret": r"(?<![A-Za-z0-9_-])(?=[A-Za-z_-]*+[0-9])[A-Za-z0-9_-]{16,}+",
     "local_number": r"(?<![0-9A-Za-z.+-])(?:[0-9]{3}-[0-9]{2}-[0-9]{4}|\(?[0-9]{3}\)?[\x20.-][0-9]{3}[.-][0-9]{4})(?![0-9A-Za-z-])",
+    "account": r"(?<![0-9A-Za-z.+_-])[0-9]{9,34}+(?![0-9A-Za-z_-])",
 }
 BYTE_PART = r"^0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])(?:\.0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])){3}$"
-KEY_WORDS = ("token", "key", "secret", "password", "passwd", "pwd", "bearer", "auth", "credential", "ssn", "social", "tel", "phone", "call", "fax", "mobile", "account")
+KEY_WORDS = ("token", "key", "secret", "password", "passwd", "pwd", "bearer", "auth", "credential", "ssn", "social", "tel", "phone", "call", "fax", "mobile", "account", "acct", "iban")
 OTHER_WORDS = ("version", "license", "isbn", "page", "chapter", "figure", "section", "table", "http", "www", "commit", "sha")
 LABELERS = ("v_regex", "v_gazetteer", "v_context", "v_shape")
 FEATURES = ("f_kind", "f_length", "f_digits", "f_before", "f_word")
@@ -92,7 +94,15 @@ def candidate_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     so_far = Window.partitionBy("row", "kind").orderBy("i").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     end = F.sum(F.col("gap") + F.length("match")).over(so_far)
     placed = rows.withColumn("end", end.cast("long")).withColumn("start", F.col("end") - F.length("match"))
-    return placed.filter(_valid()).select("doc_id", "text_key", "kind", "start", "end", "match", "before", "after").dropDuplicates(["doc_id", "text_key", "kind", "start"])
+    return _clear(placed.filter(_valid()))
+
+
+def _clear(spans: DataFrame) -> DataFrame:
+    """spans of each (doc_id, text_key) once, without candidates that overlap an exact span of the document."""
+    every = spans.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("kind", "start", "end", "match", "before", "after")).alias("every"))
+    exact = F.filter("every", lambda s: s["kind"].isin(*BASE_KINDS))
+    free = F.filter("every", lambda s: ~s["kind"].isin(*BASE_KINDS) & ~F.exists("exact", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"])))
+    return every.withColumn("exact", exact).select("doc_id", "text_key", F.explode(F.concat("exact", free)).alias("s")).select("doc_id", "text_key", "s.*")
 
 
 def _joined(kind: str) -> Column:
@@ -112,12 +122,14 @@ def with_votes(spans: DataFrame) -> DataFrame:
     plain = F.col("match").rlike(r"^[A-Za-z_-]+[0-9]{1,4}$")
     quoted = F.col("before").rlike(r"[=:]\s?[\"']?$") | F.col("before").rlike(r"[\"']$") & F.col("after").rlike(r"^[\"']")
     inside = F.col("before").rlike(r"[A-Za-z/._-]$") | F.col("after").rlike(r"^[/_]")
-    base = F.col("kind").isin(*BASE_KINDS)
+    kind = F.col("kind")
+    digits = _digits(F.col("match"))
+    round_number = digits.rlike(r"^(?:19|20)[0-9]{6}(?:[0-9]{4}(?:[0-9]{2})?)?$") | digits.rlike(r"0{6}$")
     return (
-        spans.withColumn("v_regex", _vote(base | hexadecimal | (F.col("kind") == "local_number"), plain))
+        spans.withColumn("v_regex", F.when(kind == "secret", _vote(hexadecimal, plain)).when(kind == "local_number", 1).otherwise(_vote(F.lit(False), round_number)))
         .withColumn("v_gazetteer", _vote(near(KEY_WORDS), near(OTHER_WORDS)))
-        .withColumn("v_context", _vote(quoted, inside))
-        .withColumn("v_shape", _vote(share.between(0.2, 0.95) & (n_digits >= 4) | (F.col("kind") != "secret"), share < 0.1))
+        .withColumn("v_context", _vote(quoted, inside | (kind == "account") & F.col("before").rlike(r"[a-z]\s$")))
+        .withColumn("v_shape", F.when(kind == "secret", _vote(share.between(0.2, 0.95) & (n_digits >= 4), share < 0.1)).when(kind == "account", _vote(_luhn(digits), ~_luhn(digits))).otherwise(0))
         .withColumn("f_kind", F.array_position(F.array(*[F.lit(k) for k in KINDS]), F.col("kind")).cast("int") - 1)
         .withColumn("f_length", F.when(size < 20, 0).when(size < 28, 1).when(size < 48, 2).otherwise(3))
         .withColumn("f_digits", F.when(share < 0.1, 0).when(share < 0.3, 1).when(share < 0.8, 2).otherwise(3))
@@ -175,10 +187,11 @@ def train_span_classifier(rows: list[tuple[tuple[int, ...], float, float]], roun
 
 
 def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.5) -> DataFrame:
-    """doc_id, text_key, kind, start, end, probability: exact spans and accepted candidates, without overlaps of the
-    latter with the former. What reaches the driver is counts by vote pattern and feature bucket."""
+    """doc_id, text_key, kind, start, end, probability: exact spans and accepted candidates. What reaches the driver is
+    counts by vote pattern and feature bucket."""
     spans = materialize(with_votes(candidate_spans(docs, id_col, text_col)), "pii-spans")
-    counts = [(tuple(r[c] for c in LABELERS), tuple(r[c] for c in FEATURES), float(r["n"])) for r in spans.groupBy(*LABELERS, *FEATURES).agg(F.count("*").alias("n")).collect()]
+    base = F.col("kind").isin(*BASE_KINDS)
+    counts = [(tuple(r[c] for c in LABELERS), tuple(r[c] for c in FEATURES), float(r["n"])) for r in spans.filter(~base).groupBy(*LABELERS, *FEATURES).agg(F.count("*").alias("n")).collect()]
     by_votes: dict[tuple[int, ...], float] = {}
     for v, _, n in counts:
         by_votes[v] = by_votes.get(v, 0.0) + n
@@ -188,25 +201,21 @@ def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", thre
     for name, table in zip(FEATURES, weights):
         for value, weight in sorted(table.items()):
             score = score + F.when(F.col(name) == value, weight).otherwise(0.0)
-    base = F.col("kind").isin(*BASE_KINDS)
-    judged = spans.select("doc_id", "text_key", "kind", "start", "end", F.when(base, 1.0).otherwise(1 / (1 + F.exp(-score))).alias("probability")).filter(F.col("probability") >= threshold)
-    return judged
+    return spans.select("doc_id", "text_key", "kind", "start", "end", F.when(base, 1.0).otherwise(1 / (1 + F.exp(-score))).alias("probability")).filter(F.col("probability") >= threshold)
 
 
 def document_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, text_key, spans array<struct<k, start, end, kind>> by kind as listed, then start; documents with spans."""
     order = F.array_position(F.array(*[F.lit(k) for k in KINDS]), F.col("kind")).cast("int").alias("k")
-    found = detect(docs, id_col, text_col).groupBy("doc_id", "text_key").agg(F.array_sort(F.collect_list(F.struct(order, "start", "end", "kind"))).alias("every"))
-    exact = F.filter("every", lambda s: s["k"] <= len(BASE_KINDS))
-    clear = F.filter("every", lambda s: (s["k"] <= len(BASE_KINDS)) | ~F.exists("exact", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"])))
-    return found.withColumn("exact", exact).select("doc_id", "text_key", clear.alias("spans"))
+    return detect(docs, id_col, text_col).groupBy("doc_id", "text_key").agg(F.array_sort(F.collect_list(F.struct(order, "start", "end", "kind"))).alias("spans"))
 
 
-def _with_spans(docs: DataFrame, id_col: str, text_col: str, keep: list) -> DataFrame:
-    spans = materialize(document_spans(docs, id_col, text_col), "pii-documents").select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__key"), F.col("spans").alias("__spans"))
-    key = F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    rows = docs.select(*keep, F.col(id_col).cast("long").alias("__doc"), key.alias("__hash"))
-    return rows.join(spans, F.col("__doc").eqNullSafe(F.col("__id")) & (F.col("__hash") == F.col("__key")), "left")
+def _with_spans(docs: DataFrame, id_col: str, text_col: str, keep: list) -> tuple[DataFrame, str]:
+    """docs with their spans, and that column's name, which clashes with none of theirs."""
+    own, key, spans, doc, hashed = (fresh(docs, f"__{n}") for n in ("own", "key", "spans", "doc", "hash"))
+    found = materialize(document_spans(docs, id_col, text_col), "pii-documents").select(F.col("doc_id").alias(own), F.col("text_key").alias(key), F.col("spans").alias(spans))
+    rows = docs.select(*keep, F.col(id_col).cast("long").alias(doc), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias(hashed))
+    return rows.join(found, F.col(doc).eqNullSafe(F.col(own)) & (F.col(hashed) == F.col(key)), "left"), spans
 
 
 def mask_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -215,21 +224,21 @@ def mask_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     Rows without a digit or an at sign pass unchanged; only the others meet their spans in a join.
     """
     some = F.coalesce(F.col(text_col).rlike(MAYBE), F.lit(False))
-    both = _with_spans(docs.filter(some), id_col, text_col, docs.columns)
-    order = F.array_sort(F.transform("__spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    both, spans = _with_spans(docs.filter(some), id_col, text_col, [F.col(f"`{c}`") for c in docs.columns])
+    order = F.array_sort(F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
     text = F.col(text_col)
     start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<string>").alias("parts"))
     step = lambda a, s: F.when(s["start"] >= a["at"], F.struct(s["end"].alias("at"), F.concat(a["parts"], F.array(F.substring(text, (a["at"] + 1).cast("int"), (s["start"] - a["at"]).cast("int")), F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))).alias("parts"))).otherwise(F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["parts"].alias("parts")))
     masked = F.aggregate(order, start, step, lambda a: F.concat(F.array_join(a["parts"], ""), F.substring(text, (a["at"] + 1).cast("int"), F.length(text))))
-    done = both.select(*[F.when(F.col("__spans").isNull(), text).otherwise(masked).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
+    done = both.select(*[F.when(F.col(spans).isNull(), text).otherwise(masked).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
     return docs.filter(~some).unionByName(done)
 
 
 def pii_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
-    both = _with_spans(docs, "doc_id", "text", ["doc_id"])
-    spans = F.coalesce("__spans", F.array().cast("array<struct<k: int, start: bigint, end: bigint, kind: string>>"))
+    both, found = _with_spans(docs.select("doc_id", "text"), "doc_id", "text", ["doc_id"])
+    spans = F.coalesce(found, F.array().cast("array<struct<k: int, start: bigint, end: bigint, kind: string>>"))
     written = lambda a: F.array_join(F.transform(a, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
     count = lambda k: F.size(F.filter(spans, lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
     exact = F.filter(spans, lambda s: s["k"] <= len(BASE_KINDS))
-    return both.select("doc_id", *[count(k) for k in BASE_KINDS], F.sha2(F.encode(written(exact), "utf-8"), 256).alias("base_sha256"), written(spans).alias("spans"))
+    return both.select("doc_id", *[count(k) for k in KINDS], F.size(spans).cast("long").alias("n_spans"), F.sha2(F.encode(written(exact), "utf-8"), 256).alias("base_sha256"), written(spans).alias("spans"))
