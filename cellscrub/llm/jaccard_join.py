@@ -10,7 +10,7 @@ least, and a group never reaches beyond its hub's neighbours, however long the c
 A group with at most `group_budget` shingles in its sets is one task: the inverted lists of the sets seen so far are
 searched, short lists merged by a heap, the long ones only probed for the candidates that come out; a set is compared with
 one representative of each component first and with the other members of a component only if that fails. A larger group
-is first compared with its hub, row by row; what links with the hub needs no further comparison among itself. The rest
+is first compared with its hub, salted over many tasks; what links with the hub needs no further comparison among itself. The rest
 is dealt into chunks, and every pair of chunks, and every chunk with each chunk of the linked ones, is a task, so no
 task holds more than the budget (or two sets, where they are larger). Only verified links become edges of components.
 
@@ -40,6 +40,8 @@ PERCENT = 80
 LEVELS = (2, 16)
 ID_BITS = 24
 GROUP_BUDGET = 250_000
+#: A large group's comparison with its hub is dealt into so many tasks for each budget.
+SALTS_A_BUDGET = 4
 
 
 def _shingle_hasher(k: int):
@@ -333,10 +335,11 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     prefixes = open_rows.select("key", "n_shingles", "prefix").dropDuplicates(["key"]).select("key", F.col("n_shingles").alias("n"), F.explode("prefix").alias("s"))
     hubs = prefixes.groupBy("s").agg(F.min("key").alias("hub"), F.count("*").alias("sharing")).filter("sharing > 1").select("s", "hub")
     homes = materialize(prefixes.join(hubs, "s").select("key", "n", "hub").distinct(), "join-homes")
-    large = materialize(homes.groupBy("hub").agg(F.sum("n").alias("weight")).filter(F.col("weight") > group_budget).select("hub"), "join-large")
+    large = materialize(homes.groupBy("hub").agg(F.ceil(SALTS_A_BUDGET * F.sum("n") / group_budget).cast("int").alias("salts")).filter(F.col("salts") > SALTS_A_BUDGET), "join-large")
     sets = open_rows.select("key", "shingles").dropDuplicates(["key"])
-    of_hub = sets.select(F.col("key").alias("hub"), F.col("shingles").alias("hub_shingles")).join(large, "hub")
-    wide = homes.join(large, "hub").join(sets, "key").join(of_hub, "hub").select("hub", "key", "n", "shingles", "hub_shingles")
+    of_hub = sets.select(F.col("key").alias("hub"), F.col("shingles").alias("hub_shingles")).join(large, "hub").select("hub", "hub_shingles", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+    salted = homes.join(large, "hub").withColumn("salt", F.pmod(F.xxhash64("key"), "salts").cast("int"))
+    wide = salted.join(sets, "key").join(of_hub, ["hub", "salt"]).select("hub", "key", "n", "shingles", "hub_shingles")
     tested = materialize(wide.mapInArrow(_hub_batches(percent), "hub binary, key binary, n long, known boolean"), "join-tested")
     small = homes.join(large, "hub", "left_anti").select(F.col("hub").alias("grp"), "key", F.lit(False).alias("known"))
     tasks = small.unionByName(_chunk_tasks(tested, group_budget)).join(sets, "key").select("grp", "key", "known", "shingles")

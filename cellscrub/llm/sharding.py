@@ -12,14 +12,15 @@ table gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import read_table
+from cellscrub.llm.common import fresh, read_table
 from cellscrub.session import scratch_dir
 
 SHARDS = 8
@@ -90,9 +91,19 @@ def assign_shards(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id",
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = SHARDS) -> DataFrame:
-    """Write docs, all columns, to path/shard=k in slot order by joining on the (unique) document id."""
-    placed = assign_shards(docs, shards).select(F.col("doc_id").alias("__id"), "shard", "slot")
-    joined = docs.drop("shard", "slot").join(placed, docs["doc_id"].eqNullSafe(F.col("__id"))).drop("__id")
+    """Write docs, all columns, to path/shard=k in slot order; rows of equal id and text take their places in any order.
+
+    A text's size and checksum join with its id; an own column `shard` or `slot` is replaced.
+    """
+    kept = docs.drop("shard", "slot")
+    own, size, crc, k = (fresh(kept, f"__{n}") for n in ("id", "size", "crc", "k"))
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    among = Window.partitionBy(own, size, crc)
+    keyed = kept.withColumns({own: F.col("doc_id").cast("long"), size: F.octet_length(text).cast("long") + 1, crc: F.crc32(F.encode(text, "utf-8"))}).withColumn(k, F.row_number().over(among.orderBy(F.lit(0))))
+    placed = assign_shards(kept, shards).select(F.col("doc_id").alias(own), F.col("size").alias(size), F.col("text_crc32").alias(crc), "shard", "slot").withColumn(k, F.row_number().over(among.orderBy("shard", "slot")))
+    a, b = keyed.alias("a"), placed.alias("b")
+    match = reduce(lambda x, y: x & y, (F.col(f"a.`{c}`").eqNullSafe(F.col(f"b.`{c}`")) for c in (own, size, crc, k)))
+    joined = a.join(b, match).select("a.*", "b.shard", "b.slot").drop(own, size, crc, k)
     joined.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
     return docs.sparkSession.read.parquet(path)
 

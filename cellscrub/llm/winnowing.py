@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import ascii_lower, materialize, read_table
+from cellscrub.llm.common import ascii_lower, fresh, materialize, read_table
 
 WINDOW = 10
 GRAM = 5
@@ -132,9 +132,10 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, g
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs, all columns, in which no window of an item occurs."""
-    dirty = materialize(hits(docs, benchmark, id_col=id_col, text_col=text_col).select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__key")).distinct(), "bench-dirty")
+    own, hashed = fresh(docs, "__id"), fresh(docs, "__key")
+    dirty = materialize(hits(docs, benchmark, id_col=id_col, text_col=text_col).select(F.col("doc_id").alias(own), F.col("text_key").alias(hashed)).distinct(), "bench-dirty")
     key = F.xxhash64(F.coalesce(docs[text_col].cast("string"), F.lit("")))
-    return docs.join(dirty, docs[id_col].cast("long").eqNullSafe(F.col("__id")) & (key == F.col("__key")), "left_anti")
+    return docs.join(dirty, docs[id_col].cast("long").eqNullSafe(F.col(own)) & (key == F.col(hashed)), "left_anti")
 
 
 def decontamination_query(spark: SparkSession, sf_dir: str) -> DataFrame:
