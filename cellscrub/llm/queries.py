@@ -19,6 +19,7 @@ QUERIES = {
 SQL = {
     "op2_chat_events": chat_events.CHAT_SQL,
     "op3_quality_hosts": quality_hosts.QUALITY_SQL,
+    "op5_sharding": sharding.SHARDING_SQL,
     "op6_relative_dedup": relative_dedup.DEDUP_SQL,
     "op8_winnowing": winnowing.DECONTAMINATION_SQL,
     "op10_jaccard_join": jaccard_join.JACCARD_SQL,

@@ -113,14 +113,22 @@ def sharding_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+#: The checksum is CRC-32 byte by byte, with the table of its polynomial made by rule.
 SHARDING_SQL = """
-WITH sized AS (
-  SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, coalesce(text, '') AS t FROM documents
+WITH steps AS (
+  SELECT list(v ORDER BY n) AS t FROM (
+    SELECT n, list_reduce(list_prepend(CAST(n AS BIGINT), range(8)), lambda x, i: CASE WHEN x & 1 = 1 THEN xor(x >> 1, 3988292384) ELSE x >> 1 END) AS v
+    FROM (SELECT unnest(range(256)) AS n))
+), sized AS (
+  SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, hex(encode(coalesce(text, ''))) AS h FROM documents
 ), summed AS (
-  SELECT doc_id, size, t, sum(size) OVER (ORDER BY doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - size AS before, sum(size) OVER () AS total FROM sized
+  SELECT doc_id, size, sum(size) OVER (ORDER BY doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - size AS before, sum(size) OVER () AS total FROM sized
 ), placed AS (
-  SELECT doc_id, size, t, CAST(least((2 * before + size) * 8 // (2 * total), 7) AS INTEGER) AS shard FROM summed
+  SELECT doc_id, size, CAST(least((2 * before + size) * 8 // (2 * total), 7) AS INTEGER) AS shard FROM summed
+), sums AS (
+  SELECT doc_id, xor(list_reduce(list_prepend(CAST(4294967295 AS BIGINT), list_transform(range(size - 1), lambda i: CAST('0x' || substr(h, 2 * i + 1, 2) AS BIGINT))), lambda crc, b: xor(crc >> 8, t[(xor(crc, b) & 255) + 1])), 4294967295) AS crc
+  FROM sized, steps
 )
-SELECT doc_id, size, shard, CAST(row_number() OVER (PARTITION BY shard ORDER BY doc_id) - 1 AS BIGINT) AS slot, 'bytes' AS law, CAST(NULL AS INTEGER) AS grown_shard
-FROM placed
+SELECT doc_id, size, CAST(crc AS BIGINT) AS text_crc32, shard, CAST(row_number() OVER (PARTITION BY shard ORDER BY doc_id) - 1 AS BIGINT) AS slot, 'bytes' AS law, CAST(NULL AS INTEGER) AS grown_shard
+FROM placed JOIN sums USING (doc_id)
 """
