@@ -39,9 +39,11 @@ SHINGLE = 5
 PERCENT = 80
 LEVELS = (2, 16)
 ID_BITS = 24
-GROUP_BUDGET = 250_000
+GROUP_BUDGET = 100_000
 #: A large group's comparison with its hub is dealt into so many tasks for each budget.
 SALTS_A_BUDGET = 4
+#: A component's name reaches its members in so many tasks.
+HEAD_SALTS = 32
 
 
 def _shingle_hasher(k: int):
@@ -345,9 +347,11 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     tasks = small.unionByName(_chunk_tasks(tested, group_budget)).join(sets, "key").select("grp", "key", "known", "shingles")
     solved = tasks.repartition("grp").sortWithinPartitions("grp").mapInArrow(_group_batches(percent), "a binary, b binary")
     stars = connected(solved.unionByName(tested.filter("known").select(F.col("key").alias("a"), F.col("hub").alias("b"))))
-    headed = least.join(stars.withColumnRenamed("node", "key"), "key", "left").select("key", "least_id", F.coalesce("head", "key").alias("head"))
-    named = headed.groupBy("head").agg(F.min("least_id").alias("component_id"))
-    found = materialize(headed.join(named, "head").select("key", "component_id"), "join-components")
+    members = stars.select(F.col("node").alias("key"), "head").union(stars.select(F.col("head").alias("key"), "head").distinct()).join(least, "key")
+    named = members.groupBy("head").agg(F.min("least_id").alias("component_id"))
+    salted = named.select("head", "component_id", F.explode(F.sequence(F.lit(0), F.lit(HEAD_SALTS - 1))).alias("salt"))
+    told = members.withColumn("salt", F.pmod(F.xxhash64("key"), F.lit(HEAD_SALTS)).cast("int")).join(salted, ["head", "salt"]).select("key", "component_id")
+    found = materialize(least.join(told, "key", "left").select("key", F.coalesce("component_id", "least_id").alias("component_id")), "join-components")
     return rows.select("doc_id", "n_shingles", "key").join(found, "key", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.col("key").alias("set_key"))
 
 
