@@ -248,9 +248,26 @@ def test_forward_recursion_and_scores(docs, empty):
         return logs
 
     assert np.allclose(hidden_markov.log_likelihoods(sequences, m, 16), [plain(s) for s in sequences])
-    start, move, emit, logs = hidden_markov.expected_counts(sequences, m)
-    assert np.isclose(emit.sum(), sum(map(len, sequences))) and np.isclose(start.sum(), len(sequences)) and np.isclose(logs, sum(map(plain, sequences)))
-    out = hidden_markov.score_documents(docs, emitted_words=50, lookup_words=120).collect()
+    whole = [np.zeros(3), np.zeros((3, 3)), np.zeros((6, 3))]  # plain Baum-Welch over uncut sequences
+    for q in sequences:
+        a, b = np.zeros((len(q), 3)), np.ones((len(q), 3))
+        for t in range(len(q)):
+            a[t] = ((a[t - 1] @ m.move) if t else m.start) * m.emit[:, q[t]]
+            a[t] /= a[t].sum()
+        for t in range(len(q) - 2, -1, -1):
+            b[t] = m.move @ (m.emit[:, q[t + 1]] * b[t + 1])
+            b[t] /= b[t].sum()
+        g = a * b / (a * b).sum(1, keepdims=True)
+        whole[0] += g[0]
+        for t in range(len(q)):
+            whole[2][q[t]] += g[t]
+            if t:
+                xi = a[t - 1][:, None] * m.move * (m.emit[:, q[t]] * b[t])[None, :]
+                whole[1] += xi / xi.sum()
+    for block in (7, 16, 1000):
+        start, move, emit, logs = hidden_markov.expected_counts(sequences, m, block)
+        assert np.allclose(start, whole[0]) and np.allclose(move, whole[1]) and np.allclose(emit, whole[2]) and np.isclose(logs, sum(map(plain, sequences)))
+    out = hidden_markov.score_documents(docs, emitted_words=50, lookup_words=120, shared_classes=40).collect()
     counts: Counter = Counter()
     for r in docs.collect():
         if not hidden_markov.held_out(r.doc_id):
@@ -265,9 +282,22 @@ def test_forward_recursion_and_scores(docs, empty):
 
 
 def test_model_sums_to_one_over_the_vocabulary():
-    v = hidden_markov.Vocabulary([b"a", b"b", b"c"], np.array([5.0, 3.0, 1.0]), 14, 5, 4, 2)
-    rare = [(c + 0.1) / v.rare_mass for c in (1.0, 1.0, 0.0)]
-    assert np.isclose(sum(rare), 1.0)
+    counts = {b"a": 5.0, b"b": 3.0, b"c": 1.0, b"d": 1.0}
+    masses = np.full(2, 0.1)
+    for w in (b"b", b"c", b"d"):
+        masses[hidden_markov.shared_class(w, 2)] += counts[w] + 0.1
+    v = hidden_markov.Vocabulary([b"a", b"b"], np.array([5.0, 3.0]), 14, 5, 4, 1, masses)
+    shares = v.class_shares()
+    assert np.isclose(shares.sum(), 1) and v.codes().tolist() == [3, 1 + hidden_markov.shared_class(b"b", 2)]
+    within = [(counts[w] + 0.1) / masses[hidden_markov.shared_class(w, 2)] for w in (b"b", b"c", b"d")] + [0.1 / m for m in masses]
+    assert np.isclose(sum(within), 2)  # the words and the unseen type of both classes
+
+
+def test_held_out_text_is_likelier_than_under_the_base(spark):
+    out = hidden_markov.score_documents(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).filter("held_out")
+    r = out.agg(F.sum("score").alias("s"), F.sum("base_score").alias("b"), F.sum("n_tokens").alias("n")).first()
+    print("held out, log10 a token:", r.s / r.n, r.b / r.n)
+    assert r.s / r.n > r.b / r.n + 0.1
 
 
 # 8
