@@ -2,12 +2,15 @@
 
 One scan counts letter trigrams of all documents and, of the labelled training rows, in how many texts of either class
 each word stands. Words that speak for toxicity form the lexicon; the character model is an even mixture of corpus and
-lexicon. Places that look disguised (letters next to digits or symbols, single spaced letters, letters three times
-over) become a lattice in which symbols stand for letters, separators and repeats can vanish; its best path is found by
-Viterbi decoding. The classifier is a logistic regression on a document's lexicon hits, restored ones included.
+lexicon. Places that look disguised (letters next to digits or symbols, single letters a few separators
+apart, letters three times over, words that are a lexicon word but for doubled letters) become a lattice in which symbols
+stand for letters, separators and repeats can vanish; its best path over all states is found by Viterbi decoding. A place that
+ends in symbols is decoded with and without them. The classifier is a logistic regression on a document's lexicon hits, restored ones included.
 
 At most `label_bound` labelled rows are used (those with the smallest hash), one per text; all else covers all rows.
 
+The lexicon holds at most LEXICON_BOUND words, the strongest; it comes from the bounded labelled sample alone.
+
 Defined results: null, blank and wordless texts score like any text without hits; repeated rows get equal scores; rows
 with a null id are held out; unlabelled rows are scored alike; without training labels every score is the prior's;
 an empty table gives an empty result; other columns are never read.
@@ -27,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellscrub.llm.common import byte_texts, read_table
+from cellscrub.llm.common import bounded_batches, byte_texts, read_table, tidy
 
 LABEL_BOUND = 200_000
 FIT_BOUND = 100_000
@@ -50,8 +53,10 @@ _CLASS[[9, 10, 11, 12, 13, 32]] = _SPACE
 _LETTER_CODE = np.zeros(256, np.int64)
 _LETTER_CODE[97:123] = _LETTER_CODE[65:91] = np.arange(1, 27)
 _WORDS = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))
-_SPACED = re.compile(rb"(?<![^\s])(?:[A-Za-z0-9@$!|*][ ._*-]){2,}[A-Za-z0-9@$!|*](?![^\s.,;:!?])")
-_INNER = re.compile(rb"(?<![A-Za-z0-9])(?:[A-Za-z0-9@$!|*][._*-]){2,}[A-Za-z0-9@$!|*](?![A-Za-z0-9])")
+_GAP = rb"(?:[ ._-]{1,3}|\*)"
+_SPACED = re.compile(rb"(?<![^\s])(?:[A-Za-z0-9@$!|*]" + _GAP + rb"){2,}[A-Za-z0-9@$!|*](?![^\s.,;:!?])")
+_INNER = re.compile(rb"(?<![A-Za-z0-9])(?:[A-Za-z0-9@$!|*](?:[._-]{1,3}|\*)){2,}[A-Za-z0-9@$!|*](?![A-Za-z0-9])")
+_REPEAT = re.compile(rb"([a-z])\1+")
 
 
 def held_out(doc_id: int | None) -> bool:
@@ -82,9 +87,9 @@ def disguised(text: bytes) -> list[bytes]:
             starts = np.concatenate(([0], spaces + 1))[left]
             ends = np.concatenate((spaces, [len(raw)]))[left]
             for a, b in zip(starts.tolist(), ends.tolist()):
-                token = text[a:b].lstrip(_EDGES).rstrip(_SYMBOLS + _EDGES)
-                if token:
-                    found.append(token)
+                token = text[a:b].strip(_EDGES)
+                bare = token.rstrip(_SYMBOLS + _EDGES)
+                found += {t for t in (token, bare) if t}
         lone = (kinds[1:-1] != _SPACE) & (kinds[:-2] == _SPACE) & (kinds[2:] == _SPACE) if len(raw) > 2 else np.zeros(0, bool)
         if np.count_nonzero(lone) >= 2:
             found += _SPACED.findall(text)
@@ -96,13 +101,24 @@ def disguised(text: bytes) -> list[bytes]:
     return found
 
 
+_EVERY = np.arange(729)
+
+
 @dataclass
 class CharacterModel:
     """Interpolated letter trigrams; 0 is the edge of a word."""
 
     trigrams: np.ndarray
-    memo: dict = field(default_factory=dict)
     cache: dict = field(default_factory=dict)
+    scores: list = field(default_factory=list)
+    plain: list = field(default_factory=list)
+
+    def __post_init__(self):
+        # by what is written next; an edge that follows an edge is free
+        self.scores = [np.ascontiguousarray(self.trigrams[:, :, o]) for o in range(27)]
+        self.scores[0] = self.scores[0].copy()
+        self.scores[0][:, 0] = 0.0
+        self.plain = [m.tolist() for m in self.scores]
 
     @staticmethod
     def mixture(corpus: np.ndarray, words: list[bytes], weight: float = 0.5) -> CharacterModel:
@@ -130,45 +146,54 @@ class CharacterModel:
             found = self.cache[place] = self._viterbi(place.lower().decode("utf-8", "replace"))
         return found
 
+    @staticmethod
+    def options(text: str, i: int) -> list[tuple[int, float]]:
+        """What the character at i may have been written for (0 an edge, -1 nothing, else a letter), and its cost."""
+        c = text[i]
+        options: list[tuple[int, float]] = []
+        if "a" <= c <= "z":
+            options.append((ord(c) - 96, 0.0))
+            if i and text[i - 1] == c:
+                # a double letter is common, three in a row are not
+                options.append((-1, 0.4 if text[max(0, i - 2) : i] == c + c or text[i + 1 : i + 2] == c else 2.5))
+        elif c in LEET:
+            options += [(ord(x) - 96, 1.0 + 0.5 * math.log(len(LEET[c]))) for x in LEET[c]]
+            options.append((0, 4.0))
+            if c in "*!|" or i and text[i - 1] == c:
+                options.append((-1, 1.0))
+        elif c in SEPARATORS:
+            options += [(-1, 0.7), (0, 0.7)]
+        else:
+            options.append((0, 0.0))
+        return options
+
     def _viterbi(self, text: str) -> list[bytes]:
-        score = self.trigrams
+        """Best path over all states (the two letters before); an edge after an edge costs nothing more."""
+        return self._over_matrix(text) if "*" in text else self._over_states(text)
+
+    def _over_states(self, text: str) -> list[bytes]:
+        """For places without a character that may be any letter: few states are alive at a time."""
+        score = self.plain
         best: dict[tuple[int, int], float] = {(0, 0): 0.0}
         back: list[dict] = []
-        for i, c in enumerate(text):
-            options: list[tuple[int, float]] = []  # what is written (0 an edge, -1 nothing) and its cost
-            if "a" <= c <= "z":
-                options.append((ord(c) - 96, 0.0))
-                if i and text[i - 1] == c:
-                    # a double letter is common, three in a row are not
-                    options.append((-1, 0.4 if text[i - 2 : i] == c + c or text[i + 1 : i + 2] == c else 2.5))
-            elif c in LEET:
-                options += [(ord(x) - 96, 1.0 + 0.5 * math.log(len(LEET[c]))) for x in LEET[c]]
-                options.append((0, 4.0))
-                if c in "*!|" or i and text[i - 1] == c:
-                    options.append((-1, 1.0))
-            elif c in SEPARATORS:
-                options += [(-1, 0.7), (0, 0.7)]
-            else:
-                options.append((0, 0.0))
+        for i in range(len(text)):
             now: dict[tuple[int, int], float] = {}
-            trace = {}
+            trace: dict = {}
+            options = self.options(text, i)
             for state, value in best.items():
                 for out, cost in options:
                     if out == -1:
                         to, total = state, value - cost
-                    elif out == 0 and state[1] == 0:
-                        to, total = (0, 0), value - cost
+                    elif out == 0:
+                        to, total = (0, 0), value - cost + score[0][state[0]][state[1]]
                     else:
-                        to, total = ((state[1], out) if out else (0, 0)), value - cost + float(score[state[0], state[1], out])
-                    if total > now.get(to, -1e30):
+                        to, total = (state[1], out), value - cost + score[out][state[0]][state[1]]
+                    if to not in now or total > now[to]:
                         now[to] = total
                         trace[to] = state, out
-            if len(now) > 64:
-                floor = sorted(now.values())[-64]
-                now = {s: v for s, v in now.items() if v >= floor}
             best = now
             back.append(trace)
-        state = max(best, key=lambda s: best[s] + (float(score[s[0], s[1], 0]) if s[1] else 0.0))
+        state = max(best, key=lambda s: best[s] + score[0][s[0]][s[1]])
         out = []
         for trace in reversed(back):
             state, letter = trace[state]
@@ -176,6 +201,47 @@ class CharacterModel:
                 out.append(" " if letter == 0 else chr(96 + letter))
         return "".join(reversed(out)).encode().split()
 
+    def _over_matrix(self, text: str) -> list[bytes]:
+        score = self.scores
+        best = np.full((27, 27), -np.inf, np.float32)
+        best[0, 0] = 0.0
+        back = []
+        for i in range(len(text)):
+            now, came, wrote = np.full(729, -np.inf, np.float32), np.zeros(729, np.int32), np.zeros(729, np.int8)
+
+            def offer(places, values, origins, out, now=now, came=came, wrote=wrote):
+                better = values > now[places]
+                at = places[better]
+                now[at], came[at], wrote[at] = values[better], origins[better], out[better] if isinstance(out, np.ndarray) else out
+
+            letters = []
+            for out, cost in self.options(text, i):
+                if out == -1:
+                    offer(_EVERY, best.ravel() - cost, _EVERY, out)
+                elif out == 0:
+                    whole = (best + score[0]).ravel()
+                    top = int(whole.argmax())
+                    offer(_EVERY[:1], whole[top : top + 1] - cost, _EVERY[top : top + 1], out)
+                else:
+                    letters.append((out, cost))
+            if letters:
+                # all letters of a character cost the same
+                written = slice(1, 27) if len(letters) == 26 else [o for o, _ in letters]
+                through = best[:, :, None] + self.trigrams[:, :, written]
+                first = through.argmax(0)
+                values = np.take_along_axis(through, first[None], 0)[0] - letters[0][1]
+                names = _EVERY[1:27] if len(letters) == 26 else np.array(written)
+                offer((_EVERY[:27, None] * 27 + names).ravel(), values.ravel(), (first * 27 + _EVERY[:27, None]).ravel(), np.broadcast_to(names, values.shape).ravel())
+            best = now.reshape(27, 27)
+            back.append((came, wrote))
+        state = int((best + score[0]).argmax())
+        out = []
+        for came, wrote in reversed(back):
+            if wrote[state] != -1:
+                out.append(" " if wrote[state] == 0 else chr(96 + wrote[state]))
+            state = came[state]
+        return "".join(reversed(out)).encode().split()
+
 
 def _profile_batches(labels):
     """Letter trigrams of every document as one row of counts a task, and (word, toxic texts, other texts)."""
@@ -195,12 +261,13 @@ def _profile_batches(labels):
                 label = toxic.get(doc_id)
                 if label is not None:
                     for w in set(plain_words(text)):
-                        if len(w) <= 40:
-                            words.setdefault(w, [0, 0])[label] += 1
+                        words.setdefault(w, [0, 0])[label] += 1
             if len(words) > 400_000:
                 yield _profile_rows(words, None)
                 words = {}
         yield _profile_rows(words, trigrams)
+        del toxic, words
+        tidy(labels)
 
     return run
 
@@ -218,6 +285,24 @@ class Detector:
     lexicon: dict[bytes, float]
     characters: CharacterModel
     weights: np.ndarray | None = None
+    squeezed: set = field(default_factory=set)
+    unstretched: set = field(default_factory=set)
+
+    def __post_init__(self):
+        self.squeezed = {_REPEAT.sub(rb"\1", w) for w in self.lexicon}
+
+    def stretched(self, words: set[bytes]) -> list[bytes]:
+        """Those words that are some lexicon word but for letters that stand several times."""
+        found = []
+        for w in words - self.unstretched:
+            short = _REPEAT.sub(rb"\1", w)
+            if short != w and short in self.squeezed and w not in self.lexicon:
+                found.append(w)
+            else:
+                self.unstretched.add(w)
+        if len(self.unstretched) > 100_000:
+            self.unstretched.clear()
+        return found
 
     def features(self, text: bytes | None) -> list[float]:
         if not text:
@@ -226,10 +311,10 @@ class Detector:
         words = plain_words(text)
         hits = {w: s for w in words if (s := get(w)) is not None}
         times = sum(1 for w in words if w in hits) if hits else 0
-        for place in disguised(text):
+        for place in [*disguised(text), *self.stretched(set(words))]:
             for w in self.characters.restore(place):
                 s = get(w)
-                if s is not None and len(w) > 3:
+                if s is not None:
                     times += w not in hits
                     hits[w] = s
         total = sum(hits.values())
@@ -246,6 +331,8 @@ def _feature_batches(shared, labels):
         for batch in batches:
             rows = [(toxic[d], detector.features(t)) for d, t in zip(batch.column("doc_id").to_pylist(), byte_texts(batch.column("text"))) if d in toxic]
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.list_(pa.float64()))], names=["toxic", "features"])
+        del detector, toxic
+        tidy(shared, labels)
 
     return run
 
@@ -258,6 +345,8 @@ def _score_batches(shared):
             features = np.array([detector.features(t) for t in byte_texts(batch.column("text"))], np.float64).reshape(-1, 5)
             chance = detector.probability(features)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([held_out(d) for d in ids], pa.bool_()), pa.array(chance), pa.array((chance >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+        del detector
+        tidy(shared)
 
     return run
 
@@ -306,7 +395,7 @@ def train(docs: DataFrame, labels: DataFrame, label_bound: int = LABEL_BOUND, fi
             corpus[int(word[1:])] = yes
         elif len(lexicon) < LEXICON_BOUND:
             lexicon[bytes(word)] = score
-    ascii_words = [w for w in lexicon if len(w) > 3 and all(97 <= b <= 122 for b in w)]
+    ascii_words = [w for w in lexicon if all(97 <= b <= 122 for b in w)]
     detector = Detector(lexicon, CharacterModel.mixture(corpus, ascii_words))
     used = toxic if len(toxic) <= fit_bound else dict(sorted(toxic.items(), key=lambda r: zlib.crc32(str(r[0]).encode()))[:fit_bound])
     data = docs.mapInArrow(_feature_batches(spark.sparkContext.broadcast(detector), spark.sparkContext.broadcast(used)), "toxic int, features array<double>").toArrow()
@@ -319,6 +408,7 @@ def train(docs: DataFrame, labels: DataFrame, label_bound: int = LABEL_BOUND, fi
 
 def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **bounds: int) -> DataFrame:
     """doc_id, held_out, score, predicted; one row per input row."""
+    bounded_batches(docs.sparkSession)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     detector = train(slim, labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")), **bounds)
     shared = docs.sparkSession.sparkContext.broadcast(detector)

@@ -8,7 +8,7 @@ import pytest
 from conftest import SF
 from pyspark.sql import functions as F
 
-from cellscrub.llm import chat_events, jaccard_join, merge_dropout, pii_votes, quality_hosts, relative_dedup, sharding, winnowing
+from cellscrub.llm import chat_events, deobfuscation, jaccard_join, merge_dropout, pii_votes, quality_hosts, relative_dedup, sharding, winnowing
 
 
 def longest_by_hand(sequences, copies):
@@ -154,3 +154,34 @@ def test_written_shards_hold_repeated_ids_once(spark, tmp_path):
     docs = spark.createDataFrame([(i // 2, "x" * (i % 7)) for i in range(40)], "doc_id long, text string")
     out = sharding.write_shards(docs, str(tmp_path / "s"))
     assert sorted((r.doc_id, r.text) for r in out.collect()) == sorted((r.doc_id, r.text) for r in docs.collect())
+
+
+def test_viterbi_is_the_best_of_all_paths():
+    rng = np.random.default_rng(5)
+    m = deobfuscation.CharacterModel(np.log(rng.dirichlet(np.full(27, 0.3), (27, 27)) + 1e-6).astype(np.float32))
+
+    def every(text, i, state, cost, out):
+        if i == len(text):
+            yield cost + (m.trigrams[state[0], state[1], 0] if state[1] else 0.0), out
+            return
+        for o, c in m.options(text, i):
+            if o == -1:
+                yield from every(text, i + 1, state, cost - c, out)
+            elif o == 0:
+                yield from every(text, i + 1, (0, 0), cost - c + (m.trigrams[state[0], state[1], 0] if state[1] else 0.0), out + " ")
+            else:
+                yield from every(text, i + 1, (state[1], o), cost - c + m.trigrams[state[0], state[1], o], out + chr(96 + o))
+
+    for text in ["a1", "b00k!", "l|ll", "1d1*t", "a.b-c", "s+*p", "aaab", "x9|!1", "*a*"]:
+        paths = sorted(every(text, 0, (0, 0), 0.0, ""), key=lambda p: -p[0])
+        assert m.restore(text.encode()) == paths[0][1].encode().split() or paths[1][0] > paths[0][0] - 1e-4, text
+
+
+def test_more_disguises():
+    lexicon = {b"idiot": 3.0, b"stupid": 3.0, b"ass": 3.0}
+    counts = np.ones(27**3)
+    d = deobfuscation.Detector(lexicon, deobfuscation.CharacterModel.mixture(counts, [w for w in lexicon] * 50, 0.9))
+    for text in [b"you 1d10+ there", b"an a$$ here", b"so stuupid it is", b"i  d  i  o  t", b"s.t..u.p.i.d", b"id*ot!"]:
+        assert d.features(text)[1] == 1.0, text
+    for text in [b"all letters been good", b"a 1 2 3 4 b", b"look at 10.0.0.1 now", b""]:
+        assert d.features(text)[1] == 0.0, text
