@@ -13,9 +13,6 @@ ALIASES = {
     "osterreich": "austria", "athena": "athens", "deutschland": "germany", "espana": "spain", "italia": "italy",
 }
 
-#: English word -> the form that injected translations use
-TRANSLATIONS = {"Street": "Calle", "Avenue": "Avenida", "Boulevard": "Bulevar", "Road": "Camino", "North": "Norte", "South": "Sur", "East": "Este", "West": "Oeste", "Port": "Puerto", "Nation": "Nación", "Inner": "Interior", "Outer": "Exterior", "Building": "Edificio", "Furniture": "Muebles", "Household": "Hogar", "Machinery": "Maquinaria", "Automobile": "Automóvil"}
-
 # short form -> long forms, on folded tokens
 ABBREVIATIONS = {
     "st": ("street", "saint"), "str": ("street", "strasse"), "ave": ("avenue",), "av": ("avenue",), "blvd": ("boulevard",), "rd": ("road",), "dr": ("drive",), "ln": ("lane",),
@@ -23,9 +20,6 @@ ABBREVIATIONS = {
     "bldg": ("building",), "furn": ("furniture",), "hh": ("household",), "mach": ("machinery",), "auto": ("automobile",),
 }
 
-#: long form -> the short form that injected abbreviations use
-SHORT_FORMS = {"Street": "St.", "Avenue": "Ave", "Boulevard": "Blvd.", "Road": "Rd.", "North": "N", "South": "S", "East": "E", "West": "W", "Port": "Pt.", "Nation": "Nat.", "Inner": "Inn.", "Outer": "Out.", "Building": "Bldg.", "Furniture": "Furn.", "Household": "Hh.", "Machinery": "Mach.", "Automobile": "Auto."}
-
 
 def accent_table() -> tuple[str, str]:
     """Letters of the Latin blocks with one mark and the plain letters they fold to, from their decomposition."""

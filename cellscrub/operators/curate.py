@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -23,9 +25,9 @@ def matched_only(pairs: DataFrame) -> DataFrame:
     return pairs.filter(F.col("c_country").isNotNull())
 
 
-def complete(pairs: DataFrame) -> DataFrame:
-    """Clean side complete in all but the name."""
-    return pairs.na.drop(subset=[f"c_{a}" for a in CORE_ATTRS])
+def complete(pairs: DataFrame, side: str = "c") -> DataFrame:
+    """One side (the clean one) complete in all but the name; a blank value is none."""
+    return pairs.filter(reduce(lambda x, y: x & y, (F.coalesce(F.trim(F.col(f"{side}_{a}")) != "", F.lit(False)) for a in CORE_ATTRS)))
 
 
 def drop_page_duplicates(pairs: DataFrame) -> DataFrame:

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-import resource
 import threading
 import time
 from collections.abc import Callable
@@ -69,10 +68,14 @@ def mean_of_runs(metrics: DataFrame, keys: tuple[str, ...]) -> DataFrame:
 
 
 def timed(df: DataFrame, budget_s: float | None = None) -> dict:
-    """seconds, peak_mb and status of computing df fully; over budget the job group is cancelled."""
+    """seconds, peak_mb (of the heap: the driver's during this run, or an executor's so far) and status of computing df fully;
+    over budget the job group is cancelled."""
     spark = df.sparkSession
     group = f"timed-{time.monotonic_ns()}"
     spark.sparkContext.setJobGroup(group, group, True)
+    pools = _heap_pools(spark)
+    for pool in pools:
+        pool.resetPeakUsage()
     status, began = "ok", time.monotonic()
     timer = threading.Timer(budget_s, lambda: spark.sparkContext.cancelJobGroup(group)) if budget_s else None
     try:
@@ -86,9 +89,20 @@ def timed(df: DataFrame, budget_s: float | None = None) -> dict:
         if timer:
             timer.cancel()
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
-    runtime = spark._jvm.java.lang.Runtime.getRuntime()
-    jvm = (runtime.totalMemory() - runtime.freeMemory()) / 1e6
-    return {"seconds": round(time.monotonic() - began, 3), "peak_mb": round(jvm + resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024, 1), "status": status}
+    jvm = sum(pool.getPeakUsage().getUsed() for pool in pools) / 1e6
+    return {"seconds": round(time.monotonic() - began, 3), "peak_mb": round(max(jvm, _executors_peak(spark)), 1), "status": status}
+
+
+def _heap_pools(spark) -> list:
+    beans = spark._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()
+    return [b for b in beans if b.getType().toString() == "Heap memory"]
+
+
+def _executors_peak(spark) -> float:
+    """Highest heap use that any executor of a cluster has reported so far, in MB; 0 where the driver does the work."""
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(True)
+    peaks = [found.apply(i).peakMemoryMetrics() for i in range(found.size()) if found.apply(i).id() != "driver"]
+    return max((p.get().getMetricValue("JVMHeapMemory") / 1e6 for p in peaks if p.isDefined()), default=0.0)
 
 
 def growth_exponent(sizes: list[float], values: list[float]) -> list[float]:

@@ -125,36 +125,60 @@ def dictionary_coverage(cells: DataFrame) -> DataFrame:
     return t.groupBy("attr").agg(F.count("*").alias("n_tokens"), F.round(F.avg(F.col("t").isin(*ALIASES).cast("int")), 6).alias("alias_share"), F.round(F.avg(F.col("t").isin(*ABBREVIATIONS).cast("int")), 6).alias("abbrev_share"))
 
 
-def category_sql(exact_typo: bool = False) -> str:
-    """`classified`: `cell` with category, as a CTE; exact_typo counts transpositions as one edit."""
+def tokens_sql(text: str) -> str:
+    """The folded tokens of an SQL text expression."""
     a, b = accent_table()
-    fold = lambda x: f"replace(replace(lower({x}), 'ß', 'ss'), 'ς', 'σ')"
-    tok = lambda x: f"list_filter(string_split(regexp_replace({fold(f'translate({x}, {chr(39)}{a}{chr(39)}, {chr(39)}{b}{chr(39)})')}, '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'), ' '), lambda t: t <> '')"
-    tag = lambda x: f"list_transform({x}, lambda t, i: t || '#' || (i - list_position({x}, t) + 1))"
+    return f"list_filter(string_split(regexp_replace({_folded_sql(f'translate({text}, {chr(39)}{a}{chr(39)}, {chr(39)}{b}{chr(39)})')}, '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'), ' '), lambda t: t <> '')"
+
+
+def _folded_sql(text: str) -> str:
+    return f"replace(replace(lower({text}), 'ß', 'ss'), 'ς', 'σ')"
+
+
+def rules_sql(exact_typo: bool = False, compare: str = "normalized") -> dict[str, str]:
+    """Condition of every rule over the columns that `category_sql` prepares."""
     alias = "CASE t " + " ".join(f"WHEN '{k}' THEN '{v}'" for k, v in ALIASES.items()) + " ELSE t END"
     longer = "CASE {0} " + " ".join(f"WHEN '{k}' THEN [{', '.join(repr(y) for y in v)}]" for k, v in ABBREVIATIONS.items()) + " ELSE [] END"
     exp = lambda x: f"list_concat(list_concat([{x}], {longer.format(x)}), CASE WHEN regexp_matches({x}, '.str$') THEN [{x} || 'asse'] ELSE [] END)"
     squash = lambda x: f"regexp_replace({x}, '[\\p{{P}}\\p{{S}}\\p{{Z}}\\s]', '', 'g')"
-    minus = lambda p, q: f"len(list_filter({p}, lambda t: NOT list_contains({q}, t)))"
+    # DuckDB counts edits of bytes; the letters that the tables' translations use become one byte each
+    marked = "áéíóúüñÁÉÍÓÚÜÑ"
+    one_byte = lambda x: f"translate({x}, '{marked}', {' || '.join(f'chr({i + 1})' for i in range(len(marked)))})"
+    fold = _folded_sql
     decoded = "CASE WHEN regexp_matches(d, '&#[0-9]{1,4};') THEN split_part(d, '&#', 1) || chr(CAST(regexp_extract(d, '&#([0-9]{1,4});', 1) AS INTEGER)) || regexp_replace(d, '^.*?&#[0-9]{1,4};', '') ELSE d END"
-    distance = "damerau_levenshtein(d, g)" if exact_typo else "levenshtein(d, g)"
+    return {
+        "clean": "d = g" if compare == "normalized" else "dirty IS NOT DISTINCT FROM clean",
+        "missing": "d = ''",
+        "encoding": f"{decoded} = g",
+        "case": f"{fold('d')} = {fold('g')}",
+        "punct": f"{squash(fold('d'))} = {squash(fold('g'))}",
+        "reorder": "som AND dt = gt",
+        "language": f"som AND list_sort(list_transform(dt, lambda t: {alias})) = list_sort(list_transform(gt, lambda t: {alias}))",
+        "abbrev": f"som AND len(ds) = len(gs) AND len(list_filter(range(1, len(ds) + 1), lambda i: list_has_any({exp('ds[i]')}, {exp('gs[i]')}))) = len(ds)",
+        "containment": "som AND lost + added > 0 AND (lost = 0 OR added = 0)",
+        "typo": f"{'damerau_levenshtein' if exact_typo else 'levenshtein'}({one_byte('d')}, {one_byte('g')}) <= 2",
+        "one_word": "som AND lost = 1 AND added = 1 AND len(list_filter(dm, lambda t: list_contains(gm, t))) >= 1",
+    }
+
+
+def category_sql(exact_typo: bool = False, order: tuple[str, ...] = CATEGORIES, compare: str = "normalized") -> str:
+    """`classified`: `cell` with category and `matches` (all rules that fire), as a CTE; exact_typo counts transpositions
+    as one edit."""
+    tag = lambda x: f"list_transform({x}, lambda t, i: t || '#' || (i - list_position({x}, t) + 1))"
+    minus = lambda p, q: f"len(list_filter({p}, lambda t: NOT list_contains({q}, t)))"
+    rules = rules_sql(exact_typo, compare)
+    cases = " ".join(f"WHEN {rules[c]} THEN '{c}'" for c in order if c in rules)
+    matches = ", ".join(f"CASE WHEN {rule} THEN '{c}' END" for c, rule in rules.items())
     return f"""
 prepared AS (
   SELECT *, list_sort(ds) AS dt, list_sort(gs) AS gt FROM (
-    SELECT *, {tok("d")} AS ds, {tok("g")} AS gs FROM (
+    SELECT *, {tokens_sql("d")} AS ds, {tokens_sql("g")} AS gs FROM (
       SELECT *, trim(regexp_replace(coalesce(dirty, ''), '\\s+', ' ', 'g')) AS d, trim(regexp_replace(coalesce(clean, ''), '\\s+', ' ', 'g')) AS g FROM cell))
 ), tagged AS (
   SELECT *, {tag("dt")} AS dm, {tag("gt")} AS gm FROM prepared
 ), measured AS (
   SELECT *, {minus("gm", "dm")} AS lost, {minus("dm", "gm")} AS added, len(dt) > 0 AND len(gt) > 0 AS som FROM tagged
-), classified AS MATERIALIZED (
-  SELECT *, CASE
-    WHEN d = g THEN 'clean' WHEN d = '' THEN 'missing' WHEN {decoded} = g THEN 'encoding' WHEN {fold("d")} = {fold("g")} THEN 'case'
-    WHEN {squash(fold("d"))} = {squash(fold("g"))} THEN 'punct' WHEN som AND dt = gt THEN 'reorder'
-    WHEN som AND list_sort(list_transform(dt, lambda t: {alias})) = list_sort(list_transform(gt, lambda t: {alias})) THEN 'language'
-    WHEN som AND len(ds) = len(gs) AND len(list_filter(range(1, len(ds) + 1), lambda i: list_has_any({exp("ds[i]")}, {exp("gs[i]")}))) = len(ds) THEN 'abbrev'
-    WHEN som AND lost + added > 0 AND (lost = 0 OR added = 0) THEN 'containment'
-    WHEN {distance} <= 2 THEN 'typo'
-    WHEN som AND lost = 1 AND added = 1 AND len(list_filter(dm, lambda t: list_contains(gm, t))) >= 1 THEN 'one_word' ELSE 'other' END AS category
+), classified AS (
+  SELECT *, CASE {cases} ELSE 'other' END AS category, concat_ws(',', {matches}) AS matches
   FROM measured
 )"""

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from cellscrub.operators import fd as D
@@ -83,14 +83,19 @@ def scores(sample: Sample, by: tuple[str, ...] = (), detectors: tuple[str, ...]
     return reduce(DataFrame.unionByName, parts)
 
 
-def rate_curve(cells: DataFrame, rates: tuple[float | None, ...] = (0.05, 0.1, 0.2, None), rows: int = SAMPLE, seeds: tuple[int, ...] = (1,), fds: list[D.Dependency] | None = None, **systems) -> DataFrame:
-    """Scores by error rate (0 stands for the original one), averaged over the seeds."""
+def rate_curve(cells: DataFrame, rates: tuple[float | None, ...] = (0.05, 0.1, 0.2, None), rows: int = SAMPLE, seeds: tuple[int, ...] = (1,), fds: list[D.Dependency] | None = None, max_lhs: int = 1, **systems) -> DataFrame:
+    """Scores by error rate (0 stands for the original one), averaged over the seeds, and each system's mean F1 over the
+    rates. Without given dependencies they are mined on the clean side of each seed's rows."""
     parts = []
     for seed in seeds:
+        known = fds
         for rate in rates:
-            got = scores(make_sample(cells, rows, rate, seed, fds=fds), **systems)
+            sample = make_sample(cells, rows, rate, seed, fds=known, max_lhs=max_lhs)
+            known = sample.fds
+            got = scores(sample, **systems)
             parts.append(got.withColumn("rate", F.lit(rate or 0.0)).withColumn("seed", F.lit(seed)))
-    return measure.mean_of_runs(materialize(reduce(DataFrame.unionByName, parts), "curve"), ("system", "task", "rate"))
+    curve = measure.mean_of_runs(materialize(reduce(DataFrame.unionByName, parts), "curve"), ("system", "task", "rate"))
+    return curve.withColumn("f1_over_rates", F.round(F.avg("mean_f1").over(Window.partitionBy("system", "task")), 6))
 
 
 def end_to_end(sample: Sample, detector: str, corrector: str) -> DataFrame:

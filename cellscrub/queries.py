@@ -28,6 +28,7 @@ CELL = f"{ROWS}, {CELLS}"
 FULL = f"{CELL}, {taxonomy.category_sql(True)}"
 NATIVE = f"{CELL}, {taxonomy.category_sql(False)}"
 
+TYPO_FIRST = ("clean", "missing", "typo", "encoding", "case", "punct", "reorder", "abbrev", "language", "containment", "one_word", "other")
 RULES = [fd.Dependency(("postcode",), "locality"), fd.Dependency(("locality",), "country"), fd.Dependency(("country",), "country_code")]
 
 
@@ -71,10 +72,11 @@ query("attr_category_cube", f"{FULL} SELECT coalesce(attr, 'all') AS attr, coale
 query("error_totals", f"{FULL} SELECT count(*) AS n_cells, CAST(count(*) FILTER (category = 'clean') AS BIGINT) AS n_clean, CAST(count(*) FILTER (category <> 'clean') AS BIGINT) AS n_errors, round(avg(CASE WHEN category <> 'clean' THEN 1.0 ELSE 0.0 END), 6) AS error_rate FROM classified")(lambda s, d: profile.error_rate(_classified(s, d)))
 query("slice_spread", f"""{FULL}, cnt AS (SELECT poi, category, count(*) AS n FROM classified GROUP BY ALL), tot AS (SELECT poi, sum(n) AS t FROM cnt GROUP BY poi), cats AS (SELECT unnest([{", ".join(repr(c) for c in profile.CATEGORIES)}]) AS category)
 SELECT category, round(min(sh), 6) AS least, round(median(sh), 6) AS median, round(max(sh), 6) AS greatest FROM (SELECT cats.category, coalesce(n, 0) / t AS sh FROM tot CROSS JOIN cats LEFT JOIN cnt ON cnt.poi = tot.poi AND cnt.category = cats.category) GROUP BY category""")(lambda s, d: profile.slice_spread(_classified(s, d).groupBy("poi", "category").agg(F.count("*").alias("n")), "poi"))
-query("all_matches")(lambda s, d: taxonomy.all_matches(_cells(s, d)).filter("dirty IS DISTINCT FROM clean").select("_id", "attr", F.array_join("matches", ",").alias("matches")))
-query("dictionary_coverage")(lambda s, d: taxonomy.dictionary_coverage(_cells(s, d)))
-query("order_ablation")(lambda s, d: taxonomy.classify_native(_cells(s, d), order=("clean", "missing", "typo", "encoding", "case", "punct", "reorder", "abbrev", "language", "containment", "one_word", "other")).groupBy("category").agg(F.count("*").alias("n")))
-query("exact_compare")(lambda s, d: taxonomy.classify_native(_cells(s, d), compare="exact").groupBy("category").agg(F.count("*").alias("n")))
+query("all_matches", f"{NATIVE} SELECT _id, attr, matches FROM classified WHERE dirty IS DISTINCT FROM clean")(lambda s, d: taxonomy.all_matches(_cells(s, d)).filter("dirty IS DISTINCT FROM clean").select("_id", "attr", F.array_join("matches", ",").alias("matches")))
+query("dictionary_coverage", f"""{CELL}, t AS (SELECT attr, unnest({taxonomy.tokens_sql("coalesce(dirty, '')")}) AS t FROM cell)
+SELECT attr, count(*) AS n_tokens, round(avg(CASE WHEN t IN ({', '.join(repr(k) for k in X.ALIASES)}) THEN 1.0 ELSE 0 END), 6) AS alias_share, round(avg(CASE WHEN t IN ({', '.join(repr(k) for k in X.ABBREVIATIONS)}) THEN 1.0 ELSE 0 END), 6) AS abbrev_share FROM t GROUP BY attr""")(lambda s, d: taxonomy.dictionary_coverage(_cells(s, d)))
+query("order_ablation", f"{CELL}, {taxonomy.category_sql(order=TYPO_FIRST)} SELECT category, count(*) AS n FROM classified GROUP BY category")(lambda s, d: taxonomy.classify_native(_cells(s, d), order=TYPO_FIRST).groupBy("category").agg(F.count("*").alias("n")))
+query("exact_compare", f"{CELL}, {taxonomy.category_sql(compare='exact')} SELECT category, count(*) AS n FROM classified GROUP BY category")(lambda s, d: taxonomy.classify_native(_cells(s, d), compare="exact").groupBy("category").agg(F.count("*").alias("n")))
 
 # --- profiles
 
@@ -95,7 +97,9 @@ query("fd_summary", f"{ROWS}, {fd.minimal_sql('entities')} SELECT rhs, lhs_size,
 query("fd_slice_only")(lambda s, d: fd.slice_only(s, fd.discover(entities(s, d).filter("country = 'Nation 3'"), max_lhs=2), fd.discover(entities(s, d), max_lhs=2)))
 query("fd_approximate")(lambda s, d: fd.as_frame(s, fd.discover(entities(s, d), max_lhs=1, epsilon=0.05)))
 query("fd_counterexamples", f"{ROWS} SELECT country_code, count(DISTINCT country) AS n_values, string_agg(DISTINCT country, '|' ORDER BY country) AS rhs_values FROM addr GROUP BY country_code HAVING count(DISTINCT country) > 1")(lambda s, d: fd.counterexamples(addr_clean(s, d), ["country_code"], "country"))
-query("fd_parts", f"WITH {fd.minimal_sql('part', ('p_brand', 'p_type', 'p_size', 'p_name'))} SELECT lhs, rhs, lhs_size, CAST(0 AS DOUBLE) AS g3 FROM found")(lambda s, d: fd.as_frame(s, fd.discover(table(s, d, "part"), ("p_brand", "p_type", "p_size", "p_name"))))
+_GRADED = "SELECT p_brand, p_size, p_type, CASE WHEN p_size < 10 THEN 'small' WHEN p_size < 30 THEN 'middle' ELSE 'large' END AS grade, p_brand || '/' || p_type AS line FROM part"
+_PART_COLS = ("p_brand", "p_size", "p_type", "grade", "line")
+query("fd_parts", f"WITH graded AS ({_GRADED}), {fd.minimal_sql('graded', _PART_COLS)} SELECT lhs, rhs, lhs_size, CAST(0 AS DOUBLE) AS g3 FROM found")(lambda s, d: fd.as_frame(s, fd.discover(table(s, d, "part").selectExpr("p_brand", "p_size", "p_type", "CASE WHEN p_size < 10 THEN 'small' WHEN p_size < 30 THEN 'middle' ELSE 'large' END AS grade", "concat(p_brand, '/', p_type) AS line"), _PART_COLS)))
 
 # --- samples and rates
 
@@ -107,11 +111,14 @@ r AS (SELECT *, n * 1000 // t AS b, row_number() OVER (ORDER BY n * 1000 % t DES
 SELECT country, poi, CAST(quota AS BIGINT) AS n FROM z WHERE quota > 0""")(lambda s, d: sampling.stratified(addr_clean(s, d), ("country", "poi"), 1000).groupBy("country", "poi").agg(F.count("*").alias("n")))
 query("country_slice", f"{ROWS} SELECT * FROM addr WHERE country = 'Nation 3'")(lambda s, d: sampling.by(addr_clean(s, d), "country", "Nation 3"))
 query("poi_slices", f"{ROWS} SELECT poi, count(*) AS n FROM addr WHERE CAST(substr(poi, 7) AS INTEGER) <= 22 GROUP BY poi")(lambda s, d: addr_clean(s, d).filter(F.expr("CAST(substring(poi, 7) AS INT) <= 22")).groupBy("poi").agg(F.count("*").alias("n")))
+_KEPT = """, t AS (SELECT count(*) AS n, count(*) FILTER (category <> 'clean') AS e, least(count(*) FILTER (category <> 'clean'), CAST(floor(0.2 * count(*) + 0.5) AS BIGINT)) AS k FROM classified)"""
 _RESTORED = """, r AS (SELECT *, row_number() OVER (PARTITION BY category <> 'clean' ORDER BY md5('1|' || _id || '|' || attr)) AS p, count(*) OVER () AS t FROM classified),
 kept AS (SELECT _id, attr, CASE WHEN category <> 'clean' AND p > CAST(floor(0.2 * t + 0.5) AS BIGINT) THEN clean ELSE dirty END AS dirty, clean, CASE WHEN category <> 'clean' AND p > CAST(floor(0.2 * t + 0.5) AS BIGINT) THEN 'clean' ELSE category END AS category FROM r)"""
 query("restore_global", f"{FULL}{_RESTORED} SELECT _id, attr, dirty, clean, category FROM kept")(lambda s, d: sampling.restore(materialize(_classified(s, d), "c"), 0.2).select("_id", "attr", "dirty", "clean", "category"))
-query("restore_proportional")(lambda s, d: sampling.restore(materialize(_classified(s, d), "c"), 0.2, mode="proportional").groupBy("attr", "category").agg(F.count("*").alias("n")))
-query("restore_bernoulli")(lambda s, d: profile.error_rate(sampling.restore(materialize(_classified(s, d), "c"), 0.2, mode="bernoulli")))
+query("restore_proportional", f"""{FULL}{_KEPT}, r AS (SELECT attr, category, row_number() OVER (PARTITION BY attr, category ORDER BY md5('1|' || _id || '|' || attr)) AS p, count(*) OVER (PARTITION BY attr, category) AS c FROM classified)
+SELECT attr, CASE WHEN category <> 'clean' AND p > floor(c * (CAST(k AS DOUBLE) / e) + 0.5) THEN 'clean' ELSE category END AS category, count(*) AS n FROM r, t GROUP BY ALL""")(lambda s, d: sampling.restore(materialize(_classified(s, d), "c"), 0.2, mode="proportional").groupBy("attr", "category").agg(F.count("*").alias("n")))
+query("restore_bernoulli", f"""{FULL}{_KEPT}, r AS (SELECT category <> 'clean' AND CAST('0x' || substr(md5('1|' || _id || '|' || attr), 1, 8) AS BIGINT) < CAST(floor((CAST(k AS DOUBLE) / e) * 4294967296) AS BIGINT) AS bad FROM classified, t)
+SELECT count(*) AS n_cells, count(*) FILTER (NOT bad) AS n_clean, count(*) FILTER (bad) AS n_errors, round(avg(CASE WHEN bad THEN 1.0 ELSE 0 END), 6) AS error_rate FROM r""")(lambda s, d: profile.error_rate(sampling.restore(materialize(_classified(s, d), "c"), 0.2, mode="bernoulli")))
 
 
 @query("restore_nested_check", "SELECT CAST(0 AS BIGINT) AS n_outside")
@@ -179,9 +186,20 @@ def _agreement(s: SparkSession, d: str) -> DataFrame:
     return georef.agreement(georef.lookup(sample, georef.reference(clean)), georef.lookup(sample, georef.reference(clean), accept=0.6))
 
 
-query("complete_filter", f"{CELL}, w AS (SELECT _id, {', '.join(f'''max(nullif(dirty, '')) FILTER (attr = '{a}') AS {a}''' for a in ATTRS)} FROM cell GROUP BY _id) SELECT _id FROM w WHERE " + " AND ".join(f"{a} IS NOT NULL" for a in ATTRS[1:]))(lambda s, d: records(inject.corrupt(addr_clean(s, d))).na.drop(subset=list(ATTRS[1:])).select("_id"))
+query("complete_filter", f"{CELL}, w AS (SELECT _id, {', '.join(f'''max(nullif(dirty, '')) FILTER (attr = '{a}') AS {a}''' for a in ATTRS)} FROM cell GROUP BY _id) SELECT _id FROM w WHERE " + " AND ".join(f"{a} IS NOT NULL" for a in ATTRS[1:]))(lambda s, d: curate.complete(inject.corrupt(addr_clean(s, d)), "d").select("_id"))
 query("certify_locality")(lambda s, d: curate.certify_locality(_dirty(s, d), entities(s, d).select("region", "locality").distinct()).select("_id", "region", "locality", "certified"))
-query("page_dedup")(lambda s, d: curate.drop_page_duplicates(inject.corrupt(addr_clean(s, d))).select("_id"))
+_SAME = "string_agg(coalesce(dirty, chr(2)) || chr(31) || coalesce(clean, chr(2)), chr(31) ORDER BY attr)"
+_COPIED = "substr(md5(_id), 1, 1) IN ('0', '7')"
+
+
+@query("page_dedup", f"{CELL}, v AS (SELECT _id, graph_iri, {_SAME} AS v FROM cell GROUP BY _id, graph_iri), w AS (SELECT * FROM v UNION ALL SELECT _id || '/copy', graph_iri, v FROM v WHERE {_COPIED}) SELECT min(_id) AS _id, count(*) AS n_alike FROM w GROUP BY graph_iri, v")
+def _page_dedup(s: SparkSession, d: str) -> DataFrame:
+    """Pairs of which an eighth stand twice on their page."""
+    once = inject.corrupt(addr_clean(s, d))
+    every = materialize(once.unionByName(once.filter(_COPIED).withColumn("_id", F.concat("_id", F.lit("/copy")))), "pairs")
+    kept = curate.drop_page_duplicates(every)
+    alike = every.groupBy("graph_iri", *[f"{x}_{a}" for a in ATTRS for x in ("d", "c")]).agg(F.min("_id").alias("_id"), F.count("*").alias("n_alike"))
+    return kept.select("_id").join(alike.select("_id", "n_alike"), "_id")
 
 # --- systems
 
@@ -200,8 +218,10 @@ _VIOLATING = " UNION ".join(f"SELECT _id, '{r}' AS attr FROM w WHERE {l} IN (SEL
 query("detect_l1", f"{CELL}{_WIDE} SELECT _id, attr FROM cell WHERE nullif(trim(dirty), '') IS NULL UNION {_VIOLATING}")(lambda s, d: factor.detect(materialize(_dirty(s, d), "d"), RULES))
 query("cooccurrence_counts", f"{CELL}, c AS (SELECT _id, attr, trim(dirty) AS v FROM cell WHERE nullif(trim(dirty), '') IS NOT NULL) SELECT x.attr AS b_attr, x.v AS b, y.attr, y.v, count(*) AS n FROM c x JOIN c y ON x._id = y._id AND x.attr <> y.attr GROUP BY ALL")(lambda s, d: factor.cooccurrence(_dirty(s, d)))
 query("signature_bits")(lambda s, d: signature_detector.signatures(materialize(_dirty(s, d), "d"), RULES).groupBy("attr", "bits").agg(F.count("*").alias("n")))
-query("prompt_build")(lambda s, d: record_prompt.prompts(_dirty(s, d)))
-query("prompt_cost", f"""{CELL}{_WIDE} SELECT (SELECT count(*) FROM w) AS n_rows, CAST(n AS BIGINT) AS calls, CAST(0 AS BIGINT) AS bad_json, CAST(n * 400 AS BIGINT) AS tokens, round(n * 0.00015, 6) AS dollars FROM (SELECT count(*) AS n FROM (SELECT DISTINCT {', '.join(ATTRS)} FROM w))""")(lambda s, d: record_prompt.cost(_dirty(s, d)))
+_HEAD = record_prompt.head("correct").replace("'", "''")
+_PROMPTS = f""", p AS (SELECT DISTINCT {', '.join(ATTRS)} FROM w), b AS (SELECT md5(concat_ws(chr(31), {', '.join(f"coalesce({a}, chr(0))" for a in ATTRS)})) AS key, '{_HEAD}' || CAST(to_json(struct_pack({', '.join(f'{a} := {a}' for a in ATTRS)})) AS VARCHAR) AS prompt FROM p)"""
+query("prompt_build", f"{CELL}{_WIDE}{_PROMPTS} SELECT key, prompt FROM b")(lambda s, d: record_prompt.prompts(_dirty(s, d)))
+query("prompt_cost", f"""{CELL}{_WIDE}{_PROMPTS} SELECT (SELECT count(*) FROM w) AS n_rows, count(*) AS calls, CAST(0 AS BIGINT) AS bad_json, CAST(ceil(sum(length(prompt)) / 4) AS BIGINT) AS tokens, round(count(*) * CAST(0.00015 AS DOUBLE), 6) AS dollars FROM b""")(lambda s, d: record_prompt.cost(_dirty(s, d)))
 query("prompt_swap")(lambda s, d: record_prompt.detect(_dirty(s, d)).withColumn("profile", F.lit("plain")).union(record_prompt.detect(_dirty(s, d), record_prompt.RulebookCompleter("strict")).withColumn("profile", F.lit("strict"))).groupBy("profile").agg(F.count("*").alias("n_flags")))
 
 
@@ -255,21 +275,82 @@ def _means(s: SparkSession, d: str) -> DataFrame:
     return measure.mean_of_runs(parts[0].unionByName(parts[1]).unionByName(parts[2]), ("system",))
 
 
-query("rate_curve")(lambda s, d: effectiveness.rate_curve(materialize(_classified(s, d), "c"), (0.05, 0.2, None), detectors=("factor", "record_prompt"), correctors=("record_prompt", "column_mode"), fds=RULES))
+SYSTEMS = {"detect": ("signature_detector", "factor", "fd_majority", "rule_workflow", "column_imputer", "record_prompt"), "correct": ("corrector_ensemble", "factor", "fd_majority", "rule_workflow", "column_imputer", "record_prompt")}
+RATES = (0.05, 0.1, 0.2, None)
+SLICES = {"all": "named", "second_country": "second_country", "non_latin": "non_latin_country"}
+
+
+def _curve(s: SparkSession, d: str, task: str, name: str, slice_: str = "all", rows: int = 1000, seeds: tuple[int, ...] = (1,)) -> DataFrame:
+    """One system's scores at every error rate, on records drawn from a slice, with the dependencies mined on their clean
+    side, and the mean over the rates. `rows` and `seeds` are the protocol's sample size and repetitions."""
+    cells = materialize(effectiveness.classified_cells(s, d, profile=SLICES[slice_]).filter("nation = 'Nation 7'" if slice_ != "all" else "true"), "curve")
+    return effectiveness.rate_curve(cells, RATES, rows, seeds, **{"detectors": (), "correctors": ()} | {f"{task}ors": (name,)}).withColumn("slice", F.lit(slice_))
+
+
+for _task, _names in SYSTEMS.items():
+    for _name in _names:
+        query(f"rate_curve_{_task}_{_name}")(lambda s, d, t=_task, n=_name: _curve(s, d, t, n))
+for _slice in ("second_country", "non_latin"):
+    query(f"rate_curve_{_slice}_detect")(lambda s, d, v=_slice: _curve(s, d, "detect", "record_prompt", v).unionByName(_curve(s, d, "detect", "factor", v)))
+    query(f"rate_curve_{_slice}_correct")(lambda s, d, v=_slice: _curve(s, d, "correct", "record_prompt", v))
 query("end_to_end")(lambda s, d: effectiveness.end_to_end(_sample(s, d), "record_prompt", "record_prompt"))
-query("size_ladder")(lambda s, d: scalability.size_ladder(s, d, (1500, 15000), fds=RULES, detectors=("factor", "record_prompt"), correctors=("record_prompt",)).select("system", "task", "n_rows", "status"))
+for _task, _names in SYSTEMS.items():
+    query(f"size_ladder_{_task}")(lambda s, d, t=_task, n=_names: scalability.size_ladder(s, d, fds=RULES, budget_s=120.0, **{"detectors": (), "correctors": ()} | {f"{t}ors": n}))
+
+
+@query("sample_table")
+def _samples(s: SparkSession, d: str) -> DataFrame:
+    """The effectiveness samples: slice, aimed rate (0: as it is), rows, columns and the rate that came out."""
+    out = None
+    for name, kind in (SLICES | {"library": "library", "shopping_center": "shopping_center"}).items():
+        where = {"all": "true", "library": "poi = 'Brand#1'", "shopping_center": "poi = 'Brand#2'"}.get(name, "nation = 'Nation 7'")
+        cells = materialize(effectiveness.classified_cells(s, d, profile=kind).filter(where), "slice")
+        for rate in RATES if name in SLICES else (None,):
+            got = profile.error_rate(effectiveness.make_sample(cells, effectiveness.SAMPLE, rate, fds=[]).cells)
+            row = got.select(F.lit(name).alias("slice"), F.lit(rate or 0.0).alias("aim"), (F.col("n_cells") / len(ATTRS)).cast("long").alias("n_rows"), F.lit(len(ATTRS)).alias("n_columns"), "error_rate")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _poi_sample(s: SparkSession, d: str, brand: str, kind: str) -> effectiveness.Sample:
+    return effectiveness.Sample(materialize(effectiveness.classified_cells(s, d, profile=kind).filter(F.col("poi") == brand), "poi"), max_lhs=1)
+
+
+_POI = (("Brand#1", "library"), ("Brand#2", "shopping_center"))
 
 
 @query("poi_overall")
 def _poi(s: SparkSession, d: str) -> DataFrame:
     out = None
-    for brand, kind in (("Brand#1", "library"), ("Brand#2", "shopping_center")):
-        cells = materialize(effectiveness.classified_cells(s, d, profile=kind).filter(F.col("poi") == brand), "poi")
-        got = effectiveness.scores(effectiveness.Sample(cells, RULES), detectors=("factor", "record_prompt"), correctors=("fd_majority", "record_prompt")).withColumn("slice", F.lit(kind))
+    for brand, kind in _POI:
+        got = effectiveness.scores(_poi_sample(s, d, brand, kind), detectors=SYSTEMS["detect"], correctors=SYSTEMS["correct"]).withColumn("slice", F.lit(kind))
         out = got if out is None else out.unionByName(got)
     return out
 
 
+@query("poi_by_category")
+def _poi_categories(s: SparkSession, d: str) -> DataFrame:
+    """Recall of every detector and F1 of every corrector by error category, on both slices."""
+    out = None
+    for brand, kind in _POI:
+        sample = _poi_sample(s, d, brand, kind)
+        for task, names, table_, score, value in (("detect", SYSTEMS["detect"], effectiveness.DETECTORS, measure.recall_by_category, "recall"), ("correct", SYSTEMS["correct"], effectiveness.CORRECTORS, measure.f1_by_category, "f1")):
+            for name in names:
+                got = score(sample.cells, materialize(table_[name](sample), f"{task}-{name}")).select(F.lit(kind).alias("slice"), F.lit(task).alias("task"), F.lit(name).alias("system"), "category", "n_true", "tp", F.col(value).alias("score"))
+                out = got if out is None else out.unionByName(got)
+    return out
+
+
+@query("label_learning")
+def _label_learning(s: SparkSession, d: str) -> DataFrame:
+    """Learned detection on real labels: documents' quality marks against numeric signs of their text, fitted on four
+    fifths of the labelled rows (by hash) and scored on the rest."""
+    from cellscrub.systems import label_model
+
+    docs, labels = table(s, d, "documents"), table(s, d, "labels")
+    return label_model.held_out_scores(docs, labels)
+
+
 # --- noise that the tables hold themselves
 
 
@@ -280,16 +361,17 @@ def _page_noise(s: SparkSession, d: str) -> DataFrame:
     return taxonomy.classify(cells).groupBy("category").agg(F.count("*").alias("n"))
 
 
-@query("natural_noise_docs", "SELECT CASE WHEN t = c THEN 'clean' ELSE 'punct' END AS category, count(*) AS n FROM (SELECT trim(regexp_replace(t, '\\s+', ' ', 'g')) AS t, trim(regexp_replace(regexp_replace(t, '[%*&$#]{3}', '', 'g'), '\\s+', ' ', 'g')) AS c FROM (SELECT split_part(text, chr(10), 1) AS t FROM documents)) GROUP BY ALL")
+@query("natural_noise_docs", "SELECT CASE WHEN t = c THEN 'clean' ELSE 'punct' END AS category, count(*) AS n FROM (SELECT trim(regexp_replace(t, '\\s+', ' ', 'g')) AS t, trim(regexp_replace(regexp_replace(t, '[%*&$#]{3}', '', 'g'), '\\s+', ' ', 'g')) AS c FROM (SELECT unnest(string_split(text, chr(10))) AS t FROM documents)) GROUP BY ALL")
 def _document_noise(s: SparkSession, d: str) -> DataFrame:
-    first = F.substring_index("text", "\n", 1)
-    cells = table(s, d, "documents").select(first.alias("dirty"), F.regexp_replace(first, "[%*&$#]{3}", "").alias("clean"))
+    """Every line of every text against itself without junk symbols."""
+    lines = table(s, d, "documents").select(F.explode(F.split("text", "\n")).alias("dirty"))
+    cells = lines.select("dirty", F.regexp_replace("dirty", "[%*&$#]{3}", "").alias("clean"))
     return taxonomy.classify_native(cells).groupBy("category").agg(F.count("*").alias("n"))
 
 
 # --- surrounding operators
 
-query("join_anti_unmatched", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")(lambda s, d: table(s, d, "customer").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"))
+query("join_anti_unmatched", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT user_id FROM events)")(lambda s, d: table(s, d, "customer").join(table(s, d, "events"), F.col("c_custkey") == F.col("user_id"), "left_anti").select("c_custkey"))
 query("join_semi_matched", "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")(lambda s, d: table(s, d, "customer").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"))
 query("join_full_repairs", f"{CELL}, x AS (SELECT _id, attr FROM cell WHERE dirty IS NULL), y AS (SELECT _id, attr FROM cell WHERE injected = 'missing') SELECT CASE WHEN x._id IS NULL THEN 'right' WHEN y._id IS NULL THEN 'left' ELSE 'both' END AS side, count(*) AS n FROM x FULL JOIN y ON x._id = y._id AND x.attr = y.attr GROUP BY ALL")(lambda s, d: (c := _cells(s, d)).filter("dirty IS NULL").select("_id", "attr", F.lit(1).alias("l")).join(c.filter("injected = 'missing'").select("_id", "attr", F.lit(1).alias("r")), ["_id", "attr"], "full").groupBy(F.when(F.col("l").isNull(), "right").when(F.col("r").isNull(), "left").otherwise("both").alias("side")).agg(F.count("*").alias("n")))
 query("join_theta_edit", f"{ROWS}, v AS (SELECT DISTINCT country, road FROM addr) SELECT a.country, a.road AS road_a, b.road AS road_b FROM v a JOIN v b ON a.country = b.country AND a.road < b.road AND levenshtein(a.road, b.road) <= 2")(lambda s, d: (v := addr_clean(s, d).select("country", "road").distinct()).alias("a").join(v.alias("b"), (F.col("a.country") == F.col("b.country")) & (F.col("a.road") < F.col("b.road"))).filter(F.levenshtein("a.road", "b.road", 2) >= 0).select("a.country", F.col("a.road").alias("road_a"), F.col("b.road").alias("road_b")))

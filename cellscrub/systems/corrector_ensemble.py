@@ -1,13 +1,16 @@
 """corrector_ensemble: value, vicinity and domain makers propose; a model per column picks.
 
-Value makers learn from the labelled tuples: exact pairs, token replacements, and which general transformations restore
-values (in general and per character-class shape). Vicinity is P(value | another attribute) over the rows, domain the
-value's share in its column. A logistic model over the makers' probabilities is fitted on the labelled errors.
+Value makers learn from the labelled tuples alone: exact pairs, token replacements, and edits. An edit removes, adds or
+replaces a piece at a value's start, end or anywhere, as it was seen between the two sides of a labelled error; its weight
+is how often it restores the labelled errors that it applies to. Beside these stand general normal forms that need no
+knowledge of the errors (letter case, decoded entities). Vicinity is P(value | another attribute) over the rows, domain
+the value's share in its column. A logistic model over the makers' probabilities is fitted on the labelled errors.
 """
 
 from __future__ import annotations
 
 from collections import Counter, defaultdict
+from difflib import SequenceMatcher
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
@@ -24,24 +27,45 @@ MOST = 50
 FEATURES = ("exact", "tokens", "shape", "vicinity", "agree", "domain")
 
 
-def transformations(c: Column) -> dict[str, Column]:
-    """General repairs, each a column expression."""
-    words = F.split(c, " ")
+def normal_forms(c: Column) -> dict[str, Column]:
+    """General normal forms, each a column expression."""
     capital = lambda w: F.concat(F.upper(F.left(w, F.lit(1))), F.lower(F.substring(w, 2, 1000)))
-    return {
-        "titled": F.array_join(F.transform(words, capital), " "),
-        "first_capital": F.concat(F.upper(F.left(c, F.lit(1))), F.lower(F.substring(c, 2, 1000))),
-        "upper": F.upper(c),
-        "lower": F.lower(c),
-        "dashes": F.replace(c, F.lit("-"), F.lit(" ")),
-        "no_edge": F.regexp_replace(c, r"[\p{P}]+$", ""),
-        "no_punct": F.regexp_replace(c, r"[\p{P}]+", ""),
-        "rotated": F.when(F.size(words) > 1, F.concat(F.array_join(F.slice(words, 2, 1000), " "), F.lit(" "), words[0])),
-        "no_last": F.when(F.size(words) > 1, F.array_join(F.slice(words, 1, F.size(words) - 1), " ")),
-        "no_last_char": F.when(F.length(c) > 1, F.left(c, F.length(c) - 1)),
-        "decoded": X.entity_decoded(c),
-        "swapped": F.when(F.length(c) > 3, F.concat(F.substring(c, 1, 1), F.substring(c, 3, 1), F.substring(c, 2, 1), F.substring(c, 4, 1000))),
-    }
+    return {"titled": F.array_join(F.transform(F.split(c, " "), capital), " "), "upper": F.upper(c), "lower": F.lower(c), "decoded": X.entity_decoded(c)}
+
+
+def edited(value: str, op: str, old: str, new: str) -> str | None:
+    """A value after one edit, or None where the edit does not apply."""
+    if op == "start":
+        return new + value[len(old) :] if value.startswith(old) else None
+    if op == "end":
+        return value[: len(value) - len(old)] + new if value.endswith(old) else None
+    return value.replace(old, new) if old in value else None
+
+
+def learned_edits(pairs: list[tuple[str, str, str]]) -> list[tuple[str, str, str, str, float]]:
+    """(attr, op, old, new, p) of the edits that turn labelled dirty values into clean ones, and how often they do so among
+    the labelled errors of the column that they apply to."""
+    seen: dict[str, set[tuple[str, str, str]]] = defaultdict(set)
+    of_column: dict[str, list[tuple[str, str]]] = defaultdict(list)
+    for attr, d, c in pairs:
+        of_column[attr].append((d, c))
+        for tag, i, j, k, m in SequenceMatcher(None, d, c, autojunk=False).get_opcodes():
+            if tag == "equal":
+                continue
+            old, new = d[i:j], c[k:m]
+            if i == 0:
+                seen[attr].add(("start", old, new))
+            if j == len(d):
+                seen[attr].add(("end", old, new))
+            if old:
+                seen[attr].add(("any", old, new))
+    out = []
+    for attr, edits in seen.items():
+        for op, old, new in sorted(edits):
+            tried = [edited(d, op, old, new) == c for d, c in of_column[attr] if edited(d, op, old, new) is not None]
+            if sum(tried):
+                out.append((attr, op, old, new, sum(tried) / (len(tried) + 0.5)))
+    return out
 
 
 def _token_swaps(pairs: list[tuple[str, str]]) -> dict[str, str]:
@@ -81,7 +105,14 @@ def proposals(dirty: DataFrame, cells: DataFrame, truth: list[dict], makers: tup
             swapped = F.array_join(F.transform(F.split("value", " "), lambda w: F.coalesce(F.element_at(pairs, w), w)), " ")
             parts.append(own.filter(swapped != F.col("value")).select("_id", "attr", swapped.alias("v"), zero.alias("exact"), F.lit(0.9).alias("tokens"), zero.alias("shape")))
         tries = spark.createDataFrame([(a, d, c) for a, d, c in wrong if d] or [("", "", "")], "attr string, value string, clean string")
-        kinds = transformations(F.col("value"))
+        edits = learned_edits([(a, d, c) for a, d, c in wrong if d])
+        if edits:
+            table = F.broadcast(spark.createDataFrame(edits, "attr string, op string, old string, new string, p double"))
+            value, old, new = F.col("value"), F.col("old"), F.col("new")
+            made = F.when((F.col("op") == "start") & value.startswith(old), F.concat(new, F.substring(value, F.length(old) + 1, F.length(value)))).when((F.col("op") == "end") & value.endswith(old), F.concat(F.left(value, F.length(value) - F.length(old)), new)).when((F.col("op") == "any") & value.contains(old), F.replace(value, old, new))
+            tried = own.filter(value.isNotNull()).join(table, "attr").withColumn("v", made).filter("v IS NOT NULL AND v <> value")
+            parts.append(tried.select("_id", "attr", "v", zero.alias("exact"), zero.alias("tokens"), F.col("p").alias("shape")))
+        kinds = normal_forms(F.col("value"))
         tried = tries.select(_shape(F.col("value")).alias("s"), *[F.coalesce(e == F.col("clean"), F.lit(False)).cast("double").alias(k) for k, e in kinds.items()]).collect()
         rate = lambda rs, k: (sum(r[k] for r in rs) + 0.02) / (len(rs) + 1)
         by_shape: dict[str, list] = defaultdict(list)

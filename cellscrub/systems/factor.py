@@ -1,12 +1,15 @@
 """factor_repair: probabilistic repair over co-occurrence, priors and constraints.
 
 Noisy cells are the blank and the dependency-violating ones. Their candidates are values with P(value | another
-attribute's value) of at least `tau` for some other attribute, plus their own. A softmax over the candidates' features
-is fitted on cells assumed clean, a bounded sample in hash order, and the likeliest candidate is the repair.
+attribute's value) of at least `tau` for some other attribute, plus their own. Constraint features count the dependencies
+by which a candidate keeps to, or departs from, the majority of its record's left side. A softmax over the candidates'
+features is fitted on cells assumed clean, a bounded sample in hash order, and the likeliest candidate is the repair.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -19,7 +22,7 @@ from cellscrub.systems.base import long
 TAU = 0.3
 MAX_DOMAIN = 20
 FIT_CELLS = 4000
-FEATURES = ("cooccur", "prior", "support", "own", "listed")
+FEATURES = ("cooccur", "prior", "support", "own_value", "listed", "kept", "broken")
 
 
 def violating(dirty: DataFrame, fds: list[Dependency]) -> DataFrame:
@@ -39,11 +42,33 @@ def detect(dirty: DataFrame, fds: list[Dependency]) -> DataFrame:
 
 
 def cooccurrence(dirty: DataFrame, attrs: tuple[str, ...] = ATTRS) -> DataFrame:
-    """b_attr, b, attr, v, n: pairs of values in a record, counted over distinct records first."""
+    """b_attr, b, attr, v, n: pairs of values in a record, counted over distinct records first.
+
+    Values are counted as 64-bit hashes, every unordered pair of columns once, so that counting runs on fixed-width rows
+    with map-side sums; names come back by a join of the results with the distinct values, and pairs are mirrored last.
+    """
     counted = dirty.groupBy(*attrs).agg(F.count("*").alias("n"))
-    side = lambda: F.filter(F.array(*[F.struct(F.lit(a).alias("attr"), F.col(a).alias("value")) for a in attrs]), lambda s: s["value"].isNotNull())
-    pairs = counted.select("n", F.explode(side()).alias("x"), side().alias("all")).select("n", "x", F.explode("all").alias("y")).filter("x.attr <> y.attr")
-    return pairs.groupBy(F.col("x.attr").alias("b_attr"), F.col("x.value").alias("b"), F.col("y.attr").alias("attr"), F.col("y.value").alias("v")).agg(F.sum("n").alias("n"))
+    coded = counted.select("n", *[F.when(F.col(a).isNotNull(), F.xxhash64(F.lit(i), F.col(a))).alias(a) for i, a in enumerate(attrs)])
+    couples = F.array(*[F.struct(F.lit(i).alias("i"), F.col(a).alias("x"), F.lit(j).alias("j"), F.col(b).alias("y")) for i, a in enumerate(attrs) for j, b in enumerate(attrs) if i < j])
+    pairs = coded.select("n", F.inline(couples)).filter("x IS NOT NULL AND y IS NOT NULL").groupBy("i", "x", "j", "y").agg(F.sum("n").alias("n"))
+    values = long(counted, attrs, ("n",)).filter("value IS NOT NULL").select("attr", "value").distinct()
+    at = F.array_position(F.array(*[F.lit(a) for a in attrs]), F.col("attr")).cast("int")
+    names = materialize(values.select(F.xxhash64((at - 1), F.col("value")).alias("h"), "attr", "value"), "cooccur-names")
+    named = pairs.join(names.select(F.col("h").alias("x"), F.col("attr").alias("b_attr"), F.col("value").alias("b")), "x").join(names.select(F.col("h").alias("y"), "attr", F.col("value").alias("v")), "y")
+    both = F.array(F.struct("b_attr", "b", "attr", "v"), F.struct(F.col("attr").alias("b_attr"), F.col("v").alias("b"), F.col("b_attr").alias("attr"), F.col("b").alias("v")))
+    return named.select(F.inline(both), "n").select("b_attr", "b", "attr", "v", "n")
+
+
+def constraint_votes(dirty: DataFrame, cells: DataFrame, fds: list[Dependency]) -> DataFrame:
+    """_id, attr, v, kept: how many dependencies name v as the majority of the record's left side; one pass for all."""
+    if not fds:
+        return cells.select("_id", "attr", F.lit(None).cast("string").alias("v"), F.lit(0).cast("long").alias("kept")).limit(0)
+    side = lambda f: F.when(reduce(lambda x, y: x & y, (F.col(a).isNotNull() for a in f.lhs)), F.to_json(F.array(*f.lhs)))
+    sides = F.array(*[F.struct(F.lit(i).alias("rule"), side(f).alias("key"), F.lit(f.rhs).alias("attr"), F.col(f.rhs).alias("v")) for i, f in enumerate(fds)])
+    rows = dirty.select("_id", F.inline(sides)).filter("key IS NOT NULL")
+    counts = rows.filter("v IS NOT NULL").groupBy("rule", "key", "v").agg(F.count("*").alias("n"))
+    most = counts.groupBy("rule", "key").agg(F.min(F.struct((-F.col("n")).alias("m"), "v")).alias("b"), F.sum("n").alias("size")).filter("size > 1").select("rule", "key", F.col("b.v").alias("v"))
+    return rows.drop("v").join(cells.select("_id", "attr"), ["_id", "attr"], "left_semi").join(most, ["rule", "key"]).groupBy("_id", "attr", "v").agg(F.count("*").alias("kept"))
 
 
 def conditional(counts: DataFrame, tau: float = TAU) -> DataFrame:
@@ -61,8 +86,10 @@ def candidates(dirty: DataFrame, cells: DataFrame, fds: list[Dependency], tau: f
     near = rows.select("_id", "attr", F.inline(F.array(*[F.struct(F.lit(a).alias("b_attr"), F.col(a).alias("b")) for a in ATTRS]))).filter(F.col("b").isNotNull() & (F.col("b_attr") != F.col("attr")))
     found = near.join(rules, ["attr", "b_attr", "b"]).groupBy("_id", "attr", "v").agg(F.sum(F.log(F.col("p"))).alias("lp"), F.count("*").alias("k"), F.max("n").alias("support"))
     own = cells.select("_id", "attr").join(values, ["_id", "attr"]).select("_id", "attr", F.col("value").alias("own"))
-    every = found.select("_id", "attr", "v").union(own.filter(F.col("own").isNotNull()).select("_id", "attr", "own")).distinct()
-    out = every.join(found, ["_id", "attr", "v"], "left").join(own, ["_id", "attr"]).join(prior, ["attr", "v"], "left")
+    votes = materialize(constraint_votes(dirty, cells, fds), "factor-votes")
+    ruled = votes.groupBy("_id", "attr").agg(F.sum("kept").alias("ruled"))
+    every = found.select("_id", "attr", "v").union(own.filter(F.col("own").isNotNull()).select("_id", "attr", "own")).union(votes.select("_id", "attr", "v")).distinct()
+    out = every.join(votes, ["_id", "attr", "v"], "left").join(ruled, ["_id", "attr"], "left").join(found, ["_id", "attr", "v"], "left").join(own, ["_id", "attr"]).join(prior, ["attr", "v"], "left")
     if listed is not None:
         out = out.join(listed.select("attr", "v").distinct().withColumn("hit", F.lit(1.0)), ["attr", "v"], "left")
     else:
@@ -74,6 +101,8 @@ def candidates(dirty: DataFrame, cells: DataFrame, fds: list[Dependency], tau: f
         F.log1p(F.coalesce("support", F.lit(0))).alias("support"),
         F.col("v").eqNullSafe(F.col("own")).cast("double").alias("own_value"),
         F.coalesce("hit", F.lit(0.0)).alias("listed"),
+        F.log1p(F.coalesce("kept", F.lit(0))).alias("kept"),
+        F.log1p(F.coalesce("ruled", F.lit(0)) - F.coalesce("kept", F.lit(0))).alias("broken"),
     )
     place = F.row_number().over(Window.partitionBy("_id", "attr").orderBy(F.desc("own_value"), F.desc("cooccur"), F.desc("prior"), "v"))
     return features.withColumn("_p", place).filter(F.col("_p") <= max_domain + 1).drop("_p")
@@ -83,10 +112,10 @@ def fit(dirty: DataFrame, noisy: DataFrame, fds: list[Dependency], limit: int =
     """Softmax weights from cells assumed clean: the observed value should win. The own-value feature is hidden from
     half of them, or it would explain everything."""
     sample = long(dirty).filter(F.col("value").isNotNull()).join(noisy, ["_id", "attr"], "left_anti").select("_id", "attr").orderBy(F.md5(F.concat("_id", "attr"))).limit(limit)
-    rows = candidates(dirty, materialize(sample, "factor-sample"), fds, **options).collect()
+    rows = candidates(dirty, materialize(sample, "factor-sample"), fds, **options).withColumn("shown", F.pmod(F.xxhash64("_id", "attr"), F.lit(2))).collect()
     groups: dict[tuple, list] = {}
     for r in rows:
-        groups.setdefault((r._id, r.attr), []).append(((r.cooccur, r.prior, r.support, 0.0, r.listed), r.v == r.own))
+        groups.setdefault((r._id, r.attr), []).append(([r[f] * r.shown if f == "own_value" else r[f] for f in FEATURES], r.v == r.own))
     w = np.zeros(len(FEATURES))
     data = [(np.array([x for x, _ in g]), np.array([y for _, y in g])) for g in groups.values() if any(y for _, y in g) and len(g) > 1]
     for _ in range(epochs):
@@ -97,7 +126,6 @@ def fit(dirty: DataFrame, noisy: DataFrame, fds: list[Dependency], limit: int =
             grad += x[y].sum(0) - (p / p.sum()) @ x
         if data:
             w += 0.3 * grad / len(data)
-    w[3] = 0.5
     return w
 
 
@@ -105,7 +133,6 @@ def correct(dirty: DataFrame, cells: DataFrame, fds: list[Dependency], **options
     """_id, attr, repair, score for the given error cells."""
     w = fit(dirty, detect(dirty, fds), fds, **options)
     scored = candidates(dirty, cells, fds, **options)
-    names = ("cooccur", "prior", "support", "own_value", "listed")
-    score = sum((F.col(n) * float(x) for n, x in zip(names, w)), F.lit(0.0))
+    score = sum((F.col(n) * float(x) for n, x in zip(FEATURES, w)), F.lit(0.0))
     best = scored.withColumn("score", score).groupBy("_id", "attr").agg(F.min(F.struct((-F.col("score")).alias("m"), "v")).alias("b"))
     return best.select("_id", "attr", F.col("b.v").alias("repair"), (-F.col("b.m")).alias("score"))

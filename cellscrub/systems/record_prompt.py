@@ -1,8 +1,9 @@
 """record_prompt_cleaner: one prompted completion per distinct record, through a pluggable completer.
 
 A completer maps prompts to JSON texts. Prompts are deduplicated by the record's hash, so cost follows the number of
-distinct records, not of rows. RulebookCompleter is a deterministic stand-in without network: it knows dictionaries and
-formats, judges every record on its own, and is not a language model.
+distinct records, not of rows. RulebookCompleter is a deterministic stand-in without network: it knows the public
+dictionaries and each column's format, judges every record on its own, knows nothing of how errors or records are made,
+and is not a language model.
 """
 
 from __future__ import annotations
@@ -18,12 +19,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellscrub.functions.dicts import SHORT_FORMS, TRANSLATIONS
+from cellscrub.functions.dicts import ABBREVIATIONS, ALIASES, accent_table
 from cellscrub.schema import ATTRS
 
-# What one call costs at about 650 dollars for 4.3 million records, split over some 400 tokens.
+# What one call costs at about 650 dollars for 4.3 million records; a common length of a token.
 DOLLARS_PER_CALL = 0.00015
-TOKENS_PER_CALL = 400
+CHARACTERS_PER_TOKEN = 4
 
 DESCRIPTIONS = {
     "name": "name of the place", "house_number": "house number, may end in a letter", "road": "street with its type in full", "postcode": "five digits",
@@ -36,9 +37,14 @@ class Completer(Protocol):
     def complete(self, prompts: list[str]) -> list[str]: ...
 
 
+FORMATS = {"house_number": r"\d+[a-z]?", "postcode": r"\d{5}", "country_code": r"[A-Z]{2}"}
+_FOLD = str.maketrans(*accent_table())
+
+
 @dataclass(frozen=True)
 class RulebookCompleter:
-    """Offline profile: `strict` also distrusts unusual words. failing: share of prompts answered with broken JSON."""
+    """Offline profile: `strict` also distrusts values with digits or marks where the column has none. failing: share of
+    prompts answered with broken JSON."""
 
     profile: str = "plain"
     failing: int = 0
@@ -50,59 +56,42 @@ class RulebookCompleter:
         if self.failing and i % 100 < self.failing:
             return "{broken"
         record = json.loads(prompt.rpartition("RECORD ")[2])
-        return json.dumps({a: self._cell(a, record.get(a), record) for a in ATTRS})
+        return json.dumps({a: self._cell(a, record.get(a)) for a in ATTRS})
 
-    def _cell(self, attr: str, value: str | None, record: dict) -> dict:
+    def _cell(self, attr: str, value: str | None) -> dict:
         if value is None or not value.strip():
-            return {"error": True, "value": self._known(attr, record)}
-        fixed = html.unescape(value)
-        if attr not in ("postcode", "house_number"):
-            fixed = fixed.replace("-", " ")
-        fixed = " ".join(_LONG.get(w, w) for w in fixed.split())
-        if attr == "country_code":
-            fixed = fixed.upper().rstrip(".")
-        elif attr == "house_number":
-            fixed = fixed.lower().rstrip(".")
-        elif attr != "name" and (fixed == fixed.upper() or fixed == fixed.lower()):
+            return {"error": True, "value": None}
+        fixed = html.unescape(value).strip()
+        if attr in FORMATS:
+            bare = re.sub(r"[^0-9A-Za-z]", "", fixed)
+            bare = bare.upper() if attr == "country_code" else bare.lower()
+            good = re.fullmatch(FORMATS[attr], bare) is not None
+            return {"error": fixed != bare or fixed != value or not good, "value": bare if good and bare != value else None}
+        words = [_written_out(w) for w in re.sub(r"[-_]+", " ", fixed).rstrip(".,;").split()]
+        fixed = " ".join(words)
+        if fixed == fixed.upper() or fixed == fixed.lower():
             fixed = fixed.title()
-        elif attr == "name" and (fixed == fixed.upper() or fixed == fixed.lower()):
-            words = fixed.lower().split()
-            fixed = " ".join([words[0].capitalize(), *words[1:-2], *[w.capitalize() for w in words[-2:]]])
-        fixed = fixed.rstrip(".")
-        fixed = re.sub(r" (Annex|Zanzibar)$", "", fixed) if self.profile == "strict" else fixed
-        if attr == "country" and not re.fullmatch(r"Nation \d+", fixed):
-            turned = re.fullmatch(r"(\d+) Nation", fixed)
-            fixed = f"Nation {turned[1]}" if turned else self._known(attr, record) or fixed
-        return {"error": fixed != value, "value": fixed if fixed != value else None}
-
-    @staticmethod
-    def _known(attr: str, record: dict) -> str | None:
-        """What the record's own numbers tell: postcode, town and country share the nation's number."""
-        number = None
-        if m := re.search(r"(\d+)\s*$", record.get("locality") or ""):
-            number = int(m[1])
-        elif m := re.fullmatch(r"(?:Nation|Nat\.|Nación) (\d+)", record.get("country") or ""):
-            number = int(m[1])
-        elif re.fullmatch(r"\d{5}", record.get("postcode") or ""):
-            number = int(record["postcode"]) // 400
-        if number is None:
-            return None
-        if attr == "country":
-            return f"Nation {number}"
-        if attr == "country_code":
-            n = min(number, 23)
-            return chr(65 + n // 5) + chr(65 + n % 5)
-        return None
-
-
-_LONG = {v: k for k, v in SHORT_FORMS.items()} | {v: k for k, v in TRANSLATIONS.items()}
+        odd = self.profile == "strict" and attr != "name" and re.search(r"[^\w .']", fixed) is not None
+        return {"error": fixed != value or odd, "value": fixed if fixed != value else None}
+
+
+def _written_out(word: str) -> str:
+    """A word's long English form, where the dictionaries have exactly one."""
+    plain = word.rstrip(".").lower().translate(_FOLD)
+    long = ABBREVIATIONS.get(plain, ())
+    known = long[0] if len(long) == 1 else ALIASES.get(plain)
+    return known.capitalize() if known else word
+
+
+def head(task: str) -> str:
+    """What stands before the record in every prompt."""
+    return f"TASK {task}\nRULES {RULES}\n" + "\n".join(f"COLUMN {a}: {d}" for a, d in DESCRIPTIONS.items()) + "\nRECORD "
 
 
 def prompts(dirty: DataFrame, task: str = "correct") -> DataFrame:
     """key and prompt of every distinct record; the record stands last, as JSON."""
-    head = f"TASK {task}\nRULES {RULES}\n" + "\n".join(f"COLUMN {a}: {d}" for a, d in DESCRIPTIONS.items()) + "\nRECORD "
     keyed = with_key(dirty)
-    return keyed.dropDuplicates(["key"]).select("key", F.concat(F.lit(head), F.to_json(F.struct(*ATTRS), {"ignoreNullFields": "false"})).alias("prompt"))
+    return keyed.dropDuplicates(["key"]).select("key", F.concat(F.lit(head(task)), F.to_json(F.struct(*ATTRS), {"ignoreNullFields": "false"})).alias("prompt"))
 
 
 def with_key(dirty: DataFrame) -> DataFrame:
@@ -113,7 +102,7 @@ ANSWER = "map<string, struct<error: boolean, value: string>>"
 
 
 def answers(dirty: DataFrame, completer: Completer, task: str = "correct", batch: int = 64, retries: int = 1) -> DataFrame:
-    """key, answer (map, null where the JSON was bad), calls."""
+    """key, answer (map, null where the JSON was bad), calls, characters sent."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -126,10 +115,10 @@ def answers(dirty: DataFrame, completer: Completer, task: str = "correct", batch
                             break
                         replies[i] = completer.complete([p])[0]
                         calls[i] += 1
-                yield pd.DataFrame({"key": part["key"], "reply": replies, "calls": calls})
+                yield pd.DataFrame({"key": part["key"], "reply": replies, "calls": calls, "characters": [c * len(p) for c, p in zip(calls, part["prompt"])]})
 
-    raw = prompts(dirty, task).mapInPandas(run, "key string, reply string, calls int")
-    return raw.select("key", F.from_json("reply", ANSWER).alias("answer"), "calls")
+    raw = prompts(dirty, task).mapInPandas(run, "key string, reply string, calls int, characters long")
+    return raw.select("key", F.from_json("reply", ANSWER).alias("answer"), "calls", "characters")
 
 
 def repairs(dirty: DataFrame, completer: Completer = RulebookCompleter(), task: str = "correct") -> DataFrame:
@@ -148,7 +137,7 @@ def correct(dirty: DataFrame, cells: DataFrame, completer: Completer = RulebookC
 
 
 def cost(dirty: DataFrame, completer: Completer = RulebookCompleter(), task: str = "correct") -> DataFrame:
-    """rows, calls, bad_json, tokens and dollars of one run."""
-    got = answers(dirty, completer, task).agg(F.sum("calls").alias("calls"), F.count_if(F.col("answer").isNull()).alias("bad_json"))
+    """rows, calls, bad_json, tokens sent (by the prompts' length) and dollars of one run."""
+    got = answers(dirty, completer, task).agg(F.sum("calls").alias("calls"), F.sum("characters").alias("characters"), F.count_if(F.col("answer").isNull()).alias("bad_json"))
     rows = dirty.agg(F.count("*").alias("n_rows"))
-    return rows.crossJoin(F.broadcast(got)).select("n_rows", "calls", "bad_json", (F.col("calls") * TOKENS_PER_CALL).alias("tokens"), F.round(F.col("calls") * DOLLARS_PER_CALL, 6).alias("dollars"))
+    return rows.crossJoin(F.broadcast(got)).select("n_rows", "calls", "bad_json", F.ceil(F.col("characters") / CHARACTERS_PER_TOKEN).alias("tokens"), F.round(F.col("calls") * DOLLARS_PER_CALL, 6).alias("dollars"))

@@ -56,7 +56,7 @@ def _violations(sample: DataFrame, fds: list[D.Dependency], config: Config) -> d
     """How many cells each cleaner would touch on the sample."""
     flagged = pattern_flags(sample, config.pattern_share).count()
     missing = sample.agg(sum((F.count_if(F.col(a).isNull()) for a in ATTRS), F.lit(0))).first()[0]
-    wrong = sum(D.g3(sample.dropna(subset=[*f.lhs, f.rhs]), f.lhs, f.rhs).first()["n_remove"] or 0 for f in fds[:4])
+    wrong = sum(D.g3(sample.dropna(subset=[*f.lhs, f.rhs]), f.lhs, f.rhs).first()["n_remove"] or 0 for f in fds)
     return {"dependency": wrong, "pattern": flagged, "missing": missing}
 
 
