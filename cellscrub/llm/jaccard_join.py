@@ -341,7 +341,7 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     sets = open_rows.select("key", "shingles").dropDuplicates(["key"])
     of_hub = sets.select(F.col("key").alias("hub"), F.col("shingles").alias("hub_shingles")).join(large, "hub").select("hub", "hub_shingles", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
     salted = homes.join(large, "hub").withColumn("salt", F.pmod(F.xxhash64("key"), "salts").cast("int"))
-    wide = salted.join(sets, "key").join(of_hub, ["hub", "salt"]).select("hub", "key", "n", "shingles", "hub_shingles")
+    wide = salted.join(sets, "key").join(of_hub.hint("merge"), ["hub", "salt"]).select("hub", "key", "n", "shingles", "hub_shingles")
     tested = materialize(wide.mapInArrow(_hub_batches(percent), "hub binary, key binary, n long, known boolean"), "join-tested")
     small = homes.join(large, "hub", "left_anti").select(F.col("hub").alias("grp"), "key", F.lit(False).alias("known"))
     tasks = small.unionByName(_chunk_tasks(tested, group_budget)).join(sets, "key").select("grp", "key", "known", "shingles")
@@ -350,7 +350,7 @@ def components(docs: DataFrame, percent: int = PERCENT, shingle: int = SHINGLE,
     members = stars.select(F.col("node").alias("key"), "head").union(stars.select(F.col("head").alias("key"), "head").distinct()).join(least, "key")
     named = members.groupBy("head").agg(F.min("least_id").alias("component_id"))
     salted = named.select("head", "component_id", F.explode(F.sequence(F.lit(0), F.lit(HEAD_SALTS - 1))).alias("salt"))
-    told = members.withColumn("salt", F.pmod(F.xxhash64("key"), F.lit(HEAD_SALTS)).cast("int")).join(salted, ["head", "salt"]).select("key", "component_id")
+    told = members.withColumn("salt", F.pmod(F.xxhash64("key"), F.lit(HEAD_SALTS)).cast("int")).join(salted.hint("merge"), ["head", "salt"]).select("key", "component_id")
     found = materialize(least.join(told, "key", "left").select("key", F.coalesce("component_id", "least_id").alias("component_id")), "join-components")
     return rows.select("doc_id", "n_shingles", "key").join(found, "key", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.col("key").alias("set_key"))
 
