@@ -34,7 +34,7 @@ from cellscrub.llm.common import bounded_batches, read_table, sliced, tidy
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 17
-CACHE_BOUND = 200_000
+CACHE_BOUND = 300_000
 
 _MASK = (1 << 64) - 1
 _STEP = 0x9E3779B97F4A7C15
@@ -87,11 +87,19 @@ class Codec:
                 self.char_table[ord(" " if p == _SPACE else p)] = i
         self.code = np.dtype("<u2" if sp.get_piece_size() <= 65536 else "<u4")
 
+    def _drawn(self, keys: np.ndarray, draw: int) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return _mixed(keys + np.uint64((draw + 1) * 0xC2B2AE3D27D4EB4F & _MASK))
+
     def _gaps(self, keys: np.ndarray, draw: int) -> np.ndarray:
         """Candidates taken before the skip of that number, by occurrence; _GAPS means so many and no skip yet."""
-        with np.errstate(over="ignore"):
-            drawn = _mixed(keys + np.uint64((draw + 1) * 0xC2B2AE3D27D4EB4F & _MASK))
-        return len(self.ladder) - np.searchsorted(self.ladder, drawn, "right")
+        return len(self.ladder) - np.searchsorted(self.ladder, self._drawn(keys, draw), "right")
+
+    def _skips(self, keys: np.ndarray, draw: int, traces: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which occurrences skip one of so many candidates, and those's gaps: one comparison tells the others apart."""
+        drawn = self._drawn(keys, draw)
+        hit = (traces > 0) & (self.ladder[np.minimum(len(self.ladder) - traces, len(self.ladder) - 1)] <= drawn)
+        return hit, len(self.ladder) - np.searchsorted(self.ladder, drawn[hit], "right")
 
     def segment(self, unit: str, key: int) -> list[int]:
         """Ids of one unit under an occurrence's key; unit's spaces are plain spaces."""
@@ -193,9 +201,8 @@ class Codec:
         live = np.flatnonzero(at >= 0) if len(self.ladder) else np.zeros(0, np.int64)
         draw = 0
         while len(live):
-            gap = self._gaps(keys[live], draw)
-            hit = gap < self.traces[at[live]]
-            live, gap = live[hit], gap[hit]
+            hit, gap = self._skips(keys[live], draw, self.traces[at[live]])
+            live = live[hit]
             child = at[live] * _GAPS + gap
             found = np.fromiter(map(self.children.get, child.tolist(), repeat(-1)), np.int64, len(child))
             gone = np.flatnonzero(found < 0)
@@ -376,7 +383,7 @@ def encode_documents(docs: DataFrame, model_path: str = DEFAULT_MODEL, dropout:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(model, dropout, seed)
         try:
-            for batch in sliced(batches, text_col, rows=1000):
+            for batch in sliced(batches, text_col, rows=1000, budget=2_000_000):
                 out = codec.encode_many(batch.column(text_col).to_pylist(), batch.column(id_col).cast(pa.int64()).to_pylist())
                 yield _replaced(batch, out_col, pa.array(out, pa.binary()))
         finally:
