@@ -305,8 +305,10 @@ def _samples(s: SparkSession, d: str) -> DataFrame:
     for name, kind in (SLICES | {"library": "library", "shopping_center": "shopping_center"}).items():
         where = {"all": "true", "library": "poi = 'Brand#1'", "shopping_center": "poi = 'Brand#2'"}.get(name, "nation = 'Nation 7'")
         cells = materialize(effectiveness.classified_cells(s, d, profile=kind).filter(where), "slice")
+        ids = sampling.fixed(sampling.dedup_dirty(inject.wide(cells)), effectiveness.SAMPLE, 1).select("_id")
+        chosen = materialize(cells.join(ids, "_id", "left_semi"), "sample")
         for rate in RATES if name in SLICES else (None,):
-            got = profile.error_rate(effectiveness.make_sample(cells, effectiveness.SAMPLE, rate, fds=[]).cells)
+            got = profile.error_rate(chosen if rate is None else sampling.restore(chosen, rate, 1))
             row = got.select(F.lit(name).alias("slice"), F.lit(rate or 0.0).alias("aim"), (F.col("n_cells") / len(ATTRS)).cast("long").alias("n_rows"), F.lit(len(ATTRS)).alias("n_columns"), "error_rate")
             out = row if out is None else out.unionByName(row)
     return out
