@@ -6,11 +6,14 @@ and through the list of true error cells where the protocol grants it.
 
 from __future__ import annotations
 
+from collections.abc import Sequence
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from cellscrub.operators.fd import Dependency
 from cellscrub.schema import ATTRS
 
 LABEL_BUDGET = 20
@@ -31,6 +34,30 @@ def long(dirty: DataFrame, attrs: tuple[str, ...] = ATTRS, keep: tuple[str, ...]
     return dirty.select(*keep, F.inline(F.array(*[F.struct(F.lit(a).alias("attr"), F.col(a).alias("value")) for a in attrs])))
 
 
+def rule_sides(dirty: DataFrame, fds: Sequence[Dependency], keep: tuple[str, ...] = ("_id",)) -> DataFrame:
+    """rule, key, attr, v: every record's left side under every dependency, where it has no blank, with its right side.
+    One scan serves all dependencies, however many there are."""
+    if not fds:
+        return long(dirty, keep=keep).select(*keep, F.lit(0).alias("rule"), F.lit("").alias("key"), "attr", F.col("value").alias("v")).limit(0)
+    whole = lambda f: reduce(lambda x, y: x & y, (F.col(a).isNotNull() for a in f.lhs))
+    sides = [F.struct(F.lit(i).alias("rule"), F.when(whole(f), F.to_json(F.array(*f.lhs))).alias("key"), F.lit(f.rhs).alias("attr"), F.col(f.rhs).alias("v")) for i, f in enumerate(fds)]
+    return dirty.select(*keep, F.inline(F.array(*sides))).filter("key IS NOT NULL")
+
+
+def side_counts(sides: DataFrame) -> DataFrame:
+    """rule, key, v, n: rows by left side and known right side."""
+    return sides.filter("v IS NOT NULL").groupBy("rule", "key", "v").agg(F.count("*").alias("n"))
+
+
+def apply_best(dirty: DataFrame, fds: Sequence[Dependency], best: DataFrame) -> DataFrame:
+    """Every right side takes the proposal (rule, key, v, n) with most support, the largest value on ties, all proposals
+    from the same state of the records. `_id` is a key of dirty."""
+    taken = sorted({f.rhs for f in fds})
+    offers = rule_sides(dirty, fds).drop("v").join(best.select("rule", "key", F.struct("n", "v").alias("offer")), ["rule", "key"])
+    won = offers.groupBy("_id").agg(*[F.max(F.when(F.col("attr") == a, F.col("offer")))["v"].alias(f"_w_{a}") for a in taken])
+    return dirty.join(won, "_id", "left").select(*[F.coalesce(f"_w_{c}", c).alias(c) if c in taken else F.col(c) for c in dirty.columns])
+
+
 @dataclass
 class Labels:
     """Truth for a bounded number of tuples."""

@@ -1,87 +1,121 @@
 """column_imputer: each column predicted from the other columns' character n-grams by a multinomial logistic model.
 
-Sixteen labelled tuples train, four calibrate the temperature; scoring is map-only. It can only answer with values that
-the labelled tuples hold.
+Sixteen labelled tuples train, four calibrate the temperature. The labels are a bounded number of tuples, so the models are
+fitted on the driver; n-grams that no labelled tuple has would get weight zero and are left out. Scoring is map-only: the
+models are linear and every n-gram belongs to one column, so each distinct value of a batch is weighed once for all models.
+It can only answer with values that the labelled tuples hold.
 """
 
 from __future__ import annotations
 
-import math
+from collections import Counter
+from collections.abc import Iterator
+from dataclasses import dataclass
 
-from pyspark.ml.classification import LogisticRegression, LogisticRegressionModel
-from pyspark.ml.feature import HashingTF
-from pyspark.ml.functions import vector_to_array
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellscrub.functions.text import ngrams
 from cellscrub.schema import ATTRS
 from cellscrub.systems.base import Labels, present
 
-FEATURES = 1 << 12
 THRESHOLD = 0.5
 TRAIN = 16
+PENALTY = 0.02
+STEPS = 300
+TEMPERATURES = (0.25, 0.5, 1.0, 2.0, 4.0)
 
 
-def featurized(df: DataFrame, attr: str) -> DataFrame:
-    """df with `grams`: 1- to 3-grams of the other columns, tagged by column, and their hashed counts."""
-    parts = []
-    for a in ATTRS:
-        if a != attr:
-            v = F.coalesce(F.lower(F.col(a)), F.lit(""))
-            parts += [_tagged(ngrams(v, n), a) for n in (1, 2, 3)]
-    grams = df.withColumn("grams", F.concat(*parts))
-    return HashingTF(numFeatures=FEATURES, inputCol="grams", outputCol="features").transform(grams).drop("grams")
+def grams(value: str | None) -> Counter[str]:
+    """Counts of the value's 1- to 3-grams, letters lowered; none for null."""
+    v = (value or "").lower()
+    return Counter(v[i : i + n] for n in (1, 2, 3) for i in range(len(v) - n + 1))
 
 
-def _tagged(grams, attr: str):
-    return F.transform(grams, lambda g: F.concat(F.lit(attr[:2] + attr[-1] + ":"), g))
+@dataclass
+class Model:
+    """values: the answers, at most one a labelled tuple; weights[column][gram]: a score for each answer."""
 
+    values: list[str]
+    weights: dict[str, dict[str, np.ndarray]]
+    bias: np.ndarray
+    temperature: float = 1.0
 
-def fit(spark, truth: list[dict], attr: str) -> tuple[LogisticRegressionModel | None, list[str], float]:
-    """Model, its labels and the temperature that calibrates it on the held-back tuples."""
+    def weigh(self, column: str, value: str | None) -> np.ndarray:
+        """What a column's value adds to the answers' scores."""
+        known = self.weights.get(column, {})
+        return sum((n * known[g] for g, n in grams(value).items() if g in known), np.zeros(len(self.values)))
+
+
+def _softmax(z: np.ndarray) -> np.ndarray:
+    e = np.exp(z - z.max(-1, keepdims=True))
+    return e / e.sum(-1, keepdims=True)
+
+
+def fit(truth: list[dict], attr: str) -> Model:
+    """The column's model, calibrated on the tuples held back; without two different answers, one that gives the only one."""
     tuples: dict[str, dict] = {}
     for t in truth:
         row = tuples.setdefault(t["_id"], {})
         row[t["attr"]] = t["clean"] if t["attr"] == attr else t["dirty"]
-    ids = sorted(tuples)
-    rows = [(i, *[tuples[i].get(a) for a in ATTRS]) for i in ids if tuples[i].get(attr)]
-    values = sorted({r[1 + ATTRS.index(attr)] for r in rows[:TRAIN]})
+    rows = [tuples[i] for i in sorted(tuples) if tuples[i].get(attr)]
+    train = rows[:TRAIN]
+    values = sorted({r[attr] for r in train})
     if len(values) < 2:
-        return None, values, 1.0
-    frame = spark.createDataFrame(rows, "_id string, " + ", ".join(f"{a} string" for a in ATTRS)).coalesce(1)
-    number = F.array_position(F.array(*[F.lit(v) for v in values]), F.col(attr)).cast("double") - 1
-    data = featurized(frame, attr).withColumn("label", number)
-    model = LogisticRegression(family="multinomial", maxIter=25, regParam=0.02).fit(data.filter(F.col("_id").isin([r[0] for r in rows[:TRAIN]])))
-    held = model.transform(data.filter((F.col("label") >= 0) & ~F.col("_id").isin([r[0] for r in rows[:TRAIN]]))).select(vector_to_array("rawPrediction").alias("z"), "label").collect()
-
-    def loss(temperature: float) -> float:
-        total = 0.0
-        for r in held:
-            top = max(r.z)
-            total -= (r.z[int(r.label)] - top) / temperature - math.log(sum(math.exp((x - top) / temperature) for x in r.z))
-        return total
-
-    return model, values, min((0.25, 0.5, 1.0, 2.0, 4.0), key=loss) if held else 1.0
+        return Model(values, {}, np.zeros(len(values)))
+    counts = [{(a, g): n for a in ATTRS if a != attr for g, n in grams(r.get(a)).items()} for r in train]
+    names = sorted({k for c in counts for k in c})
+    x = np.array([[c.get(k, 0) for k in names] for c in counts], dtype=float)
+    spread = x.std(0, ddof=1)
+    scale = np.divide(1.0, spread, out=np.zeros_like(spread), where=spread > 0)
+    mean = x.mean(0)
+    xs = (x - mean) * scale
+    y = np.eye(len(values))[[values.index(r[attr]) for r in train]]
+    w, bias = np.zeros((len(names), len(values))), np.log(y.mean(0))
+    step = 1 / (0.5 * np.linalg.norm(xs, 2) ** 2 / len(train) + 0.5 + PENALTY)
+    before, momentum = (w, bias), (w, bias)
+    for k in range(STEPS):  # accelerated gradient steps of a length that cannot diverge
+        off = (_softmax(xs @ momentum[0] + momentum[1]) - y) / len(train)
+        after = (momentum[0] - step * (xs.T @ off + PENALTY * momentum[0]), momentum[1] - step * off.sum(0))
+        momentum = tuple(a + k / (k + 3) * (a - b) for a, b in zip(after, before))
+        before = after
+    w = before[0] * scale[:, None]
+    weights: dict[str, dict[str, np.ndarray]] = {}
+    for (a, g), row in zip(names, w):
+        weights.setdefault(a, {})[g] = row
+    model = Model(values, weights, before[1] - mean @ w)
+    held = [r for r in rows[TRAIN:] if r[attr] in values]
+    if held:
+        z = np.array([model.bias + sum(model.weigh(a, r.get(a)) for a in ATTRS if a != attr) for r in held])
+        right = [values.index(r[attr]) for r in held]
+        model.temperature = min(TEMPERATURES, key=lambda t: -np.log(_softmax(z / t)[range(len(held)), right] + 1e-300).sum())
+    return model
 
 
 def predict(dirty: DataFrame, labels: Labels) -> DataFrame:
-    """_id, attr, value, repair, score for every cell."""
+    """_id, attr, value, repair, score for every cell; a column without labels has no repair."""
     truth = labels.draw()
-    out = None
-    for attr in ATTRS:
-        model, values, temperature = fit(dirty.sparkSession, truth, attr)
-        if model is None:
-            only = values[0] if values else None
-            part = dirty.select("_id", F.lit(attr).alias("attr"), F.col(attr).alias("value"), F.lit(only).cast("string").alias("repair"), F.lit(1.0 if values else 0.0).alias("score"))
-        else:
-            z = F.transform(vector_to_array("rawPrediction"), lambda x: x / temperature)
-            scored = model.transform(featurized(dirty, attr)).select("_id", attr, z.alias("z")).withColumn("top", F.array_max("z"))
-            score = 1 / F.aggregate(F.transform("z", lambda x: F.exp(x - F.col("top"))), F.lit(0.0), lambda a, x: a + x)
-            place = F.array_position("z", F.col("top")).cast("int")
-            part = scored.select("_id", F.lit(attr).alias("attr"), F.col(attr).alias("value"), F.element_at(F.array(*[F.lit(v) for v in values]), place).alias("repair"), score.alias("score"))
-        out = part if out is None else out.union(part)
-    return out
+    models = {a: fit(truth, a) for a in ATTRS}
+
+    def answered(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            places = {a: pd.factorize(batch[a]) for a in ATTRS}
+            for attr, model in models.items():
+                out = pd.DataFrame({"_id": batch["_id"], "attr": attr, "value": batch[attr], "repair": None, "score": 0.0})
+                if len(model.values) == 1:
+                    out["repair"], out["score"] = model.values[0], 1.0
+                elif model.values and len(batch):
+                    z = np.tile(model.bias, (len(batch), 1))
+                    for a, (code, distinct) in places.items():
+                        if a != attr and len(distinct):
+                            added = np.array([model.weigh(a, v) for v in distinct] + [np.zeros(len(model.values))])
+                            z += added[code]  # code -1, a blank, is the last row
+                    p = _softmax(z / model.temperature)
+                    out["repair"], out["score"] = np.array(model.values, dtype=object)[p.argmax(1)], p.max(1)
+                yield out
+
+    return dirty.select("_id", *ATTRS).mapInPandas(answered, "_id string, attr string, value string, repair string, score double")
 
 
 def detect(dirty: DataFrame, labels: Labels, threshold: float = THRESHOLD) -> DataFrame:

@@ -8,8 +8,6 @@ features is fitted on cells assumed clean, a bounded sample in hash order, and t
 
 from __future__ import annotations
 
-from functools import reduce
-
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -17,7 +15,7 @@ from pyspark.sql import functions as F
 from cellscrub.operators.fd import Dependency
 from cellscrub.schema import ATTRS
 from cellscrub.session import materialize
-from cellscrub.systems.base import long
+from cellscrub.systems.base import long, rule_sides, side_counts
 
 TAU = 0.3
 MAX_DOMAIN = 20
@@ -61,12 +59,8 @@ def cooccurrence(dirty: DataFrame, attrs: tuple[str, ...] = ATTRS) -> DataFrame:
 
 def constraint_votes(dirty: DataFrame, cells: DataFrame, fds: list[Dependency]) -> DataFrame:
     """_id, attr, v, kept: how many dependencies name v as the majority of the record's left side; one pass for all."""
-    if not fds:
-        return cells.select("_id", "attr", F.lit(None).cast("string").alias("v"), F.lit(0).cast("long").alias("kept")).limit(0)
-    side = lambda f: F.when(reduce(lambda x, y: x & y, (F.col(a).isNotNull() for a in f.lhs)), F.to_json(F.array(*f.lhs)))
-    sides = F.array(*[F.struct(F.lit(i).alias("rule"), side(f).alias("key"), F.lit(f.rhs).alias("attr"), F.col(f.rhs).alias("v")) for i, f in enumerate(fds)])
-    rows = dirty.select("_id", F.inline(sides)).filter("key IS NOT NULL")
-    counts = rows.filter("v IS NOT NULL").groupBy("rule", "key", "v").agg(F.count("*").alias("n"))
+    rows = rule_sides(dirty, fds)
+    counts = side_counts(rows)
     most = counts.groupBy("rule", "key").agg(F.min(F.struct((-F.col("n")).alias("m"), "v")).alias("b"), F.sum("n").alias("size")).filter("size > 1").select("rule", "key", F.col("b.v").alias("v"))
     return rows.drop("v").join(cells.select("_id", "attr"), ["_id", "attr"], "left_semi").join(most, ["rule", "key"]).groupBy("_id", "attr", "v").agg(F.count("*").alias("kept"))
 

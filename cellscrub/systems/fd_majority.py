@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from cellscrub.operators.fd import Dependency
 from cellscrub.schema import ATTRS
 from cellscrub.session import materialize
+from cellscrub.systems.base import apply_best, rule_sides, side_counts
 
 CYCLE_ROUNDS = 3
 
@@ -32,36 +33,24 @@ def plan(fds: list[Dependency]) -> list[tuple[list[Dependency], int]]:
     return [(sorted(g, key=lambda f: (len(f.lhs), f.lhs, f.rhs)), CYCLE_ROUNDS if len(c) > 1 else 1) for c, g in ordered]
 
 
-def best_values(dirty: DataFrame, lhs: tuple[str, ...], rhs: str, weighting: str = "row", min_support: int = 1) -> DataFrame:
-    """lhs, v, n: the most frequent right side, smallest on ties."""
-    known = dirty.dropna(subset=[*lhs, rhs])
-    if weighting == "distinct":
-        known = known.select(*ATTRS).distinct()
-    counts = known.groupBy(*lhs, rhs).agg(F.count("*").alias("n")).filter(F.col("n") >= min_support)
-    return counts.groupBy(*lhs).agg(F.min(F.struct((-F.col("n")).alias("m"), F.col(rhs).alias("v"))).alias("b")).select(*lhs, F.col("b.v").alias("v"), (-F.col("b.m")).cast("double").alias("n"))
-
-
-def apply_best(dirty: DataFrame, proposals: list[tuple[tuple[str, ...], str, DataFrame]]) -> DataFrame:
-    """Every right side takes the proposal with most support (v, n by lhs), all from the same state of the records."""
-    columns = dirty.columns
-    offers: dict[str, list] = {}
-    for i, (lhs, rhs, best) in enumerate(proposals):
-        dirty = dirty.join(best.select(*lhs, F.struct(F.col("n"), F.col("v")).alias(f"_p{i}")), list(lhs), "left")
-        offers.setdefault(rhs, []).append(f"_p{i}")
-    winner = {a: F.array_max(F.filter(F.array(*ps), lambda p: p.isNotNull()))["v"] for a, ps in offers.items()}
-    return dirty.select(*[F.coalesce(winner[c], c).alias(c) if c in winner else F.col(c) for c in columns])
+def best_values(dirty: DataFrame, fds: list[Dependency], weighting: str = "row", min_support: int = 1) -> DataFrame:
+    """rule, key, v, n: the most frequent right side of every left side, smallest on ties."""
+    counted = dirty.select(*ATTRS).distinct() if weighting == "distinct" else dirty
+    counts = side_counts(rule_sides(counted, fds, ())).filter(F.col("n") >= min_support)
+    best = counts.groupBy("rule", "key").agg(F.min(F.struct((-F.col("n")).alias("m"), "v")).alias("b"))
+    return best.select("rule", "key", F.col("b.v").alias("v"), (-F.col("b.m")).cast("double").alias("n"))
 
 
 def repaired(dirty: DataFrame, fds: list[Dependency], order: str = "topological", weighting: str = "row", min_support: int = 1, rounds: int | None = None) -> DataFrame:
-    """The records after all repairs: in each group of the plan one aggregation and one join a dependency, all over the
-    same written state, and one write a round."""
+    """The records after all repairs: in each group of the plan one aggregation and one join for all its dependencies, over
+    the same written state, and one write a round."""
     if order == "topological":
         groups = plan(fds)
     else:
         groups = [([f], 1) for f in sorted(fds, key=lambda f: (len(f.lhs), f.lhs, f.rhs))]
     for group, times in groups:
         for _ in range(rounds or times):
-            dirty = materialize(apply_best(dirty, [(f.lhs, f.rhs, best_values(dirty, f.lhs, f.rhs, weighting, min_support)) for f in group]), "fd-repair")
+            dirty = materialize(apply_best(dirty, group, best_values(dirty, group, weighting, min_support)), "fd-repair")
     return dirty
 
 

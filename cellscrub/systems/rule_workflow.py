@@ -16,8 +16,7 @@ from cellscrub.operators import fd as D
 from cellscrub.operators import measure
 from cellscrub.schema import ATTRS
 from cellscrub.session import materialize
-from cellscrub.systems.base import long, pattern_of
-from cellscrub.systems.fd_majority import apply_best
+from cellscrub.systems.base import apply_best, long, pattern_of, rule_sides, side_counts
 
 CORESET = 2000
 
@@ -56,7 +55,8 @@ def _violations(sample: DataFrame, fds: list[D.Dependency], config: Config) -> d
     """How many cells each cleaner would touch on the sample."""
     flagged = pattern_flags(sample, config.pattern_share).count()
     missing = sample.agg(sum((F.count_if(F.col(a).isNull()) for a in ATTRS), F.lit(0))).first()[0]
-    wrong = sum(D.g3(sample.dropna(subset=[*f.lhs, f.rhs]), f.lhs, f.rhs).first()["n_remove"] or 0 for f in fds)
+    groups = side_counts(rule_sides(sample, fds, ())).groupBy("rule", "key").agg((F.sum("n") - F.max("n")).alias("n"))
+    wrong = groups.agg(F.sum("n")).first()[0] or 0
     return {"dependency": wrong, "pattern": flagged, "missing": missing}
 
 
@@ -68,16 +68,12 @@ def planned(dirty: DataFrame, fds: list[D.Dependency], config: Config) -> list[s
 
 
 def _dependency(dirty: DataFrame, fds: list[D.Dependency], config: Config) -> DataFrame:
-    offers = []
-    for f in fds:
-        counts = dirty.dropna(subset=[*f.lhs, f.rhs]).groupBy(*f.lhs, f.rhs).agg(F.count("*").alias("n"))
-        block = Window.partitionBy(*f.lhs)
-        alike = F.count("*").over(Window.partitionBy(*f.lhs, pattern_of(F.col(f.rhs)))) / F.count("*").over(block)
-        vote = counts.withColumn("size", F.sum("n").over(block)).withColumn("alike", alike)
-        score = F.when(F.col("size") < config.single_max, F.col("n") * (1 + F.col("alike"))).otherwise(F.col("n"))
-        best = vote.withColumn("score", score).groupBy(*f.lhs).agg(F.min(F.struct((-F.col("score")).alias("m"), F.col(f.rhs).alias("v"))).alias("b"))
-        offers.append((f.lhs, f.rhs, best.select(*f.lhs, F.col("b.v").alias("v"), (-F.col("b.m")).cast("double").alias("n"))))
-    return apply_best(dirty, offers)
+    block = Window.partitionBy("rule", "key")
+    alike = F.count("*").over(Window.partitionBy("rule", "key", pattern_of(F.col("v")))) / F.count("*").over(block)
+    vote = side_counts(rule_sides(dirty, fds, ())).withColumn("size", F.sum("n").over(block)).withColumn("alike", alike)
+    score = F.when(F.col("size") < config.single_max, F.col("n") * (1 + F.col("alike"))).otherwise(F.col("n"))
+    best = vote.withColumn("score", score).groupBy("rule", "key").agg(F.min(F.struct((-F.col("score")).alias("m"), "v")).alias("b"))
+    return apply_best(dirty, fds, best.select("rule", "key", F.col("b.v").alias("v"), (-F.col("b.m")).cast("double").alias("n")))
 
 
 def _cleared(dirty: DataFrame, config: Config) -> DataFrame:
