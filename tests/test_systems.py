@@ -4,8 +4,8 @@ from conftest import SF
 from cellscrub.operators import fd, measure
 from cellscrub.plans import effectiveness as E
 from cellscrub.session import materialize
-from cellscrub.systems import fd_majority, record_prompt, rule_workflow, signature_detector
-from cellscrub.systems.base import records
+from cellscrub.systems import column_imputer, fd_majority, record_prompt, rule_workflow, signature_detector
+from cellscrub.systems.base import apply_best, records
 
 RULES = [fd.Dependency(("postcode",), "locality"), fd.Dependency(("locality",), "country"), fd.Dependency(("country",), "country_code")]
 
@@ -68,3 +68,52 @@ def test_clusters_and_choice():
     got = signature_detector.clusters(weighted, 2)
     assert got["000"] == got["001"] != got["110"] == got["111"]
     assert signature_detector.choose_tuples({"a": {"x": 0, "y": 0}, "b": {"x": 1, "y": 1}, "c": {"x": 0, "y": 1}}, 2) == ["a", "b"]
+
+
+def test_one_pass_repair_equals_plain_counting(spark, sample):
+    """Two rules for one right side, taken from the same state: most support wins, then the largest value; a blank left
+    side proposes nothing."""
+    from collections import Counter
+
+    rules = [fd.Dependency(("postcode",), "region"), fd.Dependency(("locality", "country"), "region"), fd.Dependency(("postcode",), "locality")]
+    rows = [r.asDict() for r in sample.dirty.collect()]
+    wanted = {r["_id"]: {"region": [], "locality": []} for r in rows}
+    for rule in rules:
+        known = [r for r in rows if all(r[a] is not None for a in rule.lhs)]
+        counts = Counter((tuple(r[a] for a in rule.lhs), r[rule.rhs]) for r in known if r[rule.rhs] is not None)
+        best = {}
+        for (key, v), n in counts.items():
+            if key not in best or (-n, v) < best[key]:
+                best[key] = (-n, v)
+        for r in known:
+            if (key := tuple(r[a] for a in rule.lhs)) in best:
+                n, v = best[key]
+                wanted[r["_id"]][rule.rhs].append((-n, v))
+    got = apply_best(sample.dirty, rules, fd_majority.best_values(sample.dirty, rules)).collect()
+    assert len(got) == len(rows)
+    before = {r["_id"]: r for r in rows}
+    for r in got:
+        for a, offers in wanted[r._id].items():
+            assert r[a] == (max(offers)[1] if offers else before[r._id][a])
+
+
+def test_no_rules_change_nothing(sample):
+    assert fd_majority.correct(sample.dirty, []).count() == 0
+    assert rule_workflow._violations(sample.dirty, [], rule_workflow.Config())["dependency"] == 0
+
+
+def test_imputer_learns_a_column_from_the_others():
+    truth = [{"_id": f"{i:02}", "attr": a, "dirty": v, "clean": v} for i in range(20) for a, v in (("country", "NO" if i % 2 else "SE"), ("locality", "Oslo" if i % 2 else "Lund"), ("region", None if i % 3 else "x"))]
+    model = column_imputer.fit(truth, "country")
+    scores = {v: model.bias + model.weigh("locality", v) for v in ("Oslo", "Lund")}
+    assert model.values == ["NO", "SE"] and scores["Oslo"].argmax() == 0 and scores["Lund"].argmax() == 1
+    assert column_imputer.fit(truth, "road").values == [] and column_imputer.fit([], "road").values == []
+    assert column_imputer.fit([t | {"clean": "SE"} for t in truth], "country").values == ["SE"]
+
+
+def test_imputer_answers_every_cell(spark, sample):
+    got = column_imputer.predict(sample.dirty, sample.labels())
+    assert got.count() == 8 * sample.dirty.count() and got.filter("score < 0 OR score > 1 OR score IS NULL").count() == 0
+    assert column_imputer.predict(sample.dirty.limit(0), sample.labels()).count() == 0
+    blank = sample.dirty.selectExpr("_id", *[f"CAST(NULL AS STRING) AS {a}" for a in E.ATTRS])
+    assert column_imputer.predict(blank, sample.labels()).filter("value IS NOT NULL").count() == 0
