@@ -58,3 +58,11 @@ def test_edit_distance(a, b):
 @pytest.mark.parametrize("value,want", [("100%", []), ("a+b", []), ("&amp;", ["&"])])
 def test_decodings(value, want):
     assert X.decodings_of(value) == want
+
+
+def test_entities_left_over_stay_encoding(spark):
+    """A title cut off within an entity, and one that holds several kinds, of which one is decoded."""
+    rows = [("Onesnd&amp;&amp; and&amp", "Onesnd&& and&amp"), ("a &amp; b &lt; c", "a & b &lt; c"), ("x&quot;y&amp;z &gt; &amp", 'x"y&amp;z &gt; &amp'), ("a&amp;b&amp", "a&b")]
+    got = taxonomy.classify(spark.createDataFrame(rows, "dirty string, clean string")).collect()
+    assert [r.category for r in got] == ["encoding", "encoding", "encoding", "containment"]
+    assert X.decodings_of("a&amp;b&amp") == ["a&b&", "a&b&amp"]
