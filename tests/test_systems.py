@@ -4,7 +4,7 @@ from conftest import SF
 from cellscrub.operators import fd, measure
 from cellscrub.plans import effectiveness as E
 from cellscrub.session import materialize
-from cellscrub.systems import column_imputer, fd_majority, record_prompt, rule_workflow, signature_detector
+from cellscrub.systems import column_imputer, fd_majority, record_prompt, rule_workflow, signature_detector, staged
 from cellscrub.systems.base import apply_best, records
 
 RULES = [fd.Dependency(("postcode",), "locality"), fd.Dependency(("locality",), "country"), fd.Dependency(("country",), "country_code")]
@@ -117,3 +117,19 @@ def test_imputer_answers_every_cell(spark, sample):
     assert column_imputer.predict(sample.dirty.limit(0), sample.labels()).count() == 0
     blank = sample.dirty.selectExpr("_id", *[f"CAST(NULL AS STRING) AS {a}" for a in E.ATTRS])
     assert column_imputer.predict(blank, sample.labels()).filter("value IS NOT NULL").count() == 0
+
+
+def test_simple_rules_take_known_values_only(spark):
+    values = ["Main Road"] * 3 + ["MAIN ROAD", "Main-Road", "Main Road.", "&#77;ain Road", "OTHER"]
+    rows = [(str(i), *[v if a == "road" else None for a in E.ATTRS]) for i, v in enumerate(values)]
+    dirty = spark.createDataFrame(rows, ", ".join(f"{c} string" for c in ("_id", *E.ATTRS)))
+    cells = dirty.selectExpr("_id", "'road' AS attr").filter("_id > 2")
+    assert sorted((r._id, r.repair) for r in staged.simple_rules(dirty, cells).collect()) == [(str(i), "Main Road") for i in range(3, 7)]
+
+
+def test_stages_repair_each_cell_once(sample):
+    got = staged.correct(sample.dirty, sample.errors, sample.fds, sample.labels())
+    counts = {r.stage: r["count"] for r in got.groupBy("stage").count().collect()}
+    assert counts["rules"] > 0 and set(counts) <= {"rules", "dependencies", "ensemble", "prompt"}
+    assert got.select("_id", "attr").distinct().count() == got.count()
+    assert got.join(sample.errors, ["_id", "attr"], "left_anti").count() == 0
