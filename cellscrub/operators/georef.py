@@ -7,6 +7,7 @@ sees the records that no earlier one matched, and the best candidate of a record
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -17,13 +18,19 @@ from cellscrub.schema import CORE_ATTRS
 from cellscrub.session import materialize
 
 RUNGS = (("postcode", "country"), ("postcode", "country_code"), ("locality", "country"), ("locality", "country_code"), ("name", "country"))
+COMPARED = ("house_number", "road", "postcode", "locality")
 ACCEPT = 0.75
+SALTS = 8
 
 
-def similarity() -> Column:
-    """Mean ratio of house number, road, postcode and locality between d (dirty) and r (reference)."""
-    one = lambda c: F.coalesce(X.ratio(F.lower(F.col(f"d.{c}")), F.lower(F.col(f"r.{c}"))), F.lit(0.0))
-    return (one("house_number") + one("road") + one("postcode") + one("locality")) / 4
+def _ratio(c: str) -> Column:
+    d, r = F.col(f"d._{c}"), F.col(f"r._{c}")
+    return F.when(d.isNotNull() & r.isNotNull(), X.ratio(d, r)).otherwise(0.0)  # X.ratio takes a null beside an empty text as equal
+
+
+def _score() -> Column:
+    """Mean ratio of house number, road, postcode and locality between d (dirty) and r (reference), in lower case."""
+    return F.round(reduce(lambda x, y: x + y, (_ratio(c) for c in COMPARED)) / len(COMPARED), 6)
 
 
 def reference(clean: DataFrame, nations: int | None = None) -> DataFrame:
@@ -34,15 +41,67 @@ def reference(clean: DataFrame, nations: int | None = None) -> DataFrame:
     return rows.withColumn("ref_id", F.md5(F.concat_ws("|", *[F.coalesce(F.col(c), F.lit("")) for c in ("name", *CORE_ATTRS)])))
 
 
+def _same(a: str, b: str, cols: tuple[str, ...]) -> Column:
+    return reduce(lambda x, y: x & y, (F.col(f"{a}.{c}").eqNullSafe(F.col(f"{b}.{c}")) for c in cols))
+
+
+def _best_in_blocks(q: DataFrame, r: DataFrame, keys: tuple[str, ...], accept: float) -> DataFrame:
+    """qid, score, ref_id: the best accepted reference of every query within its block, the smallest ref_id on ties.
+
+    Exact without comparing whole blocks. First come references alike in all four fields, then those with the same house
+    number or the same road. Any other one scores at most a bound: fields that differ from a value of n letters lose
+    1 / (n + 1) at least, and the other fields reach their best in the block. Only queries whose bound is not below what
+    they have (or `accept`) are compared with the rest of their block.
+    """
+    fields, on = list(COMPARED), list(keys)
+    rows = lambda found: found.groupBy("qid").agg(F.min(F.struct((-F.col("score")).alias("m"), "ref_id")).alias("b")).select("qid", (-F.col("b.m")).alias("score"), F.col("b.ref_id").alias("ref_id"))
+    equal = q.join(r, [*on, *[f"_{c}" for c in fields]]).select("qid", F.lit(1.0).alias("score"), "ref_id")
+    exact = materialize(rows(equal), "lookup-exact")
+    rest = q.join(exact, "qid", "left_anti")
+    for c in ("postcode", "locality"):
+        if c in keys:
+            most = rest.select(*on, f"_{c}").distinct().withColumn(f"u_{c}", F.lit(1.0))
+        else:
+            most = rest.select(*on, f"_{c}").distinct().alias("d").join(r.select(*on, f"_{c}").distinct().alias("r"), on).groupBy(*on, f"d._{c}").agg(F.max(_ratio(c)).alias(f"u_{c}"))
+        rest = rest.alias("d").join(most.alias("m"), _same("d", "m", (*on, f"_{c}"))).select("d.*", f"u_{c}")
+    rest = materialize(rest, "lookup-rest")
+    by = lambda df: df.withColumn("via", F.explode(F.array(F.struct(F.lit("h").alias("f"), F.col("_house_number").alias("v")), F.struct(F.lit("r").alias("f"), F.col("_road").alias("v"))))).filter("via.v IS NOT NULL").select("*", F.col("via.f").alias("f"), F.col("via.v").alias("fv")).drop("via")
+    tasks = max(2 * q.sparkSession.sparkContext.defaultParallelism, rest.count() // 20_000)  # by pairs, not by bytes, which are few
+    deal = lambda df, cols: df.repartition(tasks, *cols)
+    on_via = [*on, "f", "fv"]
+    met = deal(by(rest), on_via).alias("d").join(deal(by(r), on_via).alias("r"), on_via)
+    near = materialize(rows(met.select("qid", "ref_id", _score().alias("score")).filter(F.col("score") >= accept)), "lookup-near")
+    differing = lambda c: F.when(F.col(f"_{c}").isNull(), 0.0).otherwise(1 - 1 / (F.length(f"_{c}") + 1))
+    bound = F.round((differing("house_number") + differing("road") + F.col("u_postcode") + F.col("u_locality")) / 4, 6)
+    open_ = rest.withColumn("bound", bound).join(near.select("qid", "score"), "qid", "left").filter(F.col("bound") >= F.coalesce("score", F.lit(accept))).drop("score")
+    salted = open_.withColumn("salt", F.pmod("qid", F.lit(SALTS)))  # several tasks share a large block
+    every = r.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)).cast("array<bigint>")))
+    late = deal(salted, [*on, "salt"]).alias("d").join(deal(every, [*on, "salt"]).alias("r"), [*on, "salt"]).select("qid", "ref_id", _score().alias("score")).filter(F.col("score") >= accept)
+    return rows(exact.unionByName(near).unionByName(rows(late)))
+
+
 def lookup(dirty: DataFrame, ref: DataFrame, accept: float = ACCEPT) -> DataFrame:
-    """_id, ref_id, score, rung: the best accepted hit of each record that has one."""
-    left, out = dirty, None
+    """_id, ref_id, score, rung: the best accepted hit of each record that has one.
+
+    Records and references that are alike in a rung's keys and the compared fields are compared once.
+    """
+    folded = [F.lower(F.col(c)).alias(f"_{c}") for c in COMPARED]
+    asked = [k for k in dict.fromkeys(k for keys in RUNGS for k in keys)]
+    left = materialize(dirty.select("_id", *asked, *folded), "lookup-left")
+    refs = materialize(ref.select("ref_id", *asked, *folded), "lookup-refs")
+    out = None
     for i, keys in enumerate(RUNGS):
-        cond = [F.col(f"d.{k}") == F.col(f"r.{k}") for k in keys]
-        found = left.alias("d").join(ref.alias("r"), cond).select("d._id", "r.ref_id", F.round(similarity(), 6).alias("score")).filter(F.col("score") >= accept)
-        best = found.groupBy("_id").agg(F.min(F.struct((-F.col("score")).alias("m"), "ref_id")).alias("b")).select("_id", F.col("b.ref_id").alias("ref_id"), (-F.col("b.m")).alias("score"), F.lit(i).alias("rung"))
+        alike = [*keys, *[f"_{c}" for c in COMPARED]]
+        known = left.dropna(subset=list(keys))
+        q = materialize(known.select(*alike).distinct().withColumn("qid", F.monotonically_increasing_id()), "lookup-asked")
+        r = materialize(refs.dropna(subset=list(keys)).groupBy(*alike).agg(F.min("ref_id").alias("ref_id")), "lookup-blocks")
+        found = _best_in_blocks(q, r, keys, accept).join(q, "qid")
+        hits = known.alias("d").join(found.alias("m"), _same("d", "m", tuple(alike))).select("d._id", "m.ref_id", "m.score")
+        best = hits.groupBy("_id").agg(F.min(F.struct((-F.col("score")).alias("m"), "ref_id")).alias("b"))
+        best = materialize(best.select("_id", F.col("b.ref_id").alias("ref_id"), (-F.col("b.m")).alias("score"), F.lit(i).alias("rung")), "lookup-hits")
         out = best if out is None else out.unionByName(best)
-        left = left.join(best.select("_id"), "_id", "left_anti")
+        if i + 1 < len(RUNGS):
+            left = materialize(left.join(best.select("_id"), "_id", "left_anti"), "lookup-left")
     return out
 
 

@@ -110,3 +110,52 @@ def test_freetext_lookup_is_whole_and_exact(spark):
         got = georef.lookup_freetext(spark.createDataFrame(dirty, schema("_id")), spark.createDataFrame(refs, schema("ref_id")), least).collect()
         assert want and {r._id: (-r.score, r.ref_id) for r in got} == want and len(got) == len(want)
     assert QUERIES["lookup_freetext"](spark, SF).count() > 300
+
+
+def _edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(last + (x != y), row[j] + 1, row[j - 1] + 1)
+    return row[-1]
+
+
+def test_ladder_lookup_is_exact_and_compares_no_rung_twice(spark):
+    import random
+
+    from cellscrub.operators import georef
+    from cellscrub.schema import ATTRS
+
+    rng = random.Random(5)
+
+    def rows(n, spoil):
+        made = []
+        for i in range(n):
+            k = rng.randrange(3)
+            row = [f"n{rng.randrange(9)}", str(rng.randrange(12)), f"{rng.choice(['East', 'West'])} {rng.choice(['Bolt', 'Ring', 'Rod'])} Road", f"0{k}{rng.randrange(3)}", f"Port {k}", "r", "c", "cc"]
+            made.append((f"{i:04}", *[rng.choice([None, "", v + "x", v.upper(), v[1:] + v[:1], "12 Annex"]) if rng.random() < spoil else v for v in row]))
+        return made
+
+    def ratio(a, b):
+        if a is None or b is None:
+            return 0.0
+        a, b = a.lower(), b.lower()
+        return 1 - _edits(a, b) / max(len(a), len(b)) if a or b else 1.0
+
+    at = {a: i + 1 for i, a in enumerate(ATTRS)}
+    dirty, refs = rows(250, 0.35), rows(150, 0.1)
+    want = {}
+    for q in dirty:
+        for rung, keys in enumerate(georef.RUNGS):
+            block = [r for r in refs if all(q[at[k]] is not None and q[at[k]] == r[at[k]] for k in keys)]
+            scored = [(-round(sum(ratio(q[at[c]], r[at[c]]) for c in ("house_number", "road", "postcode", "locality")) / 4, 6), r[0]) for r in block]
+            good = [x for x in scored if -x[0] >= georef.ACCEPT]
+            if good:
+                want[q[0]] = (*min(good), rung)
+                break
+    schema = lambda key: ", ".join(f"{c} string" for c in (key, *ATTRS))
+    got = georef.lookup(spark.createDataFrame(dirty, schema("_id")), spark.createDataFrame(refs, schema("ref_id")))
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("Join") == 0
+    found = {r._id: (-r.score, r.ref_id, r.rung) for r in got.collect()}
+    assert found == want and {x[2] for x in want.values()} >= {0, 1, 2, 3}
