@@ -28,7 +28,7 @@ def statements(spark: SparkSession, sf_dir: str, carrier: str = "orders", profil
 def extracted(stated: DataFrame) -> DataFrame:
     """Statements through quads of both vocabularies and back: graph_iri, node, name, fields, source."""
     emitted = Q.emit_quads(stated.filter("NOT micro")).unionByName(Q.emit_quads(stated.filter("micro"), micro=True))
-    quads = Q.parse_quads(Q.format_quads(emitted)).filter("bad IS NULL")
+    quads = materialize(Q.parse_quads(Q.format_quads(emitted)).filter("bad IS NULL"), "quads")  # nodes, parents and microformat read them
     return Q.combine(Q.build_linked(quads), Q.build_microformat(quads))
 
 

@@ -13,8 +13,12 @@ _LINE = r'^(\S+)\s+<([^>]*)>\s+("(?:[^"\\]|\\.)*"(?:@[\w-]+)?|<[^>]*>|_:\S+)\s+<
 
 def parse_quads(lines: DataFrame, col: str = "value") -> DataFrame:
     """subject, predicate, object, graph_iri, bad (the line where it is malformed, else null)."""
-    part = lambda i: F.regexp_extract(F.col(col), _LINE, i)
-    ok = F.col(col).rlike(_LINE)
+    # the pattern runs once a line: its groups are written one below the other, and a line that does not match stays whole;
+    # only text that holds a line end itself takes one run a group
+    line, several = F.col(col), F.col(col).contains("\n")
+    groups = F.split(F.regexp_replace(line, _LINE, "$1\n$2\n$4\n$3"), "\n", 4)
+    part = lambda i: F.when(several, F.regexp_extract(line, _LINE, i)).otherwise(F.get(groups, F.lit((0, 1, 3, 2)[i - 1])))
+    ok = F.when(several, line.rlike(_LINE)).otherwise(F.size(groups) == 4)
     literal = F.regexp_replace(F.regexp_replace(part(3), r'^"|"(@[\w-]+)?$', ""), r'\\(["\\])', "$1")
     text = F.when(part(3).startswith('"'), F.replace(literal, F.lit("\\n"), F.lit("\n"))).otherwise(F.regexp_replace(part(3), "^<|>$", ""))
     return lines.select(F.when(ok, part(1)).alias("subject"), F.when(ok, part(2)).alias("predicate"), F.when(ok, text).alias("object"), F.when(ok, part(4)).alias("graph_iri"), F.when(~ok, F.col(col)).alias("bad"))

@@ -159,3 +159,16 @@ def test_ladder_lookup_is_exact_and_compares_no_rung_twice(spark):
     assert got._jdf.queryExecution().optimizedPlan().toString().count("Join") == 0
     found = {r._id: (-r.score, r.ref_id, r.rung) for r in got.collect()}
     assert found == want and {x[2] for x in want.values()} >= {0, 1, 2, 3}
+
+
+def test_quads_are_made_once_and_parsed_as_before(spark):
+    from cellscrub.plans import pairs
+    from cellscrub.sources import quads
+
+    lines = ['_:a <p> "x \\"q\\" \\\\ z" <g> .', '_:a <p> "é"@fr <g> . ', "_:a <p> _:b <g> .", "_:a <p> <iri> <g> .", "_:a <p> \"x <g> .", "", '_:a <p> "v\x0bw $1" <g>.', '_:a <p> "x" <g\nh> .']
+    got = quads.parse_quads(spark.createDataFrame([(x,) for x in lines] + [(None,)], "value string")).collect()
+    want = [('x "q" \\ z', "g"), ("é", "g"), ("_:b", "g"), ("iri", "g"), None, None, ("v\x0bw $1", "g"), ("x", "g\nh"), None]
+    assert [None if r.subject is None else (r.object, r.graph_iri) for r in got] == want
+    assert [r.bad for r in got] == [None if w or x is None else x for w, x in zip(want, [*lines, None])]
+    plan = pairs.extracted(pairs.statements(spark, SF))._jdf.queryExecution().optimizedPlan().toString()
+    assert "c_custkey" not in plan
