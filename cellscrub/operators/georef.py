@@ -21,6 +21,11 @@ RUNGS = (("postcode", "country"), ("postcode", "country_code"), ("locality", "co
 COMPARED = ("house_number", "road", "postcode", "locality")
 ACCEPT = 0.75
 SALTS = 8
+PLACE = tuple(c for c in CORE_ATTRS if c not in ("house_number", "road"))
+#: Sizes up to which texts are looked up by blocks: words of a text (fractions of such sizes stay apart when rounded), a
+#: reference's words beside its place's, and such words in a question; sets of the latter two are listed.
+SHORT, STREET_WORDS, ASKED_WORDS = 300, 6, 8
+ROUNDED = 1e-6  # scores are rounded before they are compared
 
 
 def _ratio(c: str) -> Column:
@@ -105,27 +110,20 @@ def lookup(dirty: DataFrame, ref: DataFrame, accept: float = ACCEPT) -> DataFram
     return out
 
 
-def lookup_freetext(dirty: DataFrame, ref: DataFrame, least: float = 0.5) -> DataFrame:
-    """_id, ref_id, score: the best reference by shared words of the whole address, least (above 0) or better.
+def _best_by_prefix(asked: DataFrame, refs: DataFrame, least: float) -> DataFrame:
+    """id, b (see `_code`): the best reference by shared words, for texts of any length.
 
-    Equal word sets are compared once. Words are ordered from the rarest on; for sizes n and m, sets that are alike
-    enough share at least least / (1 + least) * (n + m) words and thus meet in the words before those, so no match is lost.
+    Words are ordered from the rarest on; for sizes n and m, sets that are alike enough share at least
+    least / (1 + least) * (n + m) words and thus meet in the words before those, so no match is lost.
     """
-    words = lambda df: F.array_sort(F.array_distinct(X.tokens(F.concat_ws(" ", *[F.col(c) for c in CORE_ATTRS]))))
-    asked = materialize(dirty.select("_id", words(dirty).alias("s")), "freetext")
-    sets = materialize(asked.groupBy("s").agg(F.min("_id").alias("id")), "freetext")
-    refs = ref.select("ref_id", words(ref).alias("s")).groupBy("s").agg(F.min("ref_id").alias("ref_id"))
-    # numbers in the order of ref_id, so that score and reference fit in one long that is aggregated without a sort
-    refs = refs.repartitionByRange(64, "ref_id").sortWithinPartitions("ref_id").withColumn("id", F.monotonically_increasing_id())
-    refs = materialize(refs, "freetext")
     counts = refs.select(F.explode("s").alias("w")).groupBy("w").agg(F.count("*").alias("n"))
-    bound = least - 1e-6  # scores are rounded before they are compared
+    bound = least - ROUNDED
 
-    def ordered(sets: DataFrame) -> DataFrame:
-        known = sets.select("id", F.size("s").alias("size"), F.explode("s").alias("w")).join(counts, "w").groupBy("id", "size").agg(F.array_sort(F.collect_list(F.struct("n", "w"))).alias("k"))
+    def ordered(sets: DataFrame, key: str) -> DataFrame:
+        known = sets.select(F.col(key).alias("id"), F.size("s").alias("size"), F.explode("s").alias("w")).join(counts, "w").groupBy("id", "size").agg(F.array_sort(F.collect_list(F.struct("n", "w"))).alias("k"))
         return materialize(known.select("id", F.col("size").alias("n"), F.col("k.w").alias("k")), "freetext")
 
-    q, r = ordered(sets), ordered(refs)
+    q, r = ordered(asked, "id"), ordered(refs, "no")
 
     def proposing(some: DataFrame, others: DataFrame) -> DataFrame:
         sizes = F.broadcast(others.select(F.col("n").alias("m")).distinct())
@@ -135,11 +133,115 @@ def lookup_freetext(dirty: DataFrame, ref: DataFrame, least: float = 0.5) -> Dat
 
     left, right = proposing(q, r).alias("q"), proposing(r, q).alias("r")
     pairs = left.join(right, (F.col("q.w") == F.col("r.w")) & (F.col("q.n") == F.col("r.m")) & (F.col("q.m") == F.col("r.n")))
-    common = F.size(F.array_intersect("q.k", "r.k"))
-    scored = pairs.select(F.col("q.id").alias("id"), F.col("r.id").alias("no"), F.round(common / (F.col("q.n") + F.col("r.n") - common), 6).alias("score")).filter(F.col("score") >= least)
-    top = scored.groupBy("id").agg(F.min((1000000 - F.round(F.col("score") * 1000000).cast("long")) * 2**42 + F.col("no")).alias("b"))
-    best = top.select("id", (F.col("b") % 2**42).alias("no"), ((1000000 - F.shiftright("b", 42)) / 1000000).alias("score"))
-    found = best.join(refs.select(F.col("id").alias("no"), "ref_id"), "no").join(sets, "id").select("s", "ref_id", "score")
+    scored = pairs.select(F.col("q.id").alias("id"), F.col("r.id").alias("no"), _shared(F.size(F.array_intersect("q.k", "r.k")), F.col("q.n") + F.col("r.n")).alias("score"))
+    return scored.filter(F.col("score") >= least).groupBy("id").agg(_code().alias("b"))
+
+
+def _shared(common: Column, sizes: Column) -> Column:
+    """Shared words over all words; sizes is the sum of both sizes."""
+    return F.round(common / (sizes - common), 6)
+
+
+def _code() -> Column:
+    """The highest score and its smallest reference number in one long, which is aggregated without a sort."""
+    return F.min((1000000 - F.round(F.col("score") * 1000000).cast("long")) * 2**42 + F.col("no"))
+
+
+def _subset(words: Column, mask: Column) -> Column:
+    """Those of the sorted words whose bit is set, as one text."""
+    return F.array_join(F.filter(words, lambda w, i: F.getbit(mask, i) == 1), " ")
+
+
+def _masks(words: Column) -> Column:
+    return F.sequence(F.lit(0).cast("long"), F.pow(F.lit(2), F.size(words)).cast("long") - 1)
+
+
+def _best_by_blocks(asked: DataFrame, refs: DataFrame, least: float) -> DataFrame:
+    """n, ka, kb, b: the best reference of every question, of which `refs` has few street words each.
+
+    References with the same place words p form a block, and a table holds, for each block and each set of street words,
+    the smallest reference with those. A question shares o words with a block, and x street words at most beside them, which bounds
+    its score there. It is looked up in the block with the highest bound first, then in all blocks whose bound is not
+    below what it has. The block -1 holds all references, for those that share no place word.
+    """
+    refs = refs.withColumn("street", F.array_except("s", "p")).withColumn("m", F.size("s"))
+    blocks = refs.groupBy("p").agg(F.min("m").alias("least_m"), F.max(F.size("street")).alias("most_x")).withColumn("bid", F.monotonically_increasing_id())
+    blocks = materialize(blocks.withColumn("size_p", F.size("p")), "freetext-blocks")
+    made = refs.join(blocks.select("p", "bid"), "p").select(F.explode(F.array("bid", F.lit(-1).cast("long"))).alias("bid"), "no", "m", "street")
+    table = made.select("bid", "no", "m", "street", F.explode(_masks(F.col("street"))).alias("mask")).select("bid", _subset(F.col("street"), F.col("mask")).alias("key"), "m", "no")
+    table = materialize(table.groupBy("bid", "key").agg(F.min(F.struct("m", "no")).alias("r")).select("bid", "key", "r.m", "r.no"), "freetext-table")
+
+    floor = least - ROUNDED
+    groups = materialize(asked.select("kb", F.size("ka").alias("c"), "n").distinct().withColumn("gid", F.monotonically_increasing_id()), "freetext-groups")
+    q = materialize(asked.withColumn("c", F.size("ka")).join(groups, ["kb", "c", "n"]).withColumn("qid", F.monotonically_increasing_id()), "freetext-asked")
+    # kb has the rarest words first: enough shared words include one of the first `take`, and a pair counts at its first shared word
+    ends = blocks.agg(F.min("least_m").alias("least_m"), F.max("most_x").alias("most_x"))
+    least_m, most_x = ends.first() or (0, 0)
+    need = F.ceil(F.lit(floor / (1 + floor)) * (F.col("n") + F.lit(least_m)) - 1e-9).cast("int") - F.least("c", F.lit(most_x))
+    take = F.greatest(F.size("kb") - F.greatest(need, F.lit(1)) + 1, F.lit(0))
+    tasks = max(2 * refs.sparkSession.sparkContext.defaultParallelism, groups.count() // 20_000)  # by pairs, not by bytes, which are few
+    shared = F.array_intersect("kb", "p")
+    met = groups.repartition(tasks, "gid").withColumn("w", F.explode(F.slice("kb", 1, take))).join(blocks.withColumn("w", F.explode("p")), "w").filter(shared[0] == F.col("w"))
+    met = met.select("gid", "n", "c", "bid", F.size(shared).alias("o"), "size_p", "least_m", "most_x")
+    whole = ends.select(F.lit(-1).cast("long").alias("bid"), F.lit(0).alias("o"), F.lit(0).alias("size_p"), "*")
+    met = met.unionByName(groups.select("gid", "n", "c").crossJoin(F.broadcast(whole)))
+
+    def bound(x: Column) -> Column:
+        common = F.col("o") + x
+        return common / (F.col("n") + F.greatest(F.col("least_m"), F.col("size_p") + x) - common)
+
+    offers = met.withColumn("most", bound(F.least("c", "most_x"))).filter(F.col("most") >= floor)
+    offers = materialize(offers.select("gid", "bid", "o", "size_p", "least_m", "most_x", "most"), "freetext-offers")
+
+    def looked_up(rows: DataFrame) -> DataFrame:
+        """qid, b of rows with a question, a block and `floor`, below which no score counts."""
+        masks = F.filter(_masks(F.col("ka")), lambda k: (F.bit_count(k) <= F.col("most_x")) & (bound(F.bit_count(k)) >= F.col("floor")))
+        tried = rows.select("qid", "n", "bid", "o", "ka", F.explode(masks).alias("mask")).select("qid", "bid", (F.col("o") + F.bit_count("mask")).alias("common"), "n", _subset(F.col("ka"), F.col("mask")).alias("key"))
+        hits = tried.join(table, ["bid", "key"]).select("qid", "no", _shared(F.col("common"), F.col("n") + F.col("m")).alias("score"))
+        return hits.filter(F.col("score") >= least).groupBy("qid").agg(_code().alias("b"))
+
+    first = offers.groupBy("gid").agg(F.max(F.struct("most", "bid", "o", "size_p", "least_m", "most_x")).alias("f")).select("gid", "f.*")
+    found = materialize(looked_up(q.join(first, "gid").withColumn("floor", F.lit(floor))), "freetext-first")
+    left = q.join(found, "qid", "left").withColumn("floor", F.coalesce(_score_of("b") - ROUNDED, F.lit(floor))).drop("b")
+    rest = offers.join(first.select("gid", "bid"), ["gid", "bid"], "left_anti")
+    late = looked_up(left.join(rest, "gid").filter(F.col("most") >= F.col("floor")))
+    best = found.unionByName(late).groupBy("qid").agg(F.min("b").alias("b"))
+    return best.join(q, "qid").select("n", "ka", "kb", "b")
+
+
+def _score_of(code: str) -> Column:
+    return (1000000 - F.shiftright(code, 42)) / 1000000
+
+
+def lookup_freetext(dirty: DataFrame, ref: DataFrame, least: float = 0.5) -> DataFrame:
+    """_id, ref_id, score: the best reference by shared words of the whole address, least (above 0) or better.
+
+    Equal word sets are compared once. Short texts go by blocks of places; references with more than STREET_WORDS words
+    beside their place's and questions with many such words, or either with more than SHORT words, go by prefixes. Both are exact.
+    """
+    words = lambda *cols: F.array_sort(F.array_distinct(X.tokens(F.concat_ws(" ", *[F.col(c) for c in cols]))))
+    asked = materialize(dirty.select("_id", words(*CORE_ATTRS).alias("s")), "freetext")
+    sets = materialize(asked.filter(F.size("s") > 0).groupBy("s").agg(F.min("_id").alias("id")), "freetext")
+    refs = ref.select("ref_id", words(*CORE_ATTRS).alias("s"), words(*PLACE).alias("p")).filter(F.size("s") > 0).groupBy("s").agg(F.min(F.struct("ref_id", "p")).alias("r")).select("s", "r.*")
+    # numbers in the order of ref_id
+    refs = refs.repartitionByRange(64, "ref_id").sortWithinPartitions("ref_id").withColumn("no", F.monotonically_increasing_id())
+    refs = materialize(refs, "freetext")
+    few = (F.size("s") <= SHORT) & (F.size("s") - F.size("p") <= STREET_WORDS)
+    near, far = refs.filter(few), refs.filter(~few)
+    of = lambda c, place: near.select(F.explode(c).alias("w"), F.lit(place).alias("place"))
+    known = of(F.array_except("s", "p"), 0).unionByName(of("p", 1)).groupBy("w").agg(F.count_if(F.col("place") == 0).alias("a"), F.sum("place").alias("b"))
+    cut = sets.select("id", F.size("s").alias("n"), F.explode("s").alias("w")).join(known, "w").groupBy("id", "n")
+    cut = cut.agg(*[F.array_sort(F.collect_list(F.when(F.col(c) > 0, F.struct(F.lit(0).cast("long") if c == "a" else F.col(c), "w")))).alias(c) for c in "ab"])
+    cut = materialize(cut.select("id", "n", F.col("a.w").alias("ka"), F.col("b.w").alias("kb")), "freetext")
+    long_ = (F.col("n") > SHORT) | (F.size("ka") > ASKED_WORDS)
+    short = cut.filter(~long_)
+    best = short.join(_best_by_blocks(short.select("n", "ka", "kb").distinct(), near, least), ["n", "ka", "kb"]).select("id", "b")
+    if not far.isEmpty():
+        best = best.unionByName(_best_by_prefix(sets, far, least))
+    if not (large := cut.filter(long_)).isEmpty():
+        best = best.unionByName(_best_by_prefix(sets.join(large.select("id"), "id"), near, least))
+    best = best.groupBy("id").agg(F.min("b").alias("b")).select("id", (F.col("b") % 2**42).alias("no"), _score_of("b").alias("score"))
+    found = best.join(refs.select("no", "ref_id"), "no").join(sets, "id").select("s", "ref_id", "score")
     return asked.join(found, "s").select("_id", "ref_id", "score").distinct()
 
 

@@ -112,6 +112,42 @@ def test_freetext_lookup_is_whole_and_exact(spark):
     assert QUERIES["lookup_freetext"](spark, SF).count() > 300
 
 
+def test_freetext_lookup_compares_no_short_texts_in_pairs_and_loses_no_long_ones(spark):
+    import random
+
+    from cellscrub.operators import georef
+    from cellscrub.schema import CORE_ATTRS
+
+    plan = QUERIES["lookup_freetext"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "array_intersect" not in plan  # before, the result was made from the pairs that share a word
+
+    rng = random.Random(7)
+
+    def rows(n):
+        made = []
+        for i in range(n):
+            many = 310 + rng.randrange(3) if i % 40 == 1 else rng.choice([1, 2, 4, 9, 12])
+            k = rng.randrange(4)
+            road = " ".join(f"w{(k + j) % 13 if many < 20 else j}" for j in range(many))
+            place = [f"p{k}", f"l {k}", rng.choice(["r w3", None]), "c", "cc"] if i % 3 else [None] * 5
+            made.append((f"{i:03}", rng.choice([str(k), "5", None]), road if i % 7 else None, *[v if rng.random() < 0.8 else "x" for v in place]))
+        return made
+
+    schema = lambda key: ", ".join(f"{c} string" for c in (key, *CORE_ATTRS))
+    cut = lambda r: {w for v in r[1:] if v for w in v.split()}
+    dirty, refs = rows(160), rows(120)
+    assert {len(cut(r)) > georef.SHORT for r in refs} == {len(cut(r)) > georef.SHORT for r in dirty} == {True, False}
+    want = {}
+    for d in dirty:
+        scores = [(-round(len(cut(d) & cut(r)) / len(cut(d) | cut(r)), 6), r[0]) for r in refs if cut(d) | cut(r)]
+        if -min(scores)[0] >= 0.4:
+            want[d[0]] = min(scores)
+    got = georef.lookup_freetext(spark.createDataFrame(dirty, schema("_id")), spark.createDataFrame(refs, schema("ref_id")), 0.4).collect()
+    assert len(want) > 100 and {r._id: (-r.score, r.ref_id) for r in got} == want and len(got) == len(want)
+    none = spark.createDataFrame([], schema("ref_id"))
+    assert georef.lookup_freetext(spark.createDataFrame(dirty, schema("_id")), none).count() == 0
+
+
 def _edits(a, b):
     row = list(range(len(b) + 1))
     for i, x in enumerate(a, 1):
