@@ -119,6 +119,25 @@ def test_imputer_answers_every_cell(spark, sample):
     assert column_imputer.predict(blank, sample.labels()).filter("value IS NOT NULL").count() == 0
 
 
+def test_poi_by_category_learns_and_repairs_once_for_both_tasks(spark, sample, monkeypatch):
+    """Every system that serves both tasks, and factor's rules, run once a slice; the scores are those of the systems by themselves."""
+    from cellscrub import queries
+    from cellscrub.systems import factor
+
+    runs = []
+    for module, name in ((fd_majority, "repaired"), (rule_workflow, "repaired"), (factor, "cooccurrence")):
+        monkeypatch.setattr(module, name, lambda *a, f=getattr(module, name), m=module, **b: (runs.append(m), f(*a, **b))[1])
+    monkeypatch.setattr(queries, "SYSTEMS", {"detect": ("fd_majority", "rule_workflow", "factor"), "correct": ("factor", "fd_majority", "rule_workflow")})
+    monkeypatch.setattr(queries, "_poi_sample", lambda *a: sample)
+    got = {(r.slice, r.task, r.system, r.category): (r.n_true, r.tp, r.score) for r in queries.QUERIES["poi_by_category"](spark, SF).collect()}
+    assert sorted(m.__name__ for m in runs) == sorted(2 * [m.__name__ for m in (fd_majority, rule_workflow, factor)])
+    for task, table, score in (("detect", E.DETECTORS, measure.recall_by_category), ("correct", E.CORRECTORS, measure.f1_by_category)):
+        for name in ("fd_majority", "rule_workflow", "factor"):
+            want = {r.category: (r.n_true, r.tp, r[-1]) for r in score(sample.cells, table[name](sample)).collect()}
+            for kind in ("library", "shopping_center"):
+                assert {k[3]: v for k, v in got.items() if k[:3] == (kind, task, name)} == want
+
+
 def test_simple_rules_take_known_values_only(spark):
     values = ["Main Road"] * 3 + ["MAIN ROAD", "Main-Road", "Main Road.", "&#77;ain Road", "OTHER"]
     rows = [(str(i), *[v if a == "road" else None for a in E.ATTRS]) for i, v in enumerate(values)]
