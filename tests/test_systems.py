@@ -3,8 +3,8 @@ from conftest import SF
 
 from cellscrub.operators import fd, measure
 from cellscrub.plans import effectiveness as E
-from cellscrub.session import materialize
-from cellscrub.systems import column_imputer, fd_majority, record_prompt, rule_workflow, signature_detector, staged
+from cellscrub.session import materialize, side_by_side
+from cellscrub.systems import column_imputer, corrector_ensemble, factor, fd_majority, record_prompt, rule_workflow, signature_detector, staged
 from cellscrub.systems.base import apply_best, records
 
 RULES = [fd.Dependency(("postcode",), "locality"), fd.Dependency(("locality",), "country"), fd.Dependency(("country",), "country_code")]
@@ -97,6 +97,60 @@ def test_one_pass_repair_equals_plain_counting(spark, sample):
             assert r[a] == (max(offers)[1] if offers else before[r._id][a])
 
 
+def _joins(df):
+    return df._jdf.queryExecution().optimizedPlan().toString().count("Join ")
+
+
+def test_violations_take_one_pass_for_all_rules(sample):
+    """The plan does not grow with the rules, and the cells are those of plain counting."""
+    from collections import Counter, defaultdict
+
+    rules = [fd.Dependency(lhs, rhs) for lhs, rhs in ((("postcode",), "region"), (("postcode",), "locality"), (("locality", "country"), "region"), (("locality",), "country"), (("country",), "country_code"), (("road",), "locality"))]
+    for found in (factor.violating, signature_detector.violating_minority):
+        assert _joins(found(sample.dirty, rules)) == _joins(found(sample.dirty, rules[:1]))
+    wrong, minor = set(), {}
+    for rule in rules:
+        groups = defaultdict(Counter)
+        known = [r for r in sample.dirty.collect() if all(r[a] is not None for a in (*rule.lhs, rule.rhs))]
+        for r in known:
+            groups[tuple(r[a] for a in rule.lhs)][r[rule.rhs]] += 1
+        for r in known:
+            if len(counts := groups[tuple(r[a] for a in rule.lhs)]) > 1:
+                wrong.add((r._id, rule.rhs))
+                minor[r._id, rule.rhs] = minor.get((r._id, rule.rhs), False) or counts[r[rule.rhs]] < max(counts.values())
+    assert wrong and {tuple(r) for r in factor.violating(sample.dirty, rules).collect()} == wrong
+    assert {(r._id, r.attr): r.minor for r in signature_detector.violating_minority(sample.dirty, rules).collect()} == minor
+
+
+def test_sources_of_candidates_are_planned_once(sample, monkeypatch):
+    """What is planned at once stays small, as the driver holds it for every system under way."""
+    joins = []
+    for module in (factor, corrector_ensemble):
+        monkeypatch.setattr(module, "materialize", lambda df, label: (joins.append(_joins(df)), materialize(df, label))[1])
+    joins.append(_joins(factor.candidates(sample.dirty, sample.errors, RULES)))
+    joins.append(_joins(corrector_ensemble.proposals(sample.dirty, sample.errors, sample.labels().draw())))
+    assert max(joins) <= 6
+
+
+def test_two_steps_at_once():
+    import threading
+    import time
+
+    lock, now = threading.Lock(), []
+
+    def step(i):
+        with lock:
+            now.append(i)
+            seen = len(now)
+        time.sleep(0.05)
+        with lock:
+            now.remove(i)
+        return i, seen
+
+    got = side_by_side([lambda i=i: step(i) for i in range(8)])
+    assert [i for i, _ in got] == list(range(8)) and max(n for _, n in got) == 2
+
+
 def test_no_rules_change_nothing(sample):
     assert fd_majority.correct(sample.dirty, []).count() == 0
     assert rule_workflow._violations(sample.dirty, [], rule_workflow.Config())["dependency"] == 0
