@@ -3,7 +3,7 @@ from conftest import SF
 
 from cellscrub.operators import fd, measure
 from cellscrub.plans import effectiveness as E
-from cellscrub.session import materialize, side_by_side
+from cellscrub.session import materialize
 from cellscrub.systems import column_imputer, corrector_ensemble, factor, fd_majority, record_prompt, rule_workflow, signature_detector, staged
 from cellscrub.systems.base import apply_best, records
 
@@ -132,23 +132,37 @@ def test_sources_of_candidates_are_planned_once(sample, monkeypatch):
     assert max(joins) <= 6
 
 
-def test_two_steps_at_once():
+def test_poi_by_category_runs_one_system_at_a_time(spark, sample, monkeypatch):
     import threading
-    import time
 
-    lock, now = threading.Lock(), []
-
-    def step(i):
-        with lock:
-            now.append(i)
-            seen = len(now)
-        time.sleep(0.05)
-        with lock:
-            now.remove(i)
-        return i, seen
+    from cellscrub import queries
 
-    got = side_by_side([lambda i=i: step(i) for i in range(8)])
-    assert [i for i, _ in got] == list(range(8)) and max(n for _, n in got) == 2
+    who = []
+    monkeypatch.setattr(queries, "SYSTEMS", {"detect": ("flag_missing", "flag_all"), "correct": ("column_mode",)})
+    monkeypatch.setattr(queries, "_poi_sample", lambda *a: sample)
+    monkeypatch.setattr(queries, "materialize", lambda df, label: (who.append(threading.get_ident()), materialize(df, label))[1])
+    assert queries.QUERIES["poi_by_category"](spark, SF).count() > 0 and set(who) == {threading.get_ident()}
+
+
+def test_factor_fits_on_columns_not_on_rows(sample, monkeypatch):
+    """The weights of plain rows, without the driver making one Python object a candidate."""
+    import numpy as np
+
+    made = []
+    monkeypatch.setattr(factor, "candidates", lambda *a, f=factor.candidates, **b: (made.append(materialize(f(*a, **b), "seen")), made[-1])[1])
+    with monkeypatch.context() as m:
+        m.setattr(type(sample.dirty), "collect", lambda *a: pytest.fail("rows came to the driver"))
+        got = factor.fit(sample.dirty, factor.detect(sample.dirty, RULES), RULES)
+    shown = {(r._id, r.attr): r.x for r in made[0].selectExpr("_id", "attr", "pmod(xxhash64(_id, attr), 2) AS x").distinct().collect()}
+    groups = {}
+    for r in made[0].collect():
+        groups.setdefault((r._id, r.attr), []).append(([r[f] * (shown[r._id, r.attr] if f == "own_value" else 1) for f in factor.FEATURES], r.v == r.own))
+    data = [(np.array([x for x, _ in g]), np.array([y for _, y in g])) for g in groups.values() if any(y for _, y in g) and len(g) > 1]
+    w = np.zeros(len(factor.FEATURES))
+    for _ in range(20):
+        p = [np.exp(x @ w - (x @ w).max()) for x, _ in data]
+        w = w + 0.3 * sum(x[y].sum(0) - (q / q.sum()) @ x for (x, y), q in zip(data, p)) / len(data)
+    assert len(data) > 10 and np.allclose(got, w)
 
 
 def test_no_rules_change_nothing(sample):
